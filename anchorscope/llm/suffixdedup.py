@@ -1,2 +1,295 @@
-def report(docs):
-    raise NotImplementedError
+"""Removal of repeated byte strings by suffix sorting with a difference cover.
+
+A byte goes if it lies in a string of `MATCH` bytes that also starts earlier (in a document of smaller id, or in the
+same one before); strings are judged on the input, and never cross documents.
+
+Distribution. One global suffix array of 100 TB would be sorted, in full, several times over. But only suffixes that agree in
+their first `MATCH` bytes have to meet. Every window of `MATCH` bytes holds `MATCH - GRAM + 1` grams of `GRAM` bytes, and the one
+with the least hash (the first of equal ones) names the window; equal windows have equal names at equal places. So windows are dealt
+out by name, those of one document that share a name being one snippet. Names that come once need no sorting: a first
+pass counts names, and a bitmap of `FILTER_BITS` bits (of fixed size; a false hit costs work, never a result) tells the second
+pass which snippets to send. Equal snippets are one string with its earliest place before anything is sorted.
+
+Each task then builds the suffix array of its snippets by difference cover: triples at places not divisible by three
+are sorted and named, the names are sorted by recursion unless all differ, the remaining suffixes are sorted by one
+byte and a sampled rank, and both are merged. Neighbours in the array are compared over their first `MATCH` bytes; of every
+run of equal ones all but the earliest start are repeats. A snippet met again elsewhere is a repeat as a whole.
+
+Names with more than `CROWD` different snippets (a frequent phrase in ever new surroundings) are taken apart into single
+windows, of which each earliest start is found by partial minima, so no task holds an unbounded group.
+
+Null and empty texts and those below `MATCH` bytes have nothing removed; a null id counts as larger than all; rows of equal
+id are one document by place (equal rows get equal results, none repeats the other); empty tables give empty results;
+other columns pass through.
+"""
+
+from __future__ import annotations
+
+import hashlib
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from .spark import cut
+from .text import PrefixHash, pieces, utf8_view
+
+MATCH = 100
+GRAM = 36
+FILTER_BITS = 27
+CROWD = 4000
+_CHUNK = 1 << 20
+_LAST = (1 << 63) - 1
+
+
+# ---------------------------------------------------------------- suffix sorting
+
+
+def suffix_array(s: np.ndarray) -> np.ndarray:
+    """Starts of the suffixes of s (integers of at least 1) in their order, by a difference cover modulo 3."""
+    n = len(s)
+    if n < 4:
+        return np.array(sorted(range(n), key=lambda i: s[i:].tolist()), np.int64)
+    k = int(s.max()) + 1
+    t = np.zeros(n + 4, np.int64)
+    t[:n] = s
+    # where n is 1 modulo 3 an empty suffix joins the sample, so that the two rows of names stay apart
+    ones, twos = np.arange(1, n + (n % 3 == 1), 3), np.arange(2, n, 3)
+    sample = np.concatenate([ones, twos])
+    triples = (t[sample] * k + t[sample + 1]) * k + t[sample + 2]
+    order = np.argsort(triples, kind="stable")
+    new = np.ones(len(sample), bool)
+    new[1:] = triples[order][1:] != triples[order][:-1]
+    names = np.empty(len(sample), np.int64)
+    names[order] = np.cumsum(new)
+    if not new.all():
+        order = suffix_array(names)
+        names[order] = np.arange(1, len(sample) + 1)
+    rank = np.zeros(n + 4, np.int64)
+    rank[sample] = names
+    sampled = sample[order]
+    sampled = sampled[sampled < n]
+    m = len(sample) + 2
+    rest = np.arange(0, n, 3)
+    by_one = t[rest] * m + rank[rest + 1]
+    rest = rest[np.argsort(by_one, kind="stable")]
+    first, second = sampled[sampled % 3 == 1], sampled[sampled % 3 == 2]
+    ahead = np.searchsorted(t[first] * m + rank[first + 1], t[rest] * m + rank[rest + 1])
+    ahead += np.searchsorted((t[second] * k + t[second + 1]) * m + rank[second + 2], (t[rest] * k + t[rest + 1]) * m + rank[rest + 2])
+    out, place = np.empty(n, np.int64), ahead + np.arange(len(rest))
+    taken = np.zeros(n, bool)
+    taken[place] = True
+    out[place] = rest
+    out[~taken] = sampled
+    return out
+
+
+def repeated_windows(snippets: list[bytes], doc: np.ndarray, start: np.ndarray, match: int) -> np.ndarray:
+    """For every window of every snippet, in order: whether its bytes also start at an earlier (doc, place)."""
+    lengths = np.array([len(x) for x in snippets], np.int64)
+    counts = lengths - match + 1
+    text = np.frombuffer(b"\0".join(snippets) + b"\0" * 8, np.uint8)
+    n = int(lengths.sum()) + len(snippets)
+    base = np.cumsum(lengths + 1) - lengths - 1
+    symbols = text[:n].astype(np.int64) + 2
+    symbols[base + lengths] = 1
+    owner = np.repeat(np.arange(len(snippets)), counts)
+    within = np.arange(len(owner)) - np.repeat(np.cumsum(counts) - counts, counts)
+    window = np.full(n, -1, np.int64)
+    window[base[owner] + within] = np.arange(len(owner))
+    order = window[suffix_array(symbols)]
+    order = order[order >= 0]
+    at = base[owner[order]] + within[order]
+    words = np.zeros(n, np.uint64)
+    for k in range(8):
+        words |= text[k : k + n].astype(np.uint64) << np.uint64(8 * k)
+    same = np.ones(len(at) - 1, bool)
+    for o in [*range(0, match - 7, 8), match - 8]:
+        same &= words[at[1:] + o] == words[at[:-1] + o]
+    group = np.concatenate([[0], np.cumsum(~same)])
+    where, place = doc[owner[order]], start[owner[order]] + within[order]
+    best = np.lexsort((place, where, group))
+    head = best[np.flatnonzero(np.r_[True, group[best][1:] != group[best][:-1]])][group]
+    out = np.zeros(len(owner), bool)
+    out[order] = (where > where[head]) | ((where == where[head]) & (place > place[head]))
+    return out
+
+
+# ---------------------------------------------------------------- names of windows
+
+
+def named_runs(data: np.ndarray, offsets: np.ndarray, match: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Row, first window (place in data), number of windows and name of every run of windows with one name."""
+    n = len(data)
+    if n < match:
+        return (np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.uint64),)
+    at = np.arange(n - gram + 1)
+    hashes = PrefixHash(data).of(at, at + gram)
+    least = (hashes & ~np.uint64(0xFFFFFFFF)) | at.astype(np.uint64)
+    width = match - gram + 1
+    have = 1
+    while have < width:
+        step = min(have, width - have)
+        least = np.minimum(least[:-step], least[step:])
+        have += step
+    name_at = (least & np.uint64(0xFFFFFFFF)).astype(np.int64)
+    row = np.repeat(np.arange(len(offsets) - 1), np.diff(offsets))[: len(name_at)]
+    valid = np.arange(len(name_at)) + match <= offsets[row + 1]
+    begin = np.flatnonzero(valid & np.r_[True, (name_at[1:] != name_at[:-1]) | (row[1:] != row[:-1])])
+    stop = np.flatnonzero(valid & np.r_[(name_at[1:] != name_at[:-1]) | (row[1:] != row[:-1]) | ~valid[1:], True]) + 1
+    return row[begin], begin, stop - begin, hashes[name_at[begin]]
+
+
+def _keyed(docs: DataFrame, doc_id: str, text: str) -> list:
+    return [F.coalesce(F.col(f"`{doc_id}`").cast("long"), F.lit(_LAST)).alias("doc"), F.xxhash64(F.col(f"`{text}`")).alias("th")]
+
+
+def repeated_ranges(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", match: int = MATCH, gram: int = GRAM, crowd: int = CROWD) -> DataFrame:
+    """doc (id, null as the largest), th (hash of the text), start, end: byte ranges to remove, which may overlap."""
+    context = docs.sparkSession.sparkContext
+    rows = docs.select(*_keyed(docs, doc_id, text), F.col(f"`{text}`").alias("text")).filter(F.octet_length("text") >= match)
+
+    def name(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            data, offsets = utf8_view(batch.column(0))
+            for a, b in pieces(offsets):
+                names = named_runs(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], match, gram)[3]
+                names, n = np.unique(names, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(names.view(np.int64)), pa.array(np.minimum(n, 2).astype(np.int8))], names=["name", "n"])
+
+    repeated = rows.select("text").mapInArrow(name, "name long, n byte").groupBy("name").agg(F.sum("n").alias("n")).filter("n > 1")
+    slot = F.shiftrightunsigned("name", 64 - FILTER_BITS)
+    bits = repeated.groupBy(F.shiftright(slot, 6).cast("int").alias("word")).agg(F.bit_or(F.expr(f"shiftleft(1L, cast(shiftrightunsigned(name, {64 - FILTER_BITS}) & 63 as int))")).alias("bits")).toPandas()  # at most 2^21 rows
+    bitmap = np.zeros(1 << (FILTER_BITS - 6), np.int64)
+    bitmap[bits["word"].to_numpy()] = bits["bits"].to_numpy()
+    bitmap = context.broadcast(bitmap)
+
+    def snippets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = bitmap.value.view(np.uint64)
+        for batch in batches:
+            doc, th = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            data, offsets = utf8_view(batch.column(2))
+            for a, b in pieces(offsets):
+                part = data[offsets[a] : offsets[b]]
+                row, begin, n, names = named_runs(part, offsets[a : b + 1] - offsets[a], match, gram)
+                slots = names >> np.uint64(64 - FILTER_BITS)
+                hit = (known[(slots >> np.uint64(6)).astype(np.int64)] >> (slots & np.uint64(63))) & np.uint64(1) == 1
+                row, begin, n, names = row[hit], begin[hit], n[hit], names[hit]
+                raw = part.tobytes()
+                strings = [raw[s:e] for s, e in zip(begin.tolist(), (begin + n + match - 1).tolist(), strict=True)]
+                where = begin - (offsets[a : b + 1] - offsets[a])[row]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(names.view(np.int64)), pa.array(strings, pa.binary()), pa.array(doc[a:b][row]), pa.array(th[a:b][row]), pa.array(where), pa.array(n.astype(np.int32))],
+                    names=["name", "snippet", "doc", "th", "start", "n"],
+                )
+
+    found = rows.select("doc", "th", "text").mapInArrow(snippets, "name long, snippet binary, doc long, th long, start long, n int")
+    strings = cut(found.groupBy("name", "snippet").agg(F.min(F.struct("doc", "start", "th")).alias("first")).select("name", "snippet", F.xxhash64("snippet").alias("sid"), "first.*"))
+
+    # snippets met again: repeats as a whole
+    first = strings.select("name", "sid", F.col("doc").alias("doc0"), F.col("start").alias("start0"))
+    later = found.select("name", F.xxhash64("snippet").alias("sid"), "doc", "th", "start", "n").join(first, ["name", "sid"])
+    later = later.filter((F.col("doc") > F.col("doc0")) | ((F.col("doc") == F.col("doc0")) & (F.col("start") > F.col("start0"))))
+    whole = later.select("doc", "th", "start", (F.col("start") + F.col("n") + (match - 1)).alias("end"))
+
+    sizes = strings.groupBy("name").agg(F.count("*").alias("of"))
+    sized = strings.join(sizes.filter("of > 1"), "name")  # a snippet that is alone under its name has nothing to be compared with
+
+    def sort(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+
+        def solve(table: pa.Table) -> pa.RecordBatch:
+            doc, start, th = (table.column(c).to_numpy() for c in ("doc", "start", "th"))
+            strings = table.column("snippet").to_pylist()
+            hit = repeated_windows(strings, doc, start, match)
+            counts = np.array([len(x) for x in strings], np.int64) - match + 1
+            owner = np.repeat(np.arange(len(strings)), counts)
+            within = np.arange(len(owner)) - np.repeat(np.cumsum(counts) - counts, counts)
+            edge = owner[1:] != owner[:-1]
+            begin = np.flatnonzero(hit & np.r_[True, ~hit[:-1] | edge])
+            stop = np.flatnonzero(hit & np.r_[~hit[1:] | edge, True])
+            of = owner[begin]
+            return pa.RecordBatch.from_arrays([pa.array(doc[of]), pa.array(th[of]), pa.array(start[of] + within[begin]), pa.array(start[of] + within[stop] + match)], names=["doc", "th", "start", "end"])
+
+        def cuts(table: pa.Table, all_: bool) -> tuple[list[pa.Table], pa.Table]:
+            """Whole names in tables of about a chunk, and what must wait for more rows."""
+            names = table.column("name").to_numpy()
+            ends = np.r_[np.flatnonzero(names[1:] != names[:-1]) + 1, [len(names)] if all_ and len(names) else []].astype(np.int64)
+            size, out, at = np.cumsum([len(x) for x in table.column("snippet").to_pylist()]) if len(names) else np.zeros(0), [], 0
+            for i, e in enumerate(ends.tolist()):
+                if i + 1 == len(ends) or size[ends[i + 1] - 1] - (size[at - 1] if at else 0) > _CHUNK:
+                    out.append(table.slice(at, e - at))
+                    at = e
+            return out, table.slice(at)
+
+        rest, waiting = None, 0
+        for batch in batches:
+            held.append(batch)
+            waiting += batch.column(1).nbytes
+            if waiting > 4 * _CHUNK:
+                whole_ones, rest = cuts(pa.Table.from_batches(held), False)
+                yield from map(solve, whole_ones)
+                held = rest.combine_chunks().to_batches()
+                waiting = sum(b.column(1).nbytes for b in held)
+        if held:
+            yield from map(solve, cuts(pa.Table.from_batches(held), True)[0])
+
+    names = "doc long, th long, start long, end long"
+    dealt = sized.filter(F.col("of") <= crowd).select("name", "snippet", "doc", "start", "th").repartition("name").sortWithinPartitions("name")
+    parts = dealt.mapInArrow(sort, names)
+
+    crowded = sized.filter(F.col("of") > crowd).select(F.explode(F.sequence(F.lit(0), F.octet_length("snippet") - match)).alias("j"), "snippet", "doc", "start", "th")
+    single = crowded.select(F.substring("snippet", F.col("j") + 1, F.lit(match)).alias("w"), "doc", (F.col("start") + F.col("j")).alias("start"), "th")
+    single = single.select(F.xxhash64("w").alias("a"), F.md5("w").alias("b"), "doc", "start", "th")
+    earliest = single.groupBy("a", "b").agg(F.min(F.struct("doc", "start")).alias("m"))
+    apart = single.join(earliest, ["a", "b"]).filter(F.struct("doc", "start") > F.col("m")).select("doc", "th", "start", (F.col("start") + match).alias("end"))
+    return whole.unionByName(parts).unionByName(apart)
+
+
+def merge(starts: np.ndarray, ends: np.ndarray) -> list[tuple[int, int]]:
+    out: list[list[int]] = []
+    for a, b in sorted(zip(starts, ends, strict=True)):
+        if out and a <= out[-1][1]:
+            out[-1][1] = max(out[-1][1], b)
+        else:
+            out.append([a, b])
+    return [(a, b) for a, b in out]
+
+
+def remove_repeats(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
+    """docs with __spans (flat starts and ends of the maximal removed byte runs) and __kept (the remaining bytes)."""
+    ranges = repeated_ranges(docs, doc_id=doc_id, text=text, **options)
+    spans = ranges.groupBy("doc", "th").agg(F.collect_list(F.struct("start", "end")).alias("__ranges"))  # as many as the document is long
+    names = docs.columns
+    keyed = docs.select(*[F.col(f"`{c}`") for c in names], *_keyed(docs, doc_id, text)).join(spans, ["doc", "th"], "left").select(*[F.col(f"`{c}`") for c in names], "__ranges")
+
+    def strike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found, kept = [], []
+            ranges = batch.column(len(names))
+            texts = batch.column(names.index(text))
+            for i in range(batch.num_rows):
+                raw = (texts[i].as_py() or "").encode("utf-8", "replace")
+                runs = ranges[i].as_py()
+                runs = merge([r["start"] for r in runs], [r["end"] for r in runs]) if runs else []
+                found.append([x for r in runs for x in r])
+                edges = [0, *found[-1], len(raw)]
+                kept.append(b"".join(raw[a:b] for a, b in zip(edges[::2], edges[1::2], strict=True)))
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(found, pa.list_(pa.int64())), pa.array(kept, pa.binary())], names=[*names, "__spans", "__kept"])
+
+    from pyspark.sql import types as T
+
+    schema = T.StructType([*docs.schema.fields, T.StructField("__spans", T.ArrayType(T.LongType())), T.StructField("__kept", T.BinaryType())])
+    return keyed.mapInArrow(strike, schema)
+
+
+def report(docs: DataFrame) -> DataFrame:
+    done = remove_repeats(docs.select("doc_id", "text"))
+    n_bytes = F.octet_length(F.coalesce(F.col("text"), F.lit(""))).cast("long")
+    return done.select("doc_id", n_bytes.alias("n_bytes"), (n_bytes - F.octet_length("__kept")).alias("n_removed"), (F.size("__spans") / 2).cast("long").alias("n_spans"), F.sha2("__kept", 256).alias("kept_sha256"))
+
+
+def digest(kept: bytes) -> str:
+    return hashlib.sha256(kept).hexdigest()

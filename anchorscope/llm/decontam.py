@@ -170,7 +170,7 @@ def remove_documents(docs: DataFrame, items: DataFrame, *, text: str = "text", w
 
 def remove_spans(docs: DataFrame, items: DataFrame, *, text: str = "text", width: int = WIDTH) -> DataFrame:
     """All documents, with the bytes from the first to the last word of every hit span cut out of the text."""
-    found = find_hits(docs, items, text=text, width=width)
+    found, names = find_hits(docs, items, text=text, width=width), docs.columns
 
     def trim(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -184,6 +184,6 @@ def remove_spans(docs: DataFrame, items: DataFrame, *, text: str = "text", width
                         raw = raw[: words[a][0]] + raw[words[b - 1][1] :]
                     texts[i] = raw.decode("utf-8", "replace")
             columns = [pa.array(texts, pa.string()) if i == at else c for i, c in enumerate(batch.columns)]
-            yield pa.RecordBatch.from_arrays(columns[: len(docs.columns)], names=docs.columns)
+            yield pa.RecordBatch.from_arrays(columns[: len(names)], names=names)
 
     return found.mapInArrow(trim, docs.schema)

@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .ordering import running
-from .spark import cut, u01
+from .spark import by_size, cut, u01
 
 SEED = 23
 WEIGHTS = (5, 2, 1)
@@ -66,7 +66,7 @@ def mix(rows: DataFrame, *, doc_id: str, source: str, size: str, tie: str | None
     ratio = F.when(F.col("_size") > 0, F.col("_target") / F.col("_size")).otherwise(0.0)
     # a hair below a whole number is that number, else rounding would ask for one more copy of nothing
     targets = targets.withColumn("_whole", F.floor(ratio + 1e-9)).withColumn("_miss", F.greatest(F.lit(0.0), F.col("_target") - F.col("_whole") * F.col("_size")))
-    targets = targets.select(F.coalesce(F.concat(F.lit("="), "_source"), F.lit("null")).alias("_key"), "_size", "_n", "_target", "_whole", "_miss")
+    targets = by_size(targets.select(F.coalesce(F.concat(F.lit("="), "_source"), F.lit("null")).alias("_key"), "_size", "_n", "_target", "_whole", "_miss"))
     rows = rows.withColumn("_key", F.coalesce(F.concat(F.lit("="), "_source"), F.lit("null"))).join(targets, "_key")
     p = F.least(F.lit(0.999999), F.greatest(F.lit(1e-6), F.when(F.col("_size") > 0, F.col("_miss") / F.col("_size")).otherwise(0.0) * F.col("_odds")))
     # q in (0, 1) orders as the Pareto ratio does; equal odds leave it evenly spread

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .ordering import running
-from .spark import cut, u01
+from .spark import by_size, cut, u01
 
 SEED = 17
 
@@ -32,7 +32,7 @@ def shard(docs: DataFrame, shards: int, *, doc_id: str = "doc_id", source: str =
         F.coalesce(F.concat(F.lit("="), F.col(f"`{source}`").cast("string")), F.lit("null")).alias("_source"),
         u01(id_, seed=seed).alias("_u"), F.coalesce(id_.cast("string"), F.lit("")).alias("_id"), F.coalesce(F.md5(text_), F.lit("")).alias("_text"),
     )
-    by_source = rows.groupBy("_source").agg(F.count("*").alias("_n"))
+    by_source = by_size(rows.groupBy("_source").agg(F.count("*").alias("_n")))
     rows = running(rows, ["_source"], "_u", ["_id", "_text"], out="_rank", sizes=by_source)
     rows = rows.join(by_source.select("_source", F.col("_n").alias("_of")), "_source")
     rows = rows.withColumn("_f", (F.col("_rank") + 0.5) / F.col("_of")).drop("_u", "_rank", "_of", "_text", "_id")

@@ -29,3 +29,13 @@ def u01(*keys: Column | str, seed: int | str) -> Column:
     """A draw in (0, 1) from the md5 of seed and keys; other engines get the same value from the same text."""
     text = F.concat_ws("|", F.lit(str(seed)), *[F.coalesce((F.col(k) if isinstance(k, str) else k).cast("string"), F.lit("null")) for k in keys])
     return (F.conv(F.substring(F.md5(text), 1, 13), 16, 10).cast("double") + 0.5) / float(1 << 52)
+
+
+#: Rows of a small table that may be broadcast; beyond them it is joined by a shuffle.
+BROADCAST_ROWS = 100_000
+
+
+def by_size(df: DataFrame) -> DataFrame:
+    """A narrow table (some numbers and a name a row), written once and marked for broadcast if it has few enough rows."""
+    df = cut(df)
+    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df

@@ -45,7 +45,7 @@ def source_targets(sizes: DataFrame, *, weights: tuple[float, ...] = WEIGHTS, sh
     t = sizes.withColumn("_weight", weight).withColumn("_level", cap * F.col("_size") / F.col("_weight"))
     t = t.withColumn("_left", share * F.sum("_size").over(Window.partitionBy()) - cap * F.coalesce(F.sum("_size").over(earlier), F.lit(0)))
     t = t.withColumn("_open", F.col("_left") / F.sum("_weight").over(later)).withColumn("_full", F.col("_level") <= F.col("_open"))
-    level = F.min(F.when(~F.col("_full"), F.col("_open"))).over(Window.partitionBy())
+    level = F.max(F.when(~F.col("_full"), F.col("_open"))).over(Window.partitionBy())  # that of the first source below its cap
     return t.select("_source", "_size", F.when(F.col("_full"), cap * F.col("_size").cast("double")).otherwise(level * F.col("_weight")).alias("_target"))
 
 

@@ -31,7 +31,7 @@ with d as (
     select *, level <= rest / weights as is_full from l
 ), t as (
     select source, source_size, case when is_full then 2.0 * source_size
-        else min(case when not is_full then rest / weights end) over () * weight end as target
+        else max(case when not is_full then rest / weights end) over () * weight end as target
     from o
 ), w as (
     select *, case when source_size > 0 then floor(target / source_size + 1e-9) else 0 end as whole from t

@@ -26,8 +26,8 @@ RULES = (("org", "/", "allow"), ("example.org", "/es/", "block"), ("example.org"
 GRAMS = (3, 4, 5)
 BUCKETS = 4096
 MAX_LABELLED = 4096
-STEPS = 24
-RATE = 2.0
+STEPS = 40
+RATE = 4.0
 SHRINK = 1e-4
 
 

@@ -223,5 +223,6 @@ def report(pages: DataFrame, folder: str | None = None) -> DataFrame:
     write_archives(pages, folder).agg(F.sum("records")).collect()
     rows = read_archives(spark, folder).select("page_id", F.octet_length("payload").cast("long").alias("_bytes"), "payload_digest", "record_type", "refers_to")
     kept = rows.filter(F.col("record_type") == "response").groupBy(F.col("page_id").alias("_id"), F.col("payload_digest").alias("_digest")).agg(F.max("_bytes").alias("_kept"))
-    found = rows.join(kept, (F.col("refers_to") == F.col("_id")) & (F.col("payload_digest") == F.col("_digest")), "left")
+    # sizes of what Python reads are not known beforehand: never a broadcast by estimate
+    found = rows.join(kept.hint("merge"), (F.col("refers_to") == F.col("_id")) & (F.col("payload_digest") == F.col("_digest")), "left")
     return found.select("page_id", F.coalesce("_bytes", "_kept").alias("payload_bytes"), "payload_digest", "record_type", "refers_to")

@@ -113,6 +113,13 @@ class Forest:
         return found
 
 
+def parts_of(frames: Iterator[pd.DataFrame], n: int) -> Iterator[pd.DataFrame]:
+    """Frames of at most n rows, as every row goes out many times over."""
+    for frame in frames:
+        for a in range(0, len(frame), n):
+            yield frame.iloc[a : a + n]
+
+
 def clean(rows: DataFrame, vec_id: str, vector: str) -> DataFrame:
     """vec_id, v: usable vectors as doubles."""
     v = F.col(f"`{vector}`").cast("array<double>")
@@ -147,7 +154,7 @@ def search(rows: DataFrame, queries: DataFrame, k: int, *, vec_id: str = "vec_id
     forest = spark.sparkContext.broadcast((Forest(lifted(picked), trees, leaf, seed), picked[:BOUND]))
 
     def place(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
+        for frame in parts_of(frames, 1000):
             if len(frame):
                 at = forest.value[0].leaves(lifted(np.stack(frame["v"].to_numpy())))
                 t = at.shape[1]
@@ -155,7 +162,7 @@ def search(rows: DataFrame, queries: DataFrame, k: int, *, vec_id: str = "vec_id
 
     def visit(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         trees_, known = forest.value
-        for frame in frames:
+        for frame in parts_of(frames, 64):
             out = []
             for p, v in zip(frame["p"], frame["v"], strict=True):
                 q = np.asarray(v, float)
@@ -179,7 +186,7 @@ def search(rows: DataFrame, queries: DataFrame, k: int, *, vec_id: str = "vec_id
         out = []
         for a in range(0, len(right), 256):
             q = np.stack(right["v"].iloc[a : a + 256].to_numpy())
-            s = np.stack([x @ row for row in q])
+            s = q @ x.T
             keep = min(k + 1, s.shape[1])
             # all that tie with the last one kept, as ids decide between them
             edge = np.maximum(np.partition(s, s.shape[1] - keep, axis=1)[:, s.shape[1] - keep], right["least"].to_numpy()[a : a + 256])

@@ -7,8 +7,9 @@ Distribution. One global suffix array of 100 TB would be sorted, in full, severa
 their first `MATCH` bytes have to meet. Every window of `MATCH` bytes holds `MATCH - GRAM + 1` grams of `GRAM` bytes, and the one
 with the least hash (the first of equal ones) names the window; equal windows have equal names at equal places. So windows are dealt
 out by name, those of one document that share a name being one snippet. Names that come once need no sorting: a first
-pass counts names, and a bitmap of `FILTER_BITS` bits (of fixed size; a false hit costs work, never a result) tells the second
-pass which snippets to send. Equal snippets are one string with its earliest place before anything is sorted.
+pass counts names, a second one those that hold different snippets, known by their hashes, and a third one sends these. What a pass
+has learnt reaches the next as a bitmap of `FILTER_BITS` bits: of fixed size, and a false hit costs work, never a result.
+Equal snippets are one string with its earliest place before anything is sorted.
 
 Each task then builds the suffix array of its snippets by difference cover: triples at places not divisible by three
 are sorted and named, the names are sorted by recursion unless all differ, the remaining suffixes are sorted by one
@@ -34,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .spark import cut
-from .text import PrefixHash, pieces, utf8_view
+from .text import pieces, scramble, utf8_view
 
 MATCH = 100
 GRAM = 36
@@ -125,21 +126,55 @@ def named_runs(data: np.ndarray, offsets: np.ndarray, match: int, gram: int) ->
     n = len(data)
     if n < match:
         return (np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.uint64),)
-    at = np.arange(n - gram + 1)
-    hashes = PrefixHash(data).of(at, at + gram)
-    least = (hashes & ~np.uint64(0xFFFFFFFF)) | at.astype(np.uint64)
+    hashes = gram_hashes(data, gram)
+    least = (hashes & ~np.uint64(0xFFFFFFFF)) | np.arange(len(hashes), dtype=np.uint64)
     width = match - gram + 1
     have = 1
     while have < width:
         step = min(have, width - have)
-        least = np.minimum(least[:-step], least[step:])
+        np.minimum(least[:-step], least[step:], out=least[:-step])
+        least = least[:-step]
         have += step
-    name_at = (least & np.uint64(0xFFFFFFFF)).astype(np.int64)
-    row = np.repeat(np.arange(len(offsets) - 1), np.diff(offsets))[: len(name_at)]
-    valid = np.arange(len(name_at)) + match <= offsets[row + 1]
-    begin = np.flatnonzero(valid & np.r_[True, (name_at[1:] != name_at[:-1]) | (row[1:] != row[:-1])])
-    stop = np.flatnonzero(valid & np.r_[(name_at[1:] != name_at[:-1]) | (row[1:] != row[:-1]) | ~valid[1:], True]) + 1
-    return row[begin], begin, stop - begin, hashes[name_at[begin]]
+    name_at = least.astype(np.uint32)
+    edges = [np.flatnonzero(name_at[1:] != name_at[:-1]) + 1, offsets[:-1], offsets[1:] - match + 1]
+    begin = np.unique(np.concatenate(edges))
+    begin = begin[(begin >= 0) & (begin < len(name_at))]
+    stop = np.r_[begin[1:], len(name_at)]
+    row = np.searchsorted(offsets, begin, "right") - 1
+    valid = begin + match <= offsets[row + 1]
+    row, begin, stop = row[valid], begin[valid], stop[valid]
+    return row, begin, stop - begin, hashes[name_at[begin]]
+
+
+def gram_hashes(data: np.ndarray, gram: int) -> np.ndarray:
+    """Hashes of all strings of `gram` bytes (at least 8), from eight bytes loaded at every place."""
+    n = len(data)
+    padded = np.concatenate([data, np.zeros(16, np.uint8)])
+    words = np.empty(n + 8, np.uint64)
+    for k in range(8):
+        part = words[k::8]
+        part[:] = padded[k : k + 8 * len(part)].view("<u8") if k + 8 * len(part) <= len(padded) else np.concatenate([padded[k:], np.zeros(8, np.uint8)])[: 8 * len(part)].view("<u8")
+    m = n - gram + 1
+    h = np.zeros(m, np.uint64)
+    for i, at in enumerate([*range(0, gram - 8, 8), gram - 8]):
+        h += words[at : at + m] * np.uint64((0x9E3779B97F4A7C15 * (2 * i + 3)) & 0xFFFFFFFFFFFFFFFF | 1)
+        h ^= h >> np.uint64(29)
+    return scramble(h)
+
+
+def _bitmap(names: DataFrame) -> np.ndarray:
+    """A bit for the highest bits of every name; at most 2^(FILTER_BITS - 6) rows come to the driver."""
+    slot = F.shiftrightunsigned("name", 64 - FILTER_BITS)
+    bit = F.expr(f"shiftleft(1L, cast(shiftrightunsigned(name, {64 - FILTER_BITS}) & 63 as int))")
+    rows = names.groupBy(F.shiftright(slot, 6).cast("int").alias("word")).agg(F.bit_or(bit).alias("bits")).toPandas()
+    out = np.zeros(1 << (FILTER_BITS - 6), np.int64)
+    out[rows["word"].to_numpy(np.int64)] = rows["bits"].to_numpy(np.int64)
+    return out
+
+
+def _known(bitmap: np.ndarray, names: np.ndarray) -> np.ndarray:
+    slots = names >> np.uint64(64 - FILTER_BITS)
+    return (bitmap.view(np.uint64)[(slots >> np.uint64(6)).astype(np.int64)] >> (slots & np.uint64(63))) & np.uint64(1) == 1
 
 
 def _keyed(docs: DataFrame, doc_id: str, text: str) -> list:
@@ -160,42 +195,46 @@ def repeated_ranges(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
                 yield pa.RecordBatch.from_arrays([pa.array(names.view(np.int64)), pa.array(np.minimum(n, 2).astype(np.int8))], names=["name", "n"])
 
     repeated = rows.select("text").mapInArrow(name, "name long, n byte").groupBy("name").agg(F.sum("n").alias("n")).filter("n > 1")
-    slot = F.shiftrightunsigned("name", 64 - FILTER_BITS)
-    bits = repeated.groupBy(F.shiftright(slot, 6).cast("int").alias("word")).agg(F.bit_or(F.expr(f"shiftleft(1L, cast(shiftrightunsigned(name, {64 - FILTER_BITS}) & 63 as int))")).alias("bits")).toPandas()  # at most 2^21 rows
-    bitmap = np.zeros(1 << (FILTER_BITS - 6), np.int64)
-    bitmap[bits["word"].to_numpy()] = bits["bits"].to_numpy()
-    bitmap = context.broadcast(bitmap)
-
-    def snippets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = bitmap.value.view(np.uint64)
-        for batch in batches:
-            doc, th = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            data, offsets = utf8_view(batch.column(2))
-            for a, b in pieces(offsets):
-                part = data[offsets[a] : offsets[b]]
-                row, begin, n, names = named_runs(part, offsets[a : b + 1] - offsets[a], match, gram)
-                slots = names >> np.uint64(64 - FILTER_BITS)
-                hit = (known[(slots >> np.uint64(6)).astype(np.int64)] >> (slots & np.uint64(63))) & np.uint64(1) == 1
-                row, begin, n, names = row[hit], begin[hit], n[hit], names[hit]
-                raw = part.tobytes()
-                strings = [raw[s:e] for s, e in zip(begin.tolist(), (begin + n + match - 1).tolist(), strict=True)]
-                where = begin - (offsets[a : b + 1] - offsets[a])[row]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(names.view(np.int64)), pa.array(strings, pa.binary()), pa.array(doc[a:b][row]), pa.array(th[a:b][row]), pa.array(where), pa.array(n.astype(np.int32))],
-                    names=["name", "snippet", "doc", "th", "start", "n"],
-                )
-
-    found = rows.select("doc", "th", "text").mapInArrow(snippets, "name long, snippet binary, doc long, th long, start long, n int")
-    strings = cut(found.groupBy("name", "snippet").agg(F.min(F.struct("doc", "start", "th")).alias("first")).select("name", "snippet", F.xxhash64("snippet").alias("sid"), "first.*"))
-
-    # snippets met again: repeats as a whole
-    first = strings.select("name", "sid", F.col("doc").alias("doc0"), F.col("start").alias("start0"))
-    later = found.select("name", F.xxhash64("snippet").alias("sid"), "doc", "th", "start", "n").join(first, ["name", "sid"])
-    later = later.filter((F.col("doc") > F.col("doc0")) | ((F.col("doc") == F.col("doc0")) & (F.col("start") > F.col("start0"))))
+    seen = context.broadcast(_bitmap(repeated))
+
+    def snippets(bitmap, with_text: bool):
+        def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            import xxhash
+
+            known = bitmap.value
+            for batch in batches:
+                doc, th = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+                data, offsets = utf8_view(batch.column(2))
+                for a, b in pieces(offsets):
+                    part, cuts = data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
+                    row, begin, n, names = named_runs(part, cuts, match, gram)
+                    hit = _known(known, names)
+                    row, begin, n, names = row[hit], begin[hit], n[hit], names[hit]
+                    raw = part.tobytes()
+                    strings = [raw[s:e] for s, e in zip(begin.tolist(), (begin + n + match - 1).tolist(), strict=True)]
+                    if not with_text:
+                        strings = np.array([xxhash.xxh3_64_intdigest(x) for x in strings], np.uint64).view(np.int64)
+                    columns = [pa.array(names.view(np.int64)), pa.array(strings, pa.binary() if with_text else pa.int64()), pa.array(doc[a:b][row]), pa.array(th[a:b][row]), pa.array(begin - cuts[row]), pa.array(n.astype(np.int32))]
+                    yield pa.RecordBatch.from_arrays(columns, names=["name", "snippet", "doc", "th", "start", "n"])
+
+        kind = "binary" if with_text else "long"
+        return rows.select("doc", "th", "text").mapInArrow(send, f"name long, snippet {kind}, doc long, th long, start long, n int")
+
+    # snippets met again (equal name and hash): repeats as a whole
+    found = cut(snippets(seen, False))
+    first = cut(found.groupBy("name", "snippet").agg(F.min(F.struct("doc", "start")).alias("m"), F.count("*").alias("of")))
+    again = first.filter("of > 1").select("name", "snippet", F.col("m.doc").alias("doc0"), F.col("m.start").alias("start0"))
+    later = found.join(again, ["name", "snippet"]).filter((F.col("doc") > F.col("doc0")) | ((F.col("doc") == F.col("doc0")) & (F.col("start") > F.col("start0"))))
     whole = later.select("doc", "th", "start", (F.col("start") + F.col("n") + (match - 1)).alias("end"))
 
-    sizes = strings.groupBy("name").agg(F.count("*").alias("of"))
-    sized = strings.join(sizes.filter("of > 1"), "name")  # a snippet that is alone under its name has nothing to be compared with
+    # names with different snippets: a snippet that is alone under its name has nothing to be compared with
+    contested = first.groupBy("name").agg(F.count("*").alias("of")).filter("of > 1")
+    several = context.broadcast(_bitmap(contested))
+    strings = snippets(several, True).groupBy("name", "snippet").agg(F.min(F.struct("doc", "start", "th")).alias("first")).select("name", "snippet", "first.*")
+    crowds = cut(contested.filter(F.col("of") > crowd).select("name"))  # at most one in `crowd` snippets
+    some_crowds = not crowds.isEmpty()
+    if some_crowds:
+        strings = cut(strings)
 
     def sort(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
@@ -237,10 +276,13 @@ def repeated_ranges(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
             yield from map(solve, cuts(pa.Table.from_batches(held), True)[0])
 
     names = "doc long, th long, start long, end long"
-    dealt = sized.filter(F.col("of") <= crowd).select("name", "snippet", "doc", "start", "th").repartition("name").sortWithinPartitions("name")
+    calm = strings.join(crowds, "name", "left_anti") if some_crowds else strings
+    dealt = calm.select("name", "snippet", "doc", "start", "th").repartition("name").sortWithinPartitions("name")
     parts = dealt.mapInArrow(sort, names)
+    if not some_crowds:
+        return whole.unionByName(parts)
 
-    crowded = sized.filter(F.col("of") > crowd).select(F.explode(F.sequence(F.lit(0), F.octet_length("snippet") - match)).alias("j"), "snippet", "doc", "start", "th")
+    crowded = strings.join(crowds, "name").select(F.explode(F.sequence(F.lit(0), F.octet_length("snippet") - match)).alias("j"), "snippet", "doc", "start", "th")
     single = crowded.select(F.substring("snippet", F.col("j") + 1, F.lit(match)).alias("w"), "doc", (F.col("start") + F.col("j")).alias("start"), "th")
     single = single.select(F.xxhash64("w").alias("a"), F.md5("w").alias("b"), "doc", "start", "th")
     earliest = single.groupBy("a", "b").agg(F.min(F.struct("doc", "start")).alias("m"))

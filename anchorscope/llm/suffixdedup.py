@@ -6,10 +6,11 @@ same one before); strings are judged on the input, and never cross documents.
 Distribution. One global suffix array of 100 TB would be sorted, in full, several times over. But only suffixes that agree in
 their first `MATCH` bytes have to meet. Every window of `MATCH` bytes holds `MATCH - GRAM + 1` grams of `GRAM` bytes, and the one
 with the least hash (the first of equal ones) names the window; equal windows have equal names at equal places. So windows are dealt
-out by name, those of one document that share a name being one snippet. Names that come once need no sorting: a first
-pass counts names, a second one those that hold different snippets, known by their hashes, and a third one sends these. What a pass
-has learnt reaches the next as a bitmap of `FILTER_BITS` bits: of fixed size, and a false hit costs work, never a result.
-Equal snippets are one string with its earliest place before anything is sorted.
+out by name, those of one document that share a name being one snippet. Three passes over the texts: the first counts names, as those that come
+once need no sorting; the second sends place and hash of the snippets of the others, so that of equal ones only the earliest goes
+on, and only if its name holds different ones; the third sends these as text. What a pass has learnt reaches the next as a bitmap of
+`FILTER_BITS` bits: of fixed size, and a false hit costs work, never a result. Names that come more than `HOT` times are salted in
+the second pass; then a few equal snippets go on, which changes no result.
 
 Each task then builds the suffix array of its snippets by difference cover: triples at places not divisible by three
 are sorted and named, the names are sorted by recursion unless all differ, the remaining suffixes are sorted by one
@@ -31,7 +32,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .spark import cut
@@ -41,6 +42,8 @@ MATCH = 100
 GRAM = 36
 FILTER_BITS = 27
 CROWD = 4000
+HOT = 20_000
+_SALTS = 64
 _CHUNK = 1 << 20
 _LAST = (1 << 63) - 1
 
@@ -162,11 +165,10 @@ def gram_hashes(data: np.ndarray, gram: int) -> np.ndarray:
     return scramble(h)
 
 
-def _bitmap(names: DataFrame) -> np.ndarray:
-    """A bit for the highest bits of every name; at most 2^(FILTER_BITS - 6) rows come to the driver."""
-    slot = F.shiftrightunsigned("name", 64 - FILTER_BITS)
-    bit = F.expr(f"shiftleft(1L, cast(shiftrightunsigned(name, {64 - FILTER_BITS}) & 63 as int))")
-    rows = names.groupBy(F.shiftright(slot, 6).cast("int").alias("word")).agg(F.bit_or(bit).alias("bits")).toPandas()
+def _bitmap(keys: DataFrame) -> np.ndarray:
+    """A bit for the highest bits of every key; at most 2^(FILTER_BITS - 6) rows come to the driver."""
+    bit = F.expr(f"shiftleft(1L, cast(shiftrightunsigned(key, {64 - FILTER_BITS}) & 63 as int))")
+    rows = keys.groupBy(F.shiftrightunsigned("key", 70 - FILTER_BITS).cast("int").alias("word")).agg(F.bit_or(bit).alias("bits")).toPandas()
     out = np.zeros(1 << (FILTER_BITS - 6), np.int64)
     out[rows["word"].to_numpy(np.int64)] = rows["bits"].to_numpy(np.int64)
     return out
@@ -178,7 +180,12 @@ def _known(bitmap: np.ndarray, names: np.ndarray) -> np.ndarray:
 
 
 def _keyed(docs: DataFrame, doc_id: str, text: str) -> list:
-    return [F.coalesce(F.col(f"`{doc_id}`").cast("long"), F.lit(_LAST)).alias("doc"), F.xxhash64(F.col(f"`{text}`")).alias("th")]
+    """doc: the id, null as the largest; th: 31 bits of the text's hash, to tell apart rows of one id."""
+    return [F.coalesce(F.col(f"`{doc_id}`").cast("long"), F.lit(_LAST)).alias("doc"), F.shiftrightunsigned(F.xxhash64(F.col(f"`{text}`")), 33).alias("th")]
+
+
+def _start(pos):
+    return F.col(pos).bitwiseAND(F.lit(0xFFFFFFFF)) if isinstance(pos, str) else pos.bitwiseAND(F.lit(0xFFFFFFFF))
 
 
 def repeated_ranges(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", match: int = MATCH, gram: int = GRAM, crowd: int = CROWD) -> DataFrame:
@@ -189,60 +196,70 @@ def repeated_ranges(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     def name(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = utf8_view(batch.column(0))
+            every = [named_runs(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], match, gram)[3] for a, b in pieces(offsets)]
+            names, n = np.unique(np.concatenate(every), return_counts=True) if every else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+            yield pa.RecordBatch.from_arrays([pa.array(names.view(np.int64)), pa.array(n.astype(np.int32))], names=["name", "n"])
+
+    repeated = rows.select("text").mapInArrow(name, "name long, n int").groupBy(F.col("name").alias("key")).agg(F.sum("n").alias("n")).filter("n > 1")
+    repeated = cut(repeated.select("key", (F.col("n") > HOT).alias("hot")))
+    seen, hot = context.broadcast(_bitmap(repeated)), context.broadcast(_bitmap(repeated.filter("hot")))
+
+    def snippets(batches: Iterator[pa.RecordBatch], wanted, full: bool) -> Iterator[pa.RecordBatch]:
+        import xxhash
+
+        digest = xxhash.xxh3_64_intdigest
+        for batch in batches:
+            doc, th = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            data, offsets = utf8_view(batch.column(2))
             for a, b in pieces(offsets):
-                names = named_runs(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], match, gram)[3]
-                names, n = np.unique(names, return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(names.view(np.int64)), pa.array(np.minimum(n, 2).astype(np.int8))], names=["name", "n"])
-
-    repeated = rows.select("text").mapInArrow(name, "name long, n byte").groupBy("name").agg(F.sum("n").alias("n")).filter("n > 1")
-    seen = context.broadcast(_bitmap(repeated))
-
-    def snippets(bitmap, with_text: bool):
-        def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            import xxhash
-
-            known = bitmap.value
-            for batch in batches:
-                doc, th = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-                data, offsets = utf8_view(batch.column(2))
-                for a, b in pieces(offsets):
-                    part, cuts = data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
-                    row, begin, n, names = named_runs(part, cuts, match, gram)
-                    hit = _known(known, names)
-                    row, begin, n, names = row[hit], begin[hit], n[hit], names[hit]
-                    raw = part.tobytes()
-                    strings = [raw[s:e] for s, e in zip(begin.tolist(), (begin + n + match - 1).tolist(), strict=True)]
-                    if not with_text:
-                        strings = np.array([xxhash.xxh3_64_intdigest(x) for x in strings], np.uint64).view(np.int64)
-                    columns = [pa.array(names.view(np.int64)), pa.array(strings, pa.binary() if with_text else pa.int64()), pa.array(doc[a:b][row]), pa.array(th[a:b][row]), pa.array(begin - cuts[row]), pa.array(n.astype(np.int32))]
-                    yield pa.RecordBatch.from_arrays(columns, names=["name", "snippet", "doc", "th", "start", "n"])
-
-        kind = "binary" if with_text else "long"
-        return rows.select("doc", "th", "text").mapInArrow(send, f"name long, snippet {kind}, doc long, th long, start long, n int")
-
-    # snippets met again (equal name and hash): repeats as a whole
-    found = cut(snippets(seen, False))
-    first = cut(found.groupBy("name", "snippet").agg(F.min(F.struct("doc", "start")).alias("m"), F.count("*").alias("of")))
-    again = first.filter("of > 1").select("name", "snippet", F.col("m.doc").alias("doc0"), F.col("m.start").alias("start0"))
-    later = found.join(again, ["name", "snippet"]).filter((F.col("doc") > F.col("doc0")) | ((F.col("doc") == F.col("doc0")) & (F.col("start") > F.col("start0"))))
-    whole = later.select("doc", "th", "start", (F.col("start") + F.col("n") + (match - 1)).alias("end"))
-
-    # names with different snippets: a snippet that is alone under its name has nothing to be compared with
-    contested = first.groupBy("name").agg(F.count("*").alias("of")).filter("of > 1")
-    several = context.broadcast(_bitmap(contested))
-    strings = snippets(several, True).groupBy("name", "snippet").agg(F.min(F.struct("doc", "start", "th")).alias("first")).select("name", "snippet", "first.*")
-    crowds = cut(contested.filter(F.col("of") > crowd).select("name"))  # at most one in `crowd` snippets
+                part, cuts = data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
+                row, begin, n, names = named_runs(part, cuts, match, gram)
+                of, pos = doc[a:b][row], (th[a:b][row] << 32) | (begin - cuts[row])
+                hit = wanted(names, of, pos)
+                begin, n, names, of, pos = begin[hit], n[hit], names[hit], of[hit], pos[hit]
+                raw = part.tobytes()
+                strings = [raw[s:e] for s, e in zip(begin.tolist(), (begin + n + match - 1).tolist(), strict=True)]
+                columns = [pa.array(names.view(np.int64)), pa.array(strings, pa.binary()) if full else pa.array(np.array([digest(x) for x in strings], np.uint64).view(np.int64)), pa.array(of), pa.array(pos), pa.array(n.astype(np.int8))]
+                yield pa.RecordBatch.from_arrays(columns, names=["name", "snippet", "doc", "pos", "n"])
+
+    def narrow(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for out in snippets(batches, lambda names, doc, pos: _known(seen.value, names), False):
+            is_hot = _known(hot.value, out.column(0).to_numpy().view(np.uint64))
+            salt = np.where(is_hot, 1 + out.column(2).to_numpy() % _SALTS, 0).astype(np.int8)
+            yield pa.RecordBatch.from_arrays([*out.columns, pa.array(salt)], names=[*out.schema.names, "salt"])
+
+    # of equal snippets (by name and hash) the earliest; the others are repeats as a whole
+    found = rows.select("doc", "th", "text").mapInArrow(narrow, "name long, snippet long, doc long, pos long, n byte, salt byte").repartition("name", "salt")
+    equal, alike = Window.partitionBy("name", "salt", "snippet"), Window.partitionBy("name", "salt")
+    place = F.struct(F.col("doc").alias("d"), _start("pos").alias("s"))
+    found = found.withColumn("least", F.min(place).over(equal)).withColumn("several", (F.min("snippet").over(alike) != F.max("snippet").over(alike)) | (F.col("salt") > 0))
+    is_first = (F.col("doc") == F.col("least.d")) & (_start("pos") == F.col("least.s"))
+    key = F.col("name").bitwiseXOR(F.shiftleft("doc", 37)).bitwiseXOR(F.shiftleft("pos", 40))
+    found = found.filter(~is_first | F.col("several")).select("doc", "pos", "n", F.when(is_first, F.col("name")).alias("name"), F.when(is_first, key).alias("key"))
+    found = cut(found)
+    whole = found.filter("key is null").select("doc", "pos", (F.col("n") + F.lit(match - 1)).cast("int").alias("length"))
+
+    first = found.filter("key is not null")
+    chosen = context.broadcast(_bitmap(first.select("key")))
+    crowds = cut(first.groupBy("name").agg(F.count("*").alias("of")).filter(F.col("of") > crowd).select("name"))  # at most one in `crowd` snippets
     some_crowds = not crowds.isEmpty()
-    if some_crowds:
-        strings = cut(strings)
+
+    def texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        mixed = lambda names, doc, pos: names ^ (doc.view(np.uint64) << np.uint64(37)) ^ (pos.view(np.uint64) << np.uint64(40))
+        yield from snippets(batches, lambda names, doc, pos: _known(seen.value, names) & _known(chosen.value, mixed(names, doc, pos)), True)
+
+    strings = rows.select("doc", "th", "text").mapInArrow(texts, "name long, snippet binary, doc long, pos long, n byte")
 
     def sort(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
 
         def solve(table: pa.Table) -> pa.RecordBatch:
-            doc, start, th = (table.column(c).to_numpy() for c in ("doc", "start", "th"))
-            strings = table.column("snippet").to_pylist()
-            hit = repeated_windows(strings, doc, start, match)
+            doc, pos = table.column("doc").to_numpy(), table.column("pos").to_numpy()
+            start, strings = pos & 0xFFFFFFFF, table.column("snippet").to_pylist()
+            if len(strings) < 2:
+                hit = np.zeros(sum(len(x) - match + 1 for x in strings), bool)
+            else:
+                hit = repeated_windows(strings, doc, start, match)
             counts = np.array([len(x) for x in strings], np.int64) - match + 1
             owner = np.repeat(np.arange(len(strings)), counts)
             within = np.arange(len(owner)) - np.repeat(np.cumsum(counts) - counts, counts)
@@ -250,7 +267,7 @@ def repeated_ranges(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
             begin = np.flatnonzero(hit & np.r_[True, ~hit[:-1] | edge])
             stop = np.flatnonzero(hit & np.r_[~hit[1:] | edge, True])
             of = owner[begin]
-            return pa.RecordBatch.from_arrays([pa.array(doc[of]), pa.array(th[of]), pa.array(start[of] + within[begin]), pa.array(start[of] + within[stop] + match)], names=["doc", "th", "start", "end"])
+            return pa.RecordBatch.from_arrays([pa.array(doc[of]), pa.array(pos[of] + within[begin]), pa.array((within[stop] - within[begin] + match).astype(np.int32))], names=["doc", "pos", "length"])
 
         def cuts(table: pa.Table, all_: bool) -> tuple[list[pa.Table], pa.Table]:
             """Whole names in tables of about a chunk, and what must wait for more rows."""
@@ -275,19 +292,18 @@ def repeated_ranges(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         if held:
             yield from map(solve, cuts(pa.Table.from_batches(held), True)[0])
 
-    names = "doc long, th long, start long, end long"
     calm = strings.join(crowds, "name", "left_anti") if some_crowds else strings
-    dealt = calm.select("name", "snippet", "doc", "start", "th").repartition("name").sortWithinPartitions("name")
-    parts = dealt.mapInArrow(sort, names)
-    if not some_crowds:
-        return whole.unionByName(parts)
-
-    crowded = strings.join(crowds, "name").select(F.explode(F.sequence(F.lit(0), F.octet_length("snippet") - match)).alias("j"), "snippet", "doc", "start", "th")
-    single = crowded.select(F.substring("snippet", F.col("j") + 1, F.lit(match)).alias("w"), "doc", (F.col("start") + F.col("j")).alias("start"), "th")
-    single = single.select(F.xxhash64("w").alias("a"), F.md5("w").alias("b"), "doc", "start", "th")
-    earliest = single.groupBy("a", "b").agg(F.min(F.struct("doc", "start")).alias("m"))
-    apart = single.join(earliest, ["a", "b"]).filter(F.struct("doc", "start") > F.col("m")).select("doc", "th", "start", (F.col("start") + match).alias("end"))
-    return whole.unionByName(parts).unionByName(apart)
+    parts = calm.select("name", "snippet", "doc", "pos").repartition("name").sortWithinPartitions("name").mapInArrow(sort, "doc long, pos long, length int")
+    ranges = whole.unionByName(parts)
+    if some_crowds:
+        crowded = strings.join(crowds, "name").select(F.explode(F.sequence(F.lit(0), F.octet_length("snippet") - match)).alias("j"), "snippet", "doc", "pos")
+        single = crowded.select(F.substring("snippet", F.col("j") + 1, F.lit(match)).alias("w"), "doc", (F.col("pos") + F.col("j")).alias("pos"))
+        single = single.select(F.xxhash64("w").alias("a"), F.md5("w").alias("b"), "doc", "pos")
+        place = F.struct(F.col("doc").alias("d"), _start("pos").alias("s"))
+        earliest = single.groupBy("a", "b").agg(F.min(place).alias("m"))
+        apart = single.join(earliest, ["a", "b"]).filter(place > F.col("m")).select("doc", "pos", F.lit(match).alias("length"))
+        ranges = ranges.unionByName(apart)
+    return ranges.select("doc", F.shiftright("pos", 32).alias("th"), _start("pos").cast("int").alias("start"), (_start("pos").cast("int") + F.col("length")).alias("end"))
 
 
 def merge(starts: np.ndarray, ends: np.ndarray) -> list[tuple[int, int]]:

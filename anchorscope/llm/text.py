@@ -8,8 +8,8 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-#: Bytes of text that a kernel holds at once; a longer document forms a piece of its own.
-PIECE_BYTES = 4 << 20
+#: Bytes of text that a kernel holds at once, so that its arrays stay in a core's cache; a longer document forms a piece of its own.
+PIECE_BYTES = 1 << 18
 
 _BASE = 0x9E3779B97F4A7C15 | 1
 _INVERSE = pow(_BASE, -1, 1 << 64)

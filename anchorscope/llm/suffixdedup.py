@@ -39,20 +39,23 @@ from .spark import cut
 from .text import pieces, scramble, utf8_view
 
 MATCH = 100
-GRAM = 36
+GRAM = 20
 FILTER_BITS = 27
 CROWD = 4000
 HOT = 20_000
 _SALTS = 64
-_CHUNK = 1 << 20
+_CHUNK = 1 << 16
 _LAST = (1 << 63) - 1
 
 
 # ---------------------------------------------------------------- suffix sorting
 
 
-def suffix_array(s: np.ndarray) -> np.ndarray:
-    """Starts of the suffixes of s (integers of at least 1) in their order, by a difference cover modulo 3."""
+def suffix_array(s: np.ndarray, depth: int | None = None, cover: int = 1) -> np.ndarray:
+    """Starts of the suffixes of s (integers of at least 1) in their order, by a difference cover modulo 3.
+
+    depth: only the order by that many first symbols is needed; names that span it are not told apart any further.
+    """
     n = len(s)
     if n < 4:
         return np.array(sorted(range(n), key=lambda i: s[i:].tolist()), np.int64)
@@ -68,8 +71,10 @@ def suffix_array(s: np.ndarray) -> np.ndarray:
     new[1:] = triples[order][1:] != triples[order][:-1]
     names = np.empty(len(sample), np.int64)
     names[order] = np.cumsum(new)
-    if not new.all():
-        order = suffix_array(names)
+    if not new.all() and (depth is None or 3 * cover < depth):
+        order = suffix_array(names, depth, 3 * cover)
+        names[order] = np.arange(1, len(sample) + 1)
+    elif depth is not None:
         names[order] = np.arange(1, len(sample) + 1)
     rank = np.zeros(n + 4, np.int64)
     rank[sample] = names
@@ -103,7 +108,7 @@ def repeated_windows(snippets: list[bytes], doc: np.ndarray, start: np.ndarray,
     within = np.arange(len(owner)) - np.repeat(np.cumsum(counts) - counts, counts)
     window = np.full(n, -1, np.int64)
     window[base[owner] + within] = np.arange(len(owner))
-    order = window[suffix_array(symbols)]
+    order = window[suffix_array(symbols, match)]
     order = order[order >= 0]
     at = base[owner[order]] + within[order]
     words = np.zeros(n, np.uint64)
@@ -284,7 +289,7 @@ def repeated_ranges(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         for batch in batches:
             held.append(batch)
             waiting += batch.column(1).nbytes
-            if waiting > 4 * _CHUNK:
+            if waiting > 16 * _CHUNK:
                 whole_ones, rest = cuts(pa.Table.from_batches(held), False)
                 yield from map(solve, whole_ones)
                 held = rest.combine_chunks().to_batches()

@@ -87,7 +87,8 @@ def suffix_array(s: np.ndarray, depth: int | None = None, cover: int = 1) -> np.
     first, second = sampled[sampled % 3 == 1], sampled[sampled % 3 == 2]
     ahead = np.searchsorted(t[first] * m + rank[first + 1], t[rest] * m + rank[rest + 1])
     ahead += np.searchsorted((t[second] * k + t[second + 1]) * m + rank[second + 2], (t[rest] * k + t[rest + 1]) * m + rank[rest + 2])
-    out, place = np.empty(n, np.int64), ahead + np.arange(len(rest))
+    # suffixes that agree in `depth` symbols have any order; the running maximum keeps places apart there too
+    out, place = np.empty(n, np.int64), np.maximum.accumulate(ahead) + np.arange(len(rest))
     taken = np.zeros(n, bool)
     taken[place] = True
     out[place] = rest

@@ -319,6 +319,16 @@ def test_suffix_array():
             assert suffixdedup.suffix_array(s).tolist() == sorted(range(n), key=lambda i, s=s: s[i:].tolist())
 
 
+def test_suffix_array_to_a_depth():
+    draw = random.Random(4)
+    for _ in range(60):
+        words = ["".join(draw.choice("ab") for _ in range(draw.choice([5, 9, 40]))) for _ in range(4)]
+        s = np.array([ord(c) for c in "".join(draw.choice(words) for _ in range(draw.randint(2, 120)))])
+        order = suffixdedup.suffix_array(s, 20)
+        heads = [s[i : i + 20].tolist() for i in order]
+        assert sorted(order.tolist()) == list(range(len(s))) and heads == sorted(heads)
+
+
 def test_repeats_removed(spark, whole):
     got = {r["doc_id"]: tuple(r)[1:] for r in suffixdedup.report(whole).collect()}
     assert got == brute_removed([(r["doc_id"], r["text"]) for r in whole.collect()], suffixdedup.MATCH)

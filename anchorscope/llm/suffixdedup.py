@@ -39,7 +39,7 @@ from .spark import cut
 from .text import pieces, scramble, utf8_view
 
 MATCH = 100
-GRAM = 20
+GRAM = 36
 FILTER_BITS = 27
 CROWD = 4000
 HOT = 20_000

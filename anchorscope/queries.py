@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from . import plans
-from .plans import compare, method, relational  # noqa: F401  (they register themselves)
+from .plans import compare, experiments, method, relational, stream  # noqa: F401  (they register themselves)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

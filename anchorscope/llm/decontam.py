@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .text import ALNUM, LOWER, PrefixHash, pieces, scramble, utf8_view, word_bounds
+from .text import ALNUM, LOWER, PrefixHash, in_slices, pieces, scramble, utf8_view, word_bounds
 
 WIDTH = 10
 #: Windows in one broadcast slice: about 32 MB with their words.
@@ -120,7 +120,7 @@ def _pass(docs: DataFrame, text: str, windows) -> DataFrame:
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scanner = Scanner(slice_.value)
-        for batch in batches:
+        for batch in in_slices(batches):
             n = batch.num_rows
             at = batch.schema.get_field_index(text)
             words, spans, items = [], [[] for _ in range(n)], [[] for _ in range(n)]
@@ -173,7 +173,7 @@ def remove_spans(docs: DataFrame, items: DataFrame, *, text: str = "text", width
     found, names = find_hits(docs, items, text=text, width=width), docs.columns
 
     def trim(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in in_slices(batches):
             at, where = batch.schema.get_field_index(text), batch.schema.get_field_index("__spans")
             texts, spans = batch.column(at).to_pylist(), batch.column(where).to_pylist()
             for i, s in enumerate(spans):

@@ -30,7 +30,7 @@ from pyspark.sql import types as T
 
 from .components import components
 from .spark import cut
-from .text import LOWER, NOT_SPACE, pieces, utf8_view, word_bounds
+from .text import LOWER, NOT_SPACE, in_slices, pieces, utf8_view, word_bounds
 
 SHINGLE = 3
 DISTANCE = 3
@@ -74,7 +74,7 @@ def fingerprint(docs: DataFrame, *, text: str = "text", out: str = "fingerprint"
     schema = T.StructType([*[docs.schema[c] for c in names], T.StructField(out, T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in in_slices(batches):
             data, offsets = utf8_view(batch.column(batch.schema.get_field_index(text)))
             parts = [fingerprints_of(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], shingle) for a, b in pieces(offsets)]
             values = np.concatenate(parts) if parts else np.zeros(0, np.uint64)

@@ -36,7 +36,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .spark import cut
-from .text import pieces, scramble, utf8_view
+from .text import in_slices, pieces, scramble, utf8_view
 
 MATCH = 100
 GRAM = 36
@@ -200,7 +200,7 @@ def repeated_ranges(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     rows = docs.select(*_keyed(docs, doc_id, text), F.col(f"`{text}`").alias("text")).filter(F.octet_length("text") >= match)
 
     def name(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in in_slices(batches):
             data, offsets = utf8_view(batch.column(0))
             every = [named_runs(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], match, gram)[3] for a, b in pieces(offsets)]
             names, n = np.unique(np.concatenate(every), return_counts=True) if every else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
@@ -214,7 +214,7 @@ def repeated_ranges(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         import xxhash
 
         digest = xxhash.xxh3_64_intdigest
-        for batch in batches:
+        for batch in in_slices(batches):
             doc, th = batch.column(0).to_numpy(), batch.column(1).to_numpy()
             data, offsets = utf8_view(batch.column(2))
             for a, b in pieces(offsets):
@@ -330,7 +330,7 @@ def remove_repeats(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text
     keyed = docs.select(*[F.col(f"`{c}`") for c in names], *_keyed(docs, doc_id, text)).join(spans, ["doc", "th"], "left").select(*[F.col(f"`{c}`") for c in names], "__ranges")
 
     def strike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in in_slices(batches):
             found, kept = [], []
             ranges = batch.column(len(names))
             texts = batch.column(names.index(text))

@@ -39,6 +39,13 @@ def pieces(offsets: np.ndarray, limit: int = PIECE_BYTES) -> Iterator[tuple[int,
         at = min(to, n)
 
 
+def in_slices(batches: Iterator[pa.RecordBatch], rows: int = 1000) -> Iterator[pa.RecordBatch]:
+    """The batches in parts of few rows, so that a kernel's copies of a batch stay small."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
 def byte_class(ranges: list[tuple[int, int]]) -> np.ndarray:
     table = np.zeros(256, bool)
     for low, high in ranges:

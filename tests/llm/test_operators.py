@@ -65,6 +65,7 @@ def test_nearest_vectors_recall(spark, sf):
     for r in ann.report(rows).collect():
         got.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
     assert set(got) == set(want)
+    assert all(len(found) == min(20, len(want[q])) for q, found in got.items())
     hit = sum(len({v for _, v, _ in got[q]} & {j for _, j in want[q]}) for q in want)
     assert hit / sum(map(len, want.values())) > 0.92
     for q, found in got.items():

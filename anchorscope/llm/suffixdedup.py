@@ -66,7 +66,7 @@ def suffix_array(s: np.ndarray, depth: int | None = None, cover: int = 1) -> np.
     ones, twos = np.arange(1, n + (n % 3 == 1), 3), np.arange(2, n, 3)
     sample = np.concatenate([ones, twos])
     triples = (t[sample] * k + t[sample + 1]) * k + t[sample + 2]
-    order = np.argsort(triples, kind="stable")
+    order = np.argsort(triples)
     new = np.ones(len(sample), bool)
     new[1:] = triples[order][1:] != triples[order][:-1]
     names = np.empty(len(sample), np.int64)
@@ -83,7 +83,7 @@ def suffix_array(s: np.ndarray, depth: int | None = None, cover: int = 1) -> np.
     m = len(sample) + 2
     rest = np.arange(0, n, 3)
     by_one = t[rest] * m + rank[rest + 1]
-    rest = rest[np.argsort(by_one, kind="stable")]
+    rest = rest[np.argsort(by_one)]
     first, second = sampled[sampled % 3 == 1], sampled[sampled % 3 == 2]
     ahead = np.searchsorted(t[first] * m + rank[first + 1], t[rest] * m + rank[rest + 1])
     ahead += np.searchsorted((t[second] * k + t[second + 1]) * m + rank[second + 2], (t[rest] * k + t[rest + 1]) * m + rank[rest + 2])
@@ -167,7 +167,6 @@ def gram_hashes(data: np.ndarray, gram: int) -> np.ndarray:
     h = np.zeros(m, np.uint64)
     for i, at in enumerate([*range(0, gram - 8, 8), gram - 8]):
         h += words[at : at + m] * np.uint64((0x9E3779B97F4A7C15 * (2 * i + 3)) & 0xFFFFFFFFFFFFFFFF | 1)
-        h ^= h >> np.uint64(29)
     return scramble(h)
 
 

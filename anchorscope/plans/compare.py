@@ -10,7 +10,7 @@ from ..functions import r6, u01
 from ..operators import baselines, erasure, supervision
 from ..sources import carriers, table
 from . import query, sql
-from .method import CFG, NAME_RECALL, STAR_RECALL, _forget_sql, name_graph, names, star, star_forget, star_graph
+from .method import CFG, NAME_RECALL, STAR_RECALL, _forget_sql, indexed, name_graph, names, star, star_forget, star_graph
 
 # ---------------------------------------------------------------- generators
 
@@ -40,7 +40,7 @@ TRUTH = "tr as (select t.target, p.entity, count(*) as n from targets t join poo
 
 @query(f"with {sql.base('customer_facts', 4, 'cust:%')}, {TRUTH} select * from tr")
 def gen_profile_truth(spark, d):
-    pool = carriers.customer_facts(spark, d)
+    pool = indexed(spark, d, "customer_facts", carriers.customer_facts)
     return baselines.profile_truth(carriers.frequent(pool, 4, "cust:%"), pool)
 
 
@@ -49,7 +49,7 @@ def gen_profile_truth(spark, d):
     select t.target, p.entity, count(*) as n from targets t join pool a on a.entity = t.target join pool p on p.record_id = a.record_id where p.entity <> t.target and not exists (select 1 from bad where bad.doc_id = cast(split_part(a.record_id, ':', 1) as bigint))
     and exists (select 1 from cb where cb.target = t.target and cb.dst = p.entity) group by t.target, p.entity""")
 def gen_expert_probe(spark, d):
-    pool = carriers.doc_words(spark, d)
+    pool = indexed(spark, d, "doc_words", carriers.doc_words)
     return baselines.expert_probe(carriers.frequent(pool, 4), pool, table(spark, d, "labels"))
 
 

@@ -19,6 +19,7 @@ from ..operators import baselines, erasure, recall, supervision, walks
 from ..sources import carriers, table
 from ..sources.responder import PoolResponder
 from . import query
+from .method import indexed, star
 
 STAR = RecallConfig(n=20, tau=0.3, k=2, budget=40, r=50)
 PROBES = 8
@@ -77,8 +78,8 @@ def run_grid(targets: DataFrame, pool: DataFrame, forget: DataFrame, near: DataF
 
 
 def parts(spark: SparkSession, d: str, n: int) -> tuple[DataFrame, DataFrame]:
-    pool = cut(carriers.star_facts(spark, d))
-    return pool, cut(carriers.frequent(pool, n, "part:%"))
+    pool, targets = star(spark, d, n)
+    return pool, cut(targets)
 
 
 @query()
@@ -92,7 +93,7 @@ def exp_main(spark, d):
 @query()
 def exp_profiles(spark, d):
     """Invented entities: exact profiles, direct questions and graph recall at few responses."""
-    pool = cut(carriers.customer_facts(spark, d))
+    pool = indexed(spark, d, "customer_facts", carriers.customer_facts)
     targets = cut(carriers.frequent(pool, 4, "cust:%"))
     forget, near, _ = pairs_of(targets, pool, STAR.but(n=5, tau=0.4, k=1), ("profile_truth", "direct_qa", "graph_recall"))
     return run_grid(targets, pool, forget, near, erasure.STRATEGIES)
@@ -167,7 +168,7 @@ def exp_overhead(spark, d):
     todo = [("star_facts", carriers.star_facts, "part:%", STAR), ("customer_facts", carriers.customer_facts, "cust:%", STAR.but(n=10, tau=0.5)), ("basket_part", lambda s, x: carriers.basket(s, x, "l_partkey"), None, STAR.but(tau=0.1)), ("doc_words", carriers.doc_words, None, STAR.but(tau=0.15))]
     rows = []
     for name, make, like, cfg in todo:
-        pool = cut(make(spark, d))
+        pool = indexed(spark, d, name, make)
         rows.append(profile(recall.expand(cut(carriers.frequent(pool, 4, like)), PoolResponder(pool, n=cfg.n), cfg), {"carrier": name}))
     return union(rows)
 

@@ -6,7 +6,8 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..config import RecallConfig
-from ..functions import r6, u01
+from ..functions import r6
+from ..functions.session import cut
 from ..operators import entities, recall, supervision, walks
 from ..sources import carriers, responder, table
 from ..sources.responder import PoolResponder
@@ -19,13 +20,24 @@ NAME_RECALL = sql.recall("basket_name", 2, 20, 4, 3)
 STAR_RECALL = sql.recall("star_facts", 2, 20, 6, 3, like="part:%")
 
 
+_POOLS: dict[tuple, DataFrame] = {}
+
+
+def indexed(spark: SparkSession, d: str, what: str, make) -> DataFrame:
+    """A pool's mentions, written once a session to the shared folder: the index that all requests read."""
+    key = (spark.sparkContext.applicationId, d, what)
+    if key not in _POOLS:
+        _POOLS[key] = cut(make(spark, d))
+    return _POOLS[key]
+
+
 def names(spark: SparkSession, d: str, n: int = 2) -> tuple[DataFrame, DataFrame]:
-    pool = carriers.basket(spark, d, "p_name")
+    pool = indexed(spark, d, "basket_name", lambda s, x: carriers.basket(s, x, "p_name"))
     return pool, carriers.frequent(pool, n)
 
 
 def star(spark: SparkSession, d: str, n: int = 2) -> tuple[DataFrame, DataFrame]:
-    pool = carriers.star_facts(spark, d)
+    pool = indexed(spark, d, "star_facts", carriers.star_facts)
     return pool, carriers.frequent(pool, n, "part:%")
 
 
@@ -212,7 +224,7 @@ def recall_edges_k3(spark, d):
 def _carrier(name: str, pool, n: int, need: int, k: int, like: str | None = None):
     @query(f"with {sql.recall(name, 1, n, need, k, like=like)} select target, src, dst, hop, c, round(w, 6) as w from edges where kept", name=f"recall_{name}")
     def run(spark, d):
-        p = pool(spark, d)
+        p = indexed(spark, d, name, pool)
         g = recall.expand(carriers.frequent(p, 1, like), PoolResponder(p, n=n), RecallConfig(n=n, tau=need / n, k=k, budget=None))
         return g.edges.filter("kept").select("target", "src", "dst", "hop", "c", r6("w").alias("w"))
 

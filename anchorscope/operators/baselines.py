@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..config import RecallConfig
 from ..functions import cosine, u01
+from ..functions.session import cut
 from ..sources.responder import PoolResponder
 from . import recall, walks
 
@@ -81,6 +82,39 @@ def paragraph_qa(pages: DataFrame, top: DataFrame) -> DataFrame:
     return rows.withColumn("_n", F.row_number().over(first)).filter("_n = 1").drop("_n")
 
 
+def record_paragraphs(requests: DataFrame, mentions: DataFrame, theta: float = 0.9) -> DataFrame:
+    """Paragraph questions where a pool's records are the paragraphs: target, entity, n (kept paragraphs that state it).
+
+    All records of a target are read; one goes if its set of entities is within cosine theta of an earlier one that stays.
+    Keep-first is in order of record_id, one target a task; only records that share a rare entity are compared.
+    """
+    import math
+    from collections import Counter
+
+    import pandas as pd
+
+    def run(frame: pd.DataFrame) -> pd.DataFrame:
+        sets = sorted((r, set(g)) for r, g in zip(frame["record_id"], frame["facts"], strict=True))
+        often = Counter(x for _, g in sets for x in g)
+        kept: list[set] = []
+        by: dict[str, list[int]] = {}
+        for _, g in sets:
+            # sets within theta share theta ** 2 of the larger one at least, so one of the first rare entities of each
+            head = sorted(g, key=lambda x: (often[x], x))[: len(g) - math.ceil(theta * theta * len(g) - 1e-9) + 1]
+            near = {i for x in head for i in by.get(x, ())}
+            if all(len(g & kept[i]) < theta * math.sqrt(len(g) * len(kept[i])) - 1e-9 for i in near):
+                for x in head:
+                    by.setdefault(x, []).append(len(kept))
+                kept.append(g)
+        target = frame["target"].iloc[0]
+        count = Counter(x for g in kept for x in g if x != target)
+        return pd.DataFrame({"target": target, "entity": list(count), "n": list(count.values())})
+
+    aim = mentions.join(requests, mentions["entity"] == requests["target"]).select("target", "record_id")
+    rows = aim.join(mentions, "record_id").groupBy("target", "record_id").agg(F.collect_set("entity").alias("facts"))
+    return rows.groupBy("target").applyInPandas(run, "target string, entity string, n long")
+
+
 def semantic_dedup_any(vectors: DataFrame, theta: float, *, key: str = "vec_id", vector: str = "embedding", block: str | None = "label") -> DataFrame:
     """Keys to keep: those without an earlier vector of their block within cosine theta. Order-free.
 
@@ -132,10 +166,22 @@ def neighbor_general(mentions: DataFrame, nodes: DataFrame, m: int = 20, seed: i
     return rows.withColumn("at", at).filter(F.col("at") <= m).select("target", "entity", "at")
 
 
-def graph_recall_pairs(requests: DataFrame, mentions: DataFrame, cfg: RecallConfig) -> tuple[DataFrame, DataFrame, recall.RecallGraph]:
-    """(forget, neighbor) pairs (target, cue, ans, n) of the full method, with its graph."""
+def graph_recall_pairs(requests: DataFrame, mentions: DataFrame, cfg: RecallConfig, coverage: float | None = None) -> tuple[DataFrame, DataFrame, recall.RecallGraph]:
+    """(forget, neighbor) pairs (target, cue, ans, n) of the full method, with its graph.
+
+    coverage: walks double until every target's paths meet that share of its nodes, or `r_max` is reached.
+    """
     graph = recall.expand(requests, PoolResponder(mentions, n=cfg.n, seed=cfg.seed, conditioning=cfg.conditioning, replace=cfg.replace, short_pool=cfg.short_pool), cfg)
-    forget = walks.filter_paths(walks.sample_walks(graph.edges, graph.nodes, cfg), cfg.eta, cfg.eta_mode, cfg.dedup_paths)
+    reached = graph.nodes.filter("hop > 0").select("target", F.col("entity").alias("node")).distinct()
+    while True:
+        forget = walks.filter_paths(walks.sample_walks(graph.edges, graph.nodes, cfg), cfg.eta, cfg.eta_mode, cfg.dedup_paths)
+        if coverage is None or cfg.r * 2 > cfg.r_max:
+            break
+        met = cut(forget).select("target", F.explode("nodes").alias("node")).distinct().withColumn("met", F.lit(1.0))
+        share = reached.join(met, ["target", "node"], "left").groupBy("target").agg(F.avg(F.coalesce("met", F.lit(0.0))).alias("share"))
+        if share.filter(F.col("share") < coverage).isEmpty():
+            break
+        cfg = cfg.but(r=cfg.r * 2)
     neighbor = walks.filter_paths(walks.sample_walks(graph.edges, graph.nodes, cfg, "neighbor"), cfg.eta, cfg.eta_mode, cfg.dedup_paths)
     steps = lambda p: p.select("target", F.posexplode("nodes").alias("pos", "node"), F.element_at("nodes", 1).alias("origin"), F.size("nodes").alias("len"))
     f = steps(forget).filter("node <> target").groupBy("target", F.col("node").alias("cue")).agg(F.count("*").alias("n")).select("target", "cue", F.col("target").alias("ans"), "n")

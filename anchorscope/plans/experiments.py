@@ -23,15 +23,16 @@ from .method import indexed, star
 
 STAR = RecallConfig(n=20, tau=0.3, k=2, budget=40, r=50)
 PROBES = 8
+GENERATORS = ("expert_probe", "paragraph_qa", "direct_qa", "graph_recall")
 
 
 def union(parts: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
 
-def pairs_of(targets: DataFrame, pool: DataFrame, cfg: RecallConfig, which: tuple[str, ...]) -> tuple[DataFrame, DataFrame, recall.RecallGraph]:
+def pairs_of(targets: DataFrame, pool: DataFrame, cfg: RecallConfig, which: tuple[str, ...], coverage: float | None = None) -> tuple[DataFrame, DataFrame, recall.RecallGraph]:
     """(forget pairs (generator, target, cue, ans, n), neighbour pairs (target, cue, ans, n), graph)."""
-    ours, near, graph = baselines.graph_recall_pairs(targets, pool, cfg)
+    ours, near, graph = baselines.graph_recall_pairs(targets, pool, cfg, coverage)
     about = lambda df, name, n: df.select(F.lit(name).alias("generator"), "target", F.col("entity").alias("cue"), F.col("target").alias("ans"), n.cast("long").alias("n"))
     truth = baselines.profile_truth(targets, pool)
     made = {"graph_recall": ours.select(F.lit("graph_recall").alias("generator"), "target", "cue", "ans", "n")}
@@ -41,9 +42,9 @@ def pairs_of(targets: DataFrame, pool: DataFrame, cfg: RecallConfig, which: tupl
         made["profile_truth"] = about(truth, "profile_truth", F.col("n"))
     if "expert_probe" in which:  # all external records, agreed by a second responder
         second = baselines.hop_one(targets, pool, cfg.n, 43).select("target", "entity")
-        made["expert_probe"] = about(truth.join(second, ["target", "entity"], "left_semi"), "expert_probe", F.lit(1))
-    if "paragraph_qa" in which:  # half of the external records, unchecked, each text once
-        made["paragraph_qa"] = about(truth.filter(u01(7, "target", "entity") < 0.5), "paragraph_qa", F.lit(1))
+        made["expert_probe"] = about(truth.join(second, ["target", "entity"], "left_semi"), "expert_probe", F.col("n"))
+    if "paragraph_qa" in which:  # all external records, unchecked, near copies once
+        made["paragraph_qa"] = about(baselines.record_paragraphs(targets, pool), "paragraph_qa", F.col("n"))
     return cut(union([made[g] for g in which])), cut(near), graph
 
 
@@ -84,12 +85,21 @@ def parts(spark: SparkSession, d: str, n: int) -> tuple[DataFrame, DataFrame]:
 
 @query()
 def exp_main(spark, d):
-    """Four strategies by four generators and the untouched model, eight targets."""
+    """Four strategies by four generators and the untouched model, eight targets; own forget sets cover 90 % of their graphs."""
     pool, targets = parts(spark, d, 8)
-    forget, near, _ = pairs_of(targets, pool, STAR, ("expert_probe", "paragraph_qa", "direct_qa", "graph_recall"))
+    forget, near, _ = pairs_of(targets, pool, STAR, GENERATORS, 0.9)
     return run_grid(targets, pool, forget, near, erasure.STRATEGIES)
 
 
+@query()
+def similarity_generators(spark, d):
+    """Cosine and Jaccard of what the generators of `exp_main` ask by, against paragraph questions: means over targets."""
+    pool, targets = parts(spark, d, 8)
+    asked = pairs_of(targets, pool, STAR, GENERATORS, 0.9)[0].select("target", "generator", F.col("cue").alias("entity"), "n")
+    mean = lambda df, name: df.filter("b = 'paragraph_qa'").groupBy("a").agg(r6(F.avg("value")).alias(name))
+    return mean(metrics.freq_cosine(asked), "cosine").join(mean(metrics.entity_jaccard(asked), "jaccard"), "a")
+
+
 @query()
 def exp_profiles(spark, d):
     """Invented entities: exact profiles, direct questions and graph recall at few responses."""

@@ -262,6 +262,25 @@ def test_greedy_dedup_equals_brute_force(spark):
     assert sorted(r["vec_id"] for r in baselines.semantic_dedup_greedy(rows, 0.9).collect()) == sorted(kept[0] + kept[1])
 
 
+def test_paragraphs_keep_every_fact_and_drop_near_copies(spark):
+    draw = random.Random(5)
+    sets = {f"r{i:02d}": {"T", *draw.sample("abcdefghijklmnop", 10)} for i in range(30)}
+    sets |= {f"s{i:02d}": g for i, g in enumerate(list(sets.values())[:5])}  # exact copies
+    sets |= {f"t{i:02d}": (g - {min(g - {"T"})}) | {"z"} for i, g in enumerate(list(sets.values())[:5])}  # ten of eleven shared
+    kept: list[set] = []
+    for _, g in sorted(sets.items()):
+        if all(len(g & k) / math.sqrt(len(g) * len(k)) < 0.9 for k in kept):
+            kept.append(g)
+    want = {x: sum(x in g for g in kept) for x in set().union(*kept) - {"T"}}
+    rows = spark.createDataFrame([(r, x) for r, g in sets.items() for x in g] + [("u", "other")], "record_id string, entity string")
+    ask = spark.createDataFrame([("T",)], "target string")
+    got = {r["entity"]: r["n"] for r in baselines.record_paragraphs(ask, rows).collect()}
+    assert got == want and len(kept) < len(sets)
+    # the grid asks by every fact that is left
+    forget = experiments.pairs_of(ask, rows, experiments.STAR, ("paragraph_qa", "graph_recall"), 0.9)[0]
+    assert {r["cue"]: r["n"] for r in forget.filter("generator = 'paragraph_qa'").collect()} == want
+
+
 def test_planted_facts_are_recovered(spark, data):
     """The only place where quality is asserted: facts met in 90 % of records are kept at 0.5, those of 20 % are not, noise is out."""
     rows = {r["tau"]: r for r in experiments.planted_recovery(spark, data).collect()}

@@ -1,7 +1,7 @@
 """The recall table model p(answer | cue) and the four erasure strategies as exact gradient steps on it.
 
 Parameters: (model_id, cue, ans, logit, ref_logit), a softmax over the answers of a cue. A cue's row is bounded by its
-support (the most frequent answers, the target, and one answer for all others), so a task holds single rows of cues.
+support (the most frequent answers, the target, those that pairs name, and one answer for all others), so a task holds single rows of cues.
 """
 
 from __future__ import annotations
@@ -18,9 +18,11 @@ OTHER = "__other__"
 PARAMS = "model_id string, cue string, ans string, logit double, ref_logit double"
 
 
-def fit_table(mentions: DataFrame, cues: DataFrame, *, lam: float = 0.5, support: int = 200, without: bool = False) -> DataFrame:
+def fit_table(mentions: DataFrame, cues: DataFrame, *, lam: float = 0.5, support: int = 200, without: bool = False, named: DataFrame | None = None) -> DataFrame:
     """cues: model_id, target, cue. Logits ln(c + lam) of co-mention counts over the whole pool.
 
+    named: model_id, cue, ans that stay answers of their own whatever their rank, as the target does: those that erasure pairs name.
+
     without: refit with all records that mention the target left out (the ideal that erasure is compared with).
     """
     if without:
@@ -31,9 +33,17 @@ def fit_table(mentions: DataFrame, cues: DataFrame, *, lam: float = 0.5, support
     else:
         counts = cooccur(mentions, cues.select("cue").distinct()).join(cues, "cue").select("model_id", "target", "cue", "ans", "c")
     at = F.row_number().over(Window.partitionBy("model_id", "target", "cue").orderBy((F.col("ans") == F.col("target")).desc(), F.desc("c"), "ans"))
-    ranked = counts.withColumn("at", at).withColumn("ans", F.when(F.col("at") <= support, F.col("ans")).otherwise(OTHER))
+    ranked = counts.withColumn("at", at)
+    stays = F.col("at") <= support
+    if named is not None:
+        named = named.select("model_id", "cue", "ans").distinct().withColumn("named", F.lit(True))
+        ranked = ranked.join(named, ["model_id", "cue", "ans"], "left")
+        stays = stays | F.col("named").isNotNull()
+    ranked = ranked.withColumn("ans", F.when(stays, F.col("ans")).otherwise(OTHER))
     table = ranked.groupBy("model_id", "target", "cue", "ans").agg(F.sum("c").alias("c"))
     always = cues.select("model_id", "target", "cue", F.explode(F.array(F.col("target"), F.lit(OTHER))).alias("ans"), F.lit(0).cast("long").alias("c"))
+    if named is not None:  # also answers that the cue was never met with
+        always = always.unionByName(cues.join(named, ["model_id", "cue"]).select("model_id", "target", "cue", "ans", F.lit(0).cast("long").alias("c")))
     table = table.unionByName(always.filter("ans <> cue")).groupBy("model_id", "cue", "ans").agg(F.max("c").alias("c"))
     logit = F.log(F.col("c") + lam)
     return table.select("model_id", "cue", "ans", logit.alias("logit"), logit.alias("ref_logit"))

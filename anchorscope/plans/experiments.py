@@ -48,6 +48,11 @@ def pairs_of(targets: DataFrame, pool: DataFrame, cfg: RecallConfig, which: tupl
     return cut(union([made[g] for g in which])), cut(near), graph
 
 
+def answers_of(*pairs: DataFrame) -> DataFrame:
+    """model_id (the target), cue, ans of pairs, for the support of the table."""
+    return union([p.select(F.col("target").alias("model_id"), "cue", "ans") for p in pairs])
+
+
 def run_grid(targets: DataFrame, pool: DataFrame, forget: DataFrame, near: DataFrame, strategies: tuple[str, ...], *, epochs: int = 5, lr: float = 0.2, budget: int = 60) -> DataFrame:
     """generator, strategy, split, kind, value: means over targets before and after erasure.
 
@@ -57,7 +62,7 @@ def run_grid(targets: DataFrame, pool: DataFrame, forget: DataFrame, near: DataF
     near_cues = supervision.cooccur(pool, targets.select(F.col("target").alias("cue"))).select(F.col("cue").alias("target"), F.col("ans").alias("cue"), "c")
     asked = cut(metrics.forget_probes(near_cues, PROBES))
     cues = union([asked.select("target", "cue"), asked.filter("cue2 is not null").select("target", F.col("cue2").alias("cue")), forget.select("target", "cue"), near.select("target", "cue")]).distinct().filter("cue <> target")
-    base = cut(erasure.fit_table(pool, cues.withColumn("model_id", F.col("target")), support=40))
+    base = cut(erasure.fit_table(pool, cues.withColumn("model_id", F.col("target")), support=40, named=answers_of(forget, near)))
     best = base.filter((F.col("ans") != F.col("model_id")) & (F.col("ans") != erasure.OTHER)).groupBy("model_id", "cue").agg(F.max_by("ans", F.struct("logit", "ans")).alias("best")).select(F.col("model_id").alias("target"), "cue", "best")
     grid = forget.select("generator").distinct().crossJoin(spark.createDataFrame([(s,) for s in strategies], "strategy string"))
     grid = grid.unionByName(spark.createDataFrame([("-", "before")], "generator string, strategy string"))
@@ -249,7 +254,7 @@ def utility_scores(spark, d):
     forget, near, graph = pairs_of(targets, pool, STAR.but(k=1), ("graph_recall",))
     free = cut(baselines.neighbor_general(pool, graph.nodes, 10).select("target", F.col("entity").alias("cue")))
     grid = spark.createDataFrame([("before",), *[(s,) for s in erasure.STRATEGIES]], "strategy string")
-    base = erasure.fit_table(pool, free.unionByName(forget.select("target", "cue")).distinct().withColumn("model_id", F.col("target")), support=40)
+    base = erasure.fit_table(pool, union([x.select("target", "cue") for x in (free, forget, near)]).distinct().withColumn("model_id", F.col("target")), support=40, named=answers_of(forget, near))
     name = F.concat_ws("|", F.col("model_id"), F.col("strategy"))
     of = lambda df: df.withColumn("model_id", F.col("target")).crossJoin(grid).select(name.alias("model_id"), "cue", "ans", "n")
     params = cut(base.crossJoin(grid).select(name.alias("model_id"), "cue", "ans", "logit", "ref_logit"))

@@ -232,6 +232,21 @@ def test_kl_without_forget_pairs_is_no_step(spark):
     assert {r["ans"]: r["logit"] for r in erasure.erase(params, none, near).collect()} == {"T": pytest.approx(1.0), "A": pytest.approx(0.0)}
 
 
+def test_named_answers_stay_in_the_support(spark):
+    """A neighbour pair whose answer is rare with its cue, or was never met with it, takes part in erasure."""
+    met = [(f"r{i}", x) for i in range(60) for x in ("cue", f"often{i % 6}")] + [(f"q{i}", x) for i in range(3) for x in ("cue", "rare", "T")]
+    pool = spark.createDataFrame(met, "record_id string, entity string")
+    cues = spark.createDataFrame([("T|ga_gd", "T", "cue")], "model_id string, target string, cue string")
+    near = spark.createDataFrame([("T|ga_gd", "cue", "rare", 2.0), ("T|ga_gd", "cue", "never", 1.0)], "model_id string, cue string, ans string, n double")
+    none = near.limit(0)
+    params = erasure.fit_table(pool, cues, support=3, named=near)
+    logits = {r["ans"]: r["ref_logit"] for r in params.collect()}
+    assert set(logits) == {"T", "often0", "often1", "rare", "never", erasure.OTHER}
+    assert logits["rare"] == pytest.approx(math.log(3.5)) and logits["never"] == pytest.approx(math.log(0.5)) and logits[erasure.OTHER] == pytest.approx(math.log(40.5))
+    moved = {r["ans"]: r["logit"] - r["ref_logit"] for r in erasure.erase(params, none, near).collect()}
+    assert moved["rare"] > 0 and moved["never"] > 0 and moved["often0"] < 0
+
+
 # ------------------------------------------------------------------ measures
 
 

@@ -236,6 +236,13 @@ def shingle_pairs(spark, d):
     return ops.shingle_jaccard(table(spark, d, "documents"), 0.8).select("a", "b", r6("jaccard").alias("jaccard"))
 
 
+@query("""with w as (select doc_id, list_filter(string_split_regex(lower(text), '\\s+'), lambda w: w <> '') as t from documents), g as (select distinct doc_id, array_to_string(t[i : i + 4], ' ') as s from (select doc_id, t, unnest(range(1, greatest(len(t) - 4, 1) + 1)) as i from w where len(t) > 0)),
+    n as (select doc_id, md5(string_agg(s, '|' order by s)) as k from g group by doc_id) select doc_id, coalesce(min(doc_id) over (partition by k), doc_id) as representative from n union all select doc_id, doc_id from w where coalesce(len(t), 0) = 0""")
+def shingle_members(spark, d):
+    """Membership beside `shingle_pairs`, whose pairs are between representatives."""
+    return ops.shingle_members(table(spark, d, "documents"))
+
+
 @query("select doc_id, regexp_replace(regexp_replace(text, '[a-zA-Z0-9._]+@[a-zA-Z0-9.]+', '<mail>', 'g'), '[0-9]{7,}', '<digits>', 'g') as masked from documents")
 def mask_personal(spark, d):
     return table(spark, d, "documents").select("doc_id", ops.mask_personal(F.col("text")).alias("masked"))

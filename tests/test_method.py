@@ -331,6 +331,14 @@ def test_shingle_pairs_lose_none(spark):
     assert got == want and want
 
 
+def test_shingle_members_hold_every_document(spark):
+    one, two = "a b c d e f g", "h i j k l m n"
+    texts = {1: one, 2: two, 3: one.upper(), 4: "a  b c\nd e f g", 5: one, 6: "", 7: None, 8: "x y", 9: "X y", 10: "p q r s t " * 3, 11: "p q r s t " * 4, 12: " "}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    got = {r["doc_id"]: r["representative"] for r in relational.shingle_members(docs).collect()}
+    assert got == {1: 1, 2: 2, 3: 1, 4: 1, 5: 1, 6: 6, 7: 7, 8: 8, 9: 8, 10: 10, 11: 10, 12: 12}
+
+
 def test_config_is_checked():
     for bad in ({"tau": 0}, {"n": 0}, {"conditioning": "x"}, {"budget": 0}):
         with pytest.raises(ValueError):

@@ -11,6 +11,8 @@ inside a member count only where a range begins inside that member, and there th
 (A range that begins inside an incompressible payload which is itself a WARC archive could be misled; `range_bytes` above the
 largest such payload rules this out.)
 
+Headers are as long as their urls; a header and its block must fit into a task's memory.
+
 Paths are URIs of the shared folder, opened through pyarrow's file systems (local, HDFS, S3).
 
 Null html is an empty payload; a null url leaves out the target; null ids are written as "null", read back as
@@ -31,7 +33,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .spark import shared_folder
+from .spark import cut, shared_folder
 
 MIN_SHARED = 100
 RANGE_BYTES = 8 << 20
@@ -39,7 +41,6 @@ _MAGIC = b"\x1f\x8b\x08"
 _READ = 1 << 18
 _HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"
 _PREFIX = "urn:page:"
-_MAX_HEADER = 1 << 20
 
 
 def _open(uri: str) -> tuple[pafs.FileSystem, str]:
@@ -123,7 +124,7 @@ class _Source:
 
 def _member(source: _Source, at: int) -> tuple[dict[str, str], bytes, int] | None:
     """Header fields, block and end of the member at `at`; None unless it decodes to a WARC record."""
-    unpack, out, place, ready = zlib.decompressobj(31), bytearray(), at, False
+    unpack, out, place = zlib.decompressobj(31), bytearray(), at
     try:
         while not unpack.eof:
             if not source.fill(place + 1):
@@ -131,12 +132,8 @@ def _member(source: _Source, at: int) -> tuple[dict[str, str], bytes, int] | Non
             some = source.data[place - source.base : place - source.base + _READ]
             out += unpack.decompress(some)
             place += len(some) - len(unpack.unused_data)
-            if not ready:
-                if not b"WARC/1.".startswith(bytes(out[:7])):
-                    return None
-                ready = b"\r\n\r\n" in out
-                if not ready and len(out) > _MAX_HEADER:
-                    return None
+            if not b"WARC/1.".startswith(bytes(out[:7])):
+                return None
     except zlib.error:
         return None
     head, gap, rest = bytes(out).partition(b"\r\n\r\n")
@@ -217,11 +214,13 @@ def read_archives(spark: SparkSession, folder: str, range_bytes: int = RANGE_BYT
 
 
 def report(pages: DataFrame, folder: str | None = None) -> DataFrame:
-    """Writes pages as archives, reads these back, and gives revisits the payload size of the response that they name."""
+    """Writes pages as archives, reads these back, and gives revisits the payload size of the response that they name; raises if not all are read."""
     spark = pages.sparkSession
     folder = folder or f"{shared_folder(spark).rstrip('/')}/warc-{uuid.uuid4().hex}"
-    write_archives(pages, folder).agg(F.sum("records")).collect()
-    rows = read_archives(spark, folder).select("page_id", F.octet_length("payload").cast("long").alias("_bytes"), "payload_digest", "record_type", "refers_to")
+    written = write_archives(pages, folder).agg(F.sum("records")).first()[0] or 0
+    rows = cut(read_archives(spark, folder).select("page_id", F.octet_length("payload").cast("long").alias("_bytes"), "payload_digest", "record_type", "refers_to"))
+    if (read := rows.count()) != written:
+        raise ValueError(f"{written} records written to {folder}, {read} read")
     kept = rows.filter(F.col("record_type") == "response").groupBy(F.col("page_id").alias("_id"), F.col("payload_digest").alias("_digest")).agg(F.max("_bytes").alias("_kept"))
     # sizes of what Python reads are not known beforehand: never a broadcast by estimate
     found = rows.join(kept.hint("merge"), (F.col("refers_to") == F.col("_id")) & (F.col("payload_digest") == F.col("_digest")), "left")

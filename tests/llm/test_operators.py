@@ -420,6 +420,12 @@ def test_warc_round_trip(spark, data, tmp_path):
     assert warc.report(pages.limit(0), f"file://{tmp_path}/none").count() == 0
 
 
+def test_warc_keeps_pages_with_long_urls(spark, tmp_path):
+    url = "http://x/" + "".join(random.Random(4).choices("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", k=3_000_000))
+    pages = spark.createDataFrame([(1, url, "long"), (2, "http://y", "short")], "page_id long, url string, html string")
+    assert {r["page_id"]: r["payload_bytes"] for r in warc.report(pages, f"file://{tmp_path}/long").collect()} == {1: 4, 2: 5}
+
+
 # ------------------------------------------------------------------ 10
 
 

@@ -160,11 +160,7 @@ def extract_mentions(spark, d):
 @query("""select lang, count(*) as words, sum(df) as mentions from (select lang, entity, count(*) as df from (select distinct doc_id, lang, unnest(list_transform(regexp_extract_all(text, '(\\p{L}+)', 1), lambda w: lower(w))) as entity from documents)
     where length(entity) >= 6 group by lang, entity having count(*) between 3 and 200) group by lang""")
 def lexicon_by_lang(spark, d):
-    docs = table(spark, d, "documents")
-    parts = [entities.build_lexicon(docs.filter(F.col("lang") == x), rule="letters", min_df=3).withColumn("lang", F.lit(x)) for x in ("en", "fr", "de", "es")]
-    rows = parts[0]
-    for p in parts[1:]:
-        rows = rows.unionByName(p)
+    rows = entities.build_lexicon(table(spark, d, "documents"), rule="letters", min_df=3, by="lang")
     return rows.groupBy("lang").agg(F.count("*").alias("words"), F.sum("df").alias("mentions"))
 
 

@@ -339,6 +339,17 @@ def test_shingle_members_hold_every_document(spark):
     assert got == {1: 1, 2: 2, 3: 1, 4: 1, 5: 1, 6: 6, 7: 7, 8: 8, 9: 8, 10: 10, 11: 10, 12: 12}
 
 
+def test_lexicon_by_lang_holds_every_language(spark, tmp_path):
+    from anchorscope.plans.method import lexicon_by_lang
+
+    rows = [(i, f"ordinary parola{i % 2}", lang) for k, lang in enumerate(("en", "it", None)) for i in range(k * 10, k * 10 + 6)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["lang"]: (r["words"], r["mentions"]) for r in lexicon_by_lang(spark, str(tmp_path)).collect()}
+    assert got == {"en": (2, 12), "it": (2, 12), None: (2, 12)}
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    assert entities.build_lexicon(docs, min_df=1, max_df_share=1.0, by="lang").groupBy("lang").count().count() == 3
+
+
 def test_config_is_checked():
     for bad in ({"tau": 0}, {"n": 0}, {"conditioning": "x"}, {"budget": 0}):
         with pytest.raises(ValueError):

@@ -4,24 +4,45 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share; only where none is set (tests, one machine) a local one."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or what setCheckpointDir set. On one machine (tests) a local one will do; a cluster without either raises."""
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if folder:
+        return folder.rstrip("/")
     jvm = spark.sparkContext._jsc.sc()
     if jvm.getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="shared-"))
-    return spark.conf.get("spark.checkpoint.dir", None) or jvm.getCheckpointDir().get()
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="shared-"))
+    return jvm.getCheckpointDir().get().rstrip("/")
+
+
+@contextmanager
+def freeing_shuffles(spark: SparkSession) -> Iterator[None]:
+    """While it lasts, the shuffle files of a write go as soon as the written table is whole."""
+    key = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    old = spark.conf.get(key, None)
+    spark.conf.set(key, "true")
+    try:
+        yield
+    finally:
+        spark.conf.unset(key) if old is None else spark.conf.set(key, old)
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """A table written to the shared folder and read again: lineage ends here, lost executors lose nothing."""
+    """A table written to the shared folder and read again: lineage ends here, lost executors lose nothing, and the shuffles behind it are freed."""
     spark = df.sparkSession
-    path = f"{shared_folder(spark).rstrip('/')}/stage-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    path = f"{shared_folder(spark)}/stage-{uuid.uuid4().hex}"
+    with freeing_shuffles(spark):
+        df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

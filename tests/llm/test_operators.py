@@ -27,7 +27,7 @@ ODD = [None, "", " \t\n", "word", "Ünïcödé wörds hére", "x" * 5000, "a b c
 
 @pytest.fixture(scope="module")
 def whole(spark, data):
-    return spark.read.parquet(f"{data}/documents.parquet").cache()
+    return spark.read.parquet(f"{data}/documents.parquet")  # never cached: other tests of the session read the same files
 
 
 # ------------------------------------------------------------------ kernels

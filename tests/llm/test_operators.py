@@ -335,13 +335,13 @@ def test_repeats_removed(spark, whole):
     assert got == brute_removed([(r["doc_id"], r["text"]) for r in whole.collect()], suffixdedup.MATCH)
 
 
-@pytest.mark.parametrize("crowd", [4000, 2])
-def test_repeats_removed_odd(spark, crowd):
+@pytest.mark.parametrize(("crowd", "hot"), [(4000, 64), (2, 64), (4000, 1), (4000, 0)])
+def test_repeats_removed_odd(spark, crowd, hot):
     draw = random.Random(2)
     line = "".join(draw.choice("abcdefgh ") for _ in range(140))
     texts = [*ODD, line, line + "x" * 50, "q" + line[:120], line * 3, *[f"{draw.random()} {line} {draw.random()}" * 2 for _ in range(12)], line[5:105], "é" * 70, "zé" + "é" * 60]
     rows = list(enumerate(texts))
-    done = suffixdedup.remove_repeats(docs_of(spark, texts), crowd=crowd).collect()
+    done = suffixdedup.remove_repeats(docs_of(spark, texts), crowd=crowd, hot=hot).collect()
     want = brute_removed(rows, suffixdedup.MATCH)
     for r in done:
         n, removed, runs, sha = want[r["doc_id"]]

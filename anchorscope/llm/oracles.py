@@ -35,13 +35,28 @@ with d as (
     from o
 ), w as (
     select *, case when source_size > 0 then floor(target / source_size + 1e-9) else 0 end as whole from t
+), m as (
+    select w.*, greatest(0.0, target - whole * source_size) as missing from w
+), v as (
+    select source, size, sum(size) as w, any_value(missing) as missing from d join m using (source) where size > 0 group by source, size
+    union all select null, d.size, sum(d.size), any_value(missing) from d join m on d.source is null and m.source is null where d.size > 0 group by d.size
+), e as (
+    select source, size, missing - coalesce(sum(w) over (partition by source order by size desc rows between unbounded preceding and 1 preceding), 0) as still,
+        sum(cast(size as double) * w) over (partition by source order by size desc rows between current row and unbounded following) as rest
+    from v
+), f as (
+    select *, min(case when still * size >= rest then 1 else 0 end) over (partition by source order by size desc rows between unbounded preceding and current row) = 1 as certain from e
+), g as (
+    select source, min(case when certain then size end) as least, coalesce(arg_max(still / rest, size) filter (not certain), 0) as c, coalesce(arg_max(still, size) filter (not certain), 0) as still from f group by source
+), q as (
+    select d.doc_id, d.size, m.source_size, m.target, m.whole, g.still, d.source, d.size > 0 and coalesce(d.size >= g.least, false) as certain,
+        case when d.size > 0 and not coalesce(d.size >= g.least, false) and g.c * d.size > 0 and g.c * d.size < 1 then (d.u / (1 - d.u)) / (g.c * d.size / (1 - g.c * d.size)) end as pareto
+    from d join m on d.source is not distinct from m.source left join g on d.source is not distinct from g.source
 ), r as (
-    select d.doc_id, d.size, w.source_size, w.target, w.whole, greatest(0.0, w.target - w.whole * w.source_size) as missing,
-        coalesce(sum(d.size) over (partition by d.source order by d.u, d.doc_id rows between unbounded preceding and 1 preceding), 0) as before
-    from d join w on d.source is not distinct from w.source
+    select *, coalesce(sum(case when pareto is not null then size else 0 end) over (partition by source order by pareto nulls last, doc_id rows between unbounded preceding and 1 preceding), 0) as before from q
 )
 select doc_id, cast(size as bigint) as size, cast(source_size as bigint) as source_size, cast(target as double) as target,
-    cast((whole + case when size > 0 and before + size / 2.0 <= missing then 1 else 0 end) * size as bigint) as taken
+    cast((whole + case when certain or (pareto is not null and before + size / 2.0 <= still) then 1 else 0 end) * size as bigint) as taken
 from r
 """
 

@@ -6,13 +6,13 @@ with the place where every pre-token starts. The pre-tokeniser reads from left t
 starts before its last `GUARD` characters are true. A start that this chunk and the next one have in common is thus
 a boundary from which both go on alike: the count is spliced there. If the overlap holds no such
 start (one endless word or run of white space), it is doubled and the next chunk encoded again, in the end from
-the last place that is proven; so the count equals that of the text encoded at once.
+the last place that is proven, and then twice as far as before; so the count equals that of the text encoded at once, and the work stays in proportion to the text.
 
 Texts of one chunk go pre-token by pre-token through a bounded table of counts already taken, if all their
 characters are Latin (below U+0250, where all versions of Unicode agree on letters, digits and spaces) and no special token is named in
 them; what the table lacks, and all other texts, the tokenizer encodes. Pre-tokens are encoded each by itself, so counts are the same.
 
-Memory is bounded by a batch of chunks, not by the document, unless one pre-token spans it.
+Memory is bounded by a chunk, not by the document, unless one pre-token spans it.
 
 Null and empty texts have 0 tokens and 0 bytes; every row is counted by itself; other columns are not read.
 """
@@ -116,31 +116,24 @@ class _Chunk:
 def count_long(text: str, exact, chunk: int = CHUNK, overlap: int = OVERLAP) -> int:
     """Tokens of one text, never encoded at once."""
     n = len(text)
-    if n == 0:
-        return 0
-    encode = lambda spans: [_Chunk(e, a, b) for e, (a, b) in zip(exact.encode_batch([text[a:b] for a, b in spans], add_special_tokens=False), spans, strict=True)]
-    bounds = [(max(0, a - overlap), min(n, a + chunk)) for a in range(0, n, chunk)]
-    step = max(1, _BATCH_CHARS // chunk)
-    total, place, current = 0, 0, None  # `place`: a true boundary up to which all is counted; `current` holds it
-    for k in range(0, len(bounds), step):
-        for following in encode(bounds[k : k + step]):
-            if current is None:
-                current = following
-                continue
-            wide = overlap
-            while True:
-                true = current.starts[(current.starts >= place) & (current.starts < current.end - GUARD)]
-                common = np.intersect1d(true, following.starts[following.starts > following.begin])
-                if len(common):
-                    total += current.rank(int(common[-1])) - current.rank(place)
-                    place = int(common[-1])
-                    break
-                wide *= 2
-                begin = max(place, current.end - wide)
-                [following] = encode([(begin, following.end)])
-                if begin == place:  # it begins where a pre-token does, so nothing is left to align
-                    break
-            current = following
+    encode = lambda a, b: _Chunk(exact.encode(text[a:b], add_special_tokens=False), a, b)
+    total, place, current = 0, 0, encode(0, min(n, chunk))  # `place`: a true boundary up to which all is counted; `current` holds it
+    while current.end < n:
+        wide, end = overlap, min(n, current.end + chunk)
+        true = current.starts[(current.starts >= place) & (current.starts < current.end - GUARD)]
+        while True:
+            begin = max(place, current.end - wide)
+            if begin == place:  # nothing to align with: from the proven place on, twice as much, so that each character is encoded a few times at most
+                following = encode(place, min(n, place + 2 * (current.end - place) + chunk))
+                break
+            following = encode(begin, end)
+            common = np.intersect1d(true, following.starts[following.starts > begin])
+            if len(common):
+                total += current.rank(int(common[-1])) - current.rank(place)
+                place = int(common[-1])
+                break
+            wide *= 2
+        current = following
     return total + current.tokens - current.rank(place)
 
 

@@ -33,13 +33,15 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .spark import cut, shared_folder
+from .spark import by_size, cut, shared_folder
 
 MIN_SHARED = 100
 RANGE_BYTES = 8 << 20
 _MAGIC = b"\x1f\x8b\x08"
 _READ = 1 << 18
-_HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"
+_HTTP = "HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {}\r\n\r\n"
+#: Pages of one payload beyond which its digest is met by broadcast or under salts.
+HOT = 10_000
 _PREFIX = "urn:page:"
 
 
@@ -59,7 +61,7 @@ def record(page_id: int | None, url: str | None, payload: bytes, sha256: str, re
     lines.append(f"WARC-Payload-Digest: sha256:{sha256}")
     if refers_to is not None:
         lines += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {name(refers_to)}"]
-    block = _HTTP if refers_to is not None else _HTTP + payload
+    block = _HTTP.format(len(payload)).encode() + (payload if refers_to is None else b"")  # of a revisit the headers of the page that it stands for
     lines += ["Content-Type: application/http; msgtype=response", f"Content-Length: {len(block)}"]
     pack = zlib.compressobj(6, zlib.DEFLATED, 31)
     return pack.compress("\r\n".join(lines).encode() + b"\r\n\r\n" + block + b"\r\n\r\n") + pack.flush()
@@ -69,8 +71,14 @@ def plan_records(pages: DataFrame, *, page_id: str = "page_id", url: str = "url"
     """page_id, url, payload, sha256, refers_to: what each record is to hold."""
     rows = pages.select(F.col(f"`{page_id}`").cast("long").alias("page_id"), F.col(f"`{url}`").alias("url"), F.coalesce(F.col(f"`{html}`"), F.lit("")).cast("binary").alias("payload"))
     rows = rows.withColumn("sha256", F.sha2("payload", 256))
-    shared = rows.filter(F.octet_length("payload") >= MIN_SHARED).groupBy("sha256").agg(F.min("page_id").alias("_least"), F.count("*").alias("_n")).filter("_n > 1").select("sha256", "_least")
-    rows = rows.join(shared, "sha256", "left")
+    shared = rows.filter(F.octet_length("payload") >= MIN_SHARED).groupBy("sha256").agg(F.min("page_id").alias("_least"), F.count("*").alias("_n")).filter("_n > 1")
+    shared = cut(shared)
+    # payloads of very many pages are few; their pages stay where they are, the others meet by digest
+    hot = by_size(shared.filter(F.col("_n") > HOT).select("sha256", F.col("_least").alias("_hot")))
+    rows = rows.join(hot, "sha256", "left")
+    own = F.when(F.col("_hot").isNull(), F.col("sha256")).otherwise(F.concat_ws("#", "sha256", F.xxhash64("page_id", "url")))
+    cold = shared.filter(F.col("_n") <= HOT).select(F.col("sha256").alias("_key"), F.col("_least").alias("_cold"))
+    rows = rows.withColumn("_key", own).join(cold, "_key", "left").withColumn("_least", F.coalesce("_hot", "_cold"))
     refers = F.when(F.col("page_id").isNull() | (F.col("_least") < F.col("page_id")), F.col("_least"))
     return rows.select("page_id", "url", "payload", "sha256", refers.alias("refers_to"))
 
@@ -109,7 +117,7 @@ class _Source:
     """A file read forward in blocks from any place."""
 
     def __init__(self, handle, size: int, at: int):
-        self.handle, self.size, self.base, self.data = handle, size, at, b""
+        self.handle, self.size, self.base, self.data = handle, size, at, bytearray()
 
     def fill(self, to: int) -> bool:
         """Holds bytes up to `to` if the file has them."""
@@ -119,7 +127,8 @@ class _Source:
 
     def drop(self, before: int) -> None:
         if before > self.base:
-            self.data, self.base = self.data[before - self.base :], before
+            del self.data[: before - self.base]
+            self.base = before
 
 
 def _member(source: _Source, at: int) -> tuple[dict[str, str], bytes, int] | None:
@@ -179,29 +188,34 @@ def split_files(spark: SparkSession, folder: str, range_bytes: int = RANGE_BYTES
 
 
 def read_archives(spark: SparkSession, folder: str, range_bytes: int = RANGE_BYTES) -> DataFrame:
-    """file, offset, record_type, page_id, url, refers_to, payload_digest, payload for every record of the archives in `folder`.
+    """file, offset, record_type, page_id, url, refers_to, payload_digest, payload_bytes, payload for every record of the archives in `folder`.
 
-    The digest of a response is taken of the payload read, and must be that of its header.
+    The digest of a response is taken of the payload read, and must be that of its header. A revisit has the digest and the size (null if its HTTP headers have none) of the
+    payload that it stands for, so nothing has to be joined to it.
     """
 
+    def length(headers: bytes) -> int | None:
+        stated = [v.strip() for k, _, v in (line.partition(b":") for line in headers.split(b"\r\n")) if k.strip().lower() == b"content-length"]
+        return int(stated[0]) if stated and stated[0].isdigit() else None
+
     def number(name: str | None) -> int | None:
         text = (name or "").strip("<>").removeprefix(_PREFIX)
         return int(text) if text.lstrip("-").isdigit() else None
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ["file", "offset", "record_type", "page_id", "url", "refers_to", "payload_digest", "payload"]
-        types = [pa.string(), pa.int64(), pa.string(), pa.int64(), pa.string(), pa.int64(), pa.string(), pa.binary()]
+        names = ["file", "offset", "record_type", "page_id", "url", "refers_to", "payload_digest", "payload_bytes", "payload"]
+        types = [pa.string(), pa.int64(), pa.string(), pa.int64(), pa.string(), pa.int64(), pa.string(), pa.int64(), pa.binary()]
         for batch in batches:
             for split in batch.to_pylist():
                 fs, path = _open(split["file"])
                 rows, held = [], 0
                 with fs.open_input_file(path) as handle:
                     for at, fields, block in read_range(handle, split["size"], split["start"], split["end"]):
-                        kind, payload = fields["warc-type"], block.partition(b"\r\n\r\n")[2]
+                        kind, (headers, _, payload) = fields["warc-type"], block.partition(b"\r\n\r\n")
                         stored = fields.get("warc-payload-digest", "").removeprefix("sha256:")
                         if kind == "response" and hashlib.sha256(payload).hexdigest() != stored:
                             raise ValueError(f"payload of the record at {at} of {split['file']} doesn't match its digest")
-                        rows.append((split["file"], at, kind, number(fields.get("warc-record-id")), fields.get("warc-target-uri"), number(fields.get("warc-refers-to")), stored, payload if kind == "response" else None))
+                        rows.append((split["file"], at, kind, number(fields.get("warc-record-id")), fields.get("warc-target-uri"), number(fields.get("warc-refers-to")), stored, len(payload) if kind == "response" else length(headers), payload if kind == "response" else None))
                         held += len(payload)
                         if held > 4 << 20:
                             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names=names)
@@ -209,19 +223,16 @@ def read_archives(spark: SparkSession, folder: str, range_bytes: int = RANGE_BYT
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names=names)
 
-    schema = "file string, offset long, record_type string, page_id long, url string, refers_to long, payload_digest string, payload binary"
+    schema = "file string, offset long, record_type string, page_id long, url string, refers_to long, payload_digest string, payload_bytes long, payload binary"
     return split_files(spark, folder, range_bytes).mapInArrow(read, schema)
 
 
 def report(pages: DataFrame, folder: str | None = None) -> DataFrame:
-    """Writes pages as archives, reads these back, and gives revisits the payload size of the response that they name; raises if not all are read."""
+    """Writes pages as archives, reads these back; raises if not all are read."""
     spark = pages.sparkSession
-    folder = folder or f"{shared_folder(spark).rstrip('/')}/warc-{uuid.uuid4().hex}"
+    folder = folder or f"{shared_folder(spark)}/warc-{uuid.uuid4().hex}"
     written = write_archives(pages, folder).agg(F.sum("records")).first()[0] or 0
-    rows = cut(read_archives(spark, folder).select("page_id", F.octet_length("payload").cast("long").alias("_bytes"), "payload_digest", "record_type", "refers_to"))
+    rows = cut(read_archives(spark, folder).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"))
     if (read := rows.count()) != written:
         raise ValueError(f"{written} records written to {folder}, {read} read")
-    kept = rows.filter(F.col("record_type") == "response").groupBy(F.col("page_id").alias("_id"), F.col("payload_digest").alias("_digest")).agg(F.max("_bytes").alias("_kept"))
-    # sizes of what Python reads are not known beforehand: never a broadcast by estimate
-    found = rows.join(kept.hint("merge"), (F.col("refers_to") == F.col("_id")) & (F.col("payload_digest") == F.col("_digest")), "left")
-    return found.select("page_id", F.coalesce("_bytes", "_kept").alias("payload_bytes"), "payload_digest", "record_type", "refers_to")
+    return rows

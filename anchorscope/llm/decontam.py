@@ -37,16 +37,14 @@ def normalised_words(text: str | None) -> list[bytes]:
     return _WORD.findall((text or "").encode("utf-8", "replace").lower())
 
 
-def windows_of(items: list[tuple[str, str | None]], width: int) -> Iterator[dict[tuple[bytes, ...], list[str]]]:
-    """Slices of window -> names of the items that hold it."""
-    found: dict[tuple[bytes, ...], list[str]] = {}
+def windows_of(items: list[tuple[str, str | None]], width: int) -> Iterator[dict[tuple[bytes, ...], dict[str, None]]]:
+    """Slices of window -> names of the items that hold it, each once."""
+    found: dict[tuple[bytes, ...], dict[str, None]] = {}
     for name, text in items:
         words = normalised_words(text)
         n = min(width, len(words))
         for i in range(len(words) - n + 1 if n else 0):
-            names = found.setdefault(tuple(words[i : i + n]), [])
-            if name not in names:
-                names.append(name)
+            found.setdefault(tuple(words[i : i + n]), {})[name] = None
         if len(found) >= SLICE_WINDOWS:
             yield found
             found = {}
@@ -63,7 +61,7 @@ def _mix(ids: np.ndarray) -> np.ndarray:
 class Scanner:
     """Finds the windows of one slice in rows of text."""
 
-    def __init__(self, windows: dict[tuple[bytes, ...], list[str]]):
+    def __init__(self, windows: dict[tuple[bytes, ...], dict[str, None]]):
         vocabulary = sorted({w for key in windows for w in key})
         flat = np.frombuffer(b"".join(vocabulary), np.uint8)
         ends = np.cumsum([len(w) for w in vocabulary], dtype=np.int64)
@@ -112,10 +110,9 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
-def _pass(docs: DataFrame, text: str, windows) -> DataFrame:
+def _pass(docs: DataFrame, text: str, windows, first: bool) -> DataFrame:
     """One narrow pass: adds the hits of one slice to the columns __words, __spans, __items."""
     slice_ = docs.sparkSession.sparkContext.broadcast(windows)
-    first = "__words" not in docs.columns
     schema = docs.schema if not first else T.StructType([*docs.schema.fields, *_HITS.fields])
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -142,11 +139,19 @@ def _pass(docs: DataFrame, text: str, windows) -> DataFrame:
 
 
 def find_hits(docs: DataFrame, items: DataFrame, *, text: str = "text", item_id: str = "item_id", item_text: str = "text", width: int = WIDTH) -> DataFrame:
-    """docs with __words (word count), __spans (flat, sorted, disjoint word ranges) and __items (names of items found)."""
-    rows = ((("null" if r[0] is None else str(r[0])), r[1]) for r in items.select(item_id, item_text).toLocalIterator())
-    for slice_ in windows_of(rows, width):
-        docs = _pass(docs, text, slice_)
-    return docs
+    """docs with __words (word count), __spans (flat, sorted, disjoint word ranges) and __items (names of items found); columns of docs of these names are replaced."""
+    rows = ((("null" if r[0] is None else str(r[0])), r[1]) for r in items.select(F.col(f"`{item_id}`"), F.col(f"`{item_text}`")).toLocalIterator())
+    names = docs.columns
+    inner = docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(names)])
+    for k, slice_ in enumerate(windows_of(rows, width)):
+        inner = _pass(inner, f"c{names.index(text)}", slice_, k == 0)
+    new = _HITS.fieldNames()
+    return inner.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(names) if c not in new], *new)
+
+
+def _found(docs: DataFrame, items: DataFrame, text: str, width: int) -> DataFrame:
+    """docs with their columns as c0, c1 and so on, and the hits."""
+    return find_hits(docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(docs.columns)]), items, text=f"c{docs.columns.index(text)}", width=width)
 
 
 def report(docs: DataFrame, items: DataFrame, *, doc_id: str = "doc_id", text: str = "text", width: int = WIDTH) -> DataFrame:
@@ -165,16 +170,16 @@ def digest(names: list[str]) -> str:
 
 def remove_documents(docs: DataFrame, items: DataFrame, *, text: str = "text", width: int = WIDTH) -> DataFrame:
     """Documents without any occurrence of a window; columns as before."""
-    return find_hits(docs, items, text=text, width=width).filter(F.size("__spans") == 0).select(*[F.col(f"`{c}`") for c in docs.columns])
+    return _found(docs, items, text, width).filter(F.size("__spans") == 0).select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(docs.columns)])
 
 
 def remove_spans(docs: DataFrame, items: DataFrame, *, text: str = "text", width: int = WIDTH) -> DataFrame:
     """All documents, with the bytes from the first to the last word of every hit span cut out of the text."""
-    found, names = find_hits(docs, items, text=text, width=width), docs.columns
+    found, names = _found(docs, items, text, width), docs.columns
 
     def trim(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in in_slices(batches):
-            at, where = batch.schema.get_field_index(text), batch.schema.get_field_index("__spans")
+            at, where = names.index(text), batch.schema.get_field_index("__spans")
             texts, spans = batch.column(at).to_pylist(), batch.column(where).to_pylist()
             for i, s in enumerate(spans):
                 if s:

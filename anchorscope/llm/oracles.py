@@ -81,3 +81,26 @@ with w as (
 select w.doc_id, len(w.words) as n_words, coalesce(p.n_hit, 0) as n_hit, coalesce(q.n_items, 0) as n_items, sha256(coalesce(q.items, '')) as items_sha256, p.n_hit is not null as contaminated
 from w left join p on w.doc_id = p.doc_id left join q on w.doc_id = q.doc_id
 """
+
+# A table of CRC-32 by its polynomial, and its use byte by byte.
+ORACLES["op6_sharding"] = f"""
+with table_ as (
+    select list(list_reduce([cast(i as bigint), 0, 0, 0, 0, 0, 0, 0, 0], lambda c, z: case when c & 1 = 1 then xor(c >> 1, 3988292384) else c >> 1 end) order by i) as t from range(256) r(i)
+), d as (
+    select doc_id, source, coalesce(text, '') as text, {_DRAW.format(seed=17)} as u, coalesce('=' || source, 'null') as key from documents
+), h as (
+    select *, hex(encode(text)) as x from d
+), c as (
+    select *, xor(list_reduce(list_prepend(cast(4294967295 as bigint), list_transform(range(cast(len(x) / 2 as bigint)), lambda i: cast('0x' || substr(x, 2 * i + 1, 2) as bigint))),
+        lambda c, b: xor(c >> 8, t[xor(c & 255, b) + 1])), 4294967295) as crc
+    from h, table_
+), f as (
+    select *, (row_number() over (partition by key order by u, cast(doc_id as varchar)) - 1 + 0.5) / count(*) over (partition by key) as f from c
+), a as (
+    select *, row_number() over (order by f, key) - 1 as at, count(*) over () as total from f
+), s as (
+    select *, ((at + 1) * 40 - 1) // total as shard from a
+)
+select doc_id, cast(strlen(text) + 16 as bigint) as size, crc as text_crc32, 'rows' as law, cast(shard as int) as shard, cast(at - (shard * total) // 40 as bigint) as slot, cast(null as int) as grown_shard
+from s
+"""

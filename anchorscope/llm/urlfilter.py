@@ -12,7 +12,8 @@ the driver holds only the `BUCKETS` weights.
 
 Null urls and urls without `://` have empty host and path; no rule fits them and they score by the
 model like any other; repeated rows are judged by themselves; with no labelled url, or with one label only, the weights
-are zero but for a bias towards that label (none: allow); empty tables give empty results; other columns pass through.
+are zero but for a bias towards that label (none: allow); empty tables give empty results; other columns pass through, but those named like what is given out
+(host, path, rule, verdict, score), which are replaced.
 """
 
 from __future__ import annotations
@@ -103,13 +104,15 @@ def train(labelled: DataFrame, *, steps: int = STEPS, rate: float = RATE, shrink
 
 def judge(pages: DataFrame, *, url: str = "url", rules=RULES, model: tuple[float, list[float]] | None = None) -> DataFrame:
     """pages with host, path, rule, verdict and score (the model's probability of block)."""
-    urls = split_url(pages, url)
-    model = model or train(labelled_urls(split_url(pages.select(F.col(f"`{url}`").alias("url"))), rules))
+    names, new = pages.columns, ("host", "path", "rule", "verdict", "score")
+    inner = pages.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(names)])
+    urls = split_url(inner, f"c{names.index(url)}")
+    model = model or train(labelled_urls(urls.select("host", "path"), rules))
     fit = rule_for(F.col("host"), F.col("path"), rules)
     score = 1 / (1 + F.exp(-_logit(features(F.col("host"), F.col("path")), _weights(model[1]), model[0])))
     out = urls.withColumn("_fit", fit).withColumn("score", score)
     verdict = F.coalesce(F.col("_fit.verdict"), F.when(F.col("score") >= 0.5, "block").otherwise("allow"))
-    return out.withColumn("rule", F.col("_fit.rule")).withColumn("verdict", verdict).drop("_fit")
+    return out.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(names) if c not in new], "host", "path", F.col("_fit.rule").alias("rule"), verdict.alias("verdict"), "score")
 
 
 def report(pages: DataFrame) -> DataFrame:

@@ -107,6 +107,28 @@ def test_url_model_learns(spark, data):
     assert sum(r["p"] == r["y"] for r in right) / len(right) > 0.88
 
 
+def test_url_model_equals_numpy(spark, data):
+    """The descent once more, on the same buckets, with NumPy."""
+    pages = spark.read.parquet(f"{data}/pages.parquet")
+    urls = urlfilter.split_url(pages)
+    rows = urlfilter.labelled_urls(urls).select(urlfilter.features(F.col("host"), F.col("path")).alias("g"), "y").collect()
+    x, y = np.zeros((len(rows), urlfilter.BUCKETS)), np.array([r["y"] for r in rows], float)
+    for i, r in enumerate(rows):
+        x[i, r["g"]] = 1 / np.sqrt(len(r["g"]))
+    weight = np.where(y == 1, len(y) / 2 / y.sum(), len(y) / 2 / (1 - y).sum())
+    w, m, b, bm = np.zeros(urlfilter.BUCKETS), np.zeros(urlfilter.BUCKETS), 0.0, 0.0
+    for _ in range(urlfilter.STEPS):
+        d = (1 / (1 + np.exp(-(x @ w + b))) - y) * weight / len(y)
+        bm = 0.9 * bm - urlfilter.RATE * d.sum()
+        b += bm
+        m = 0.9 * m - urlfilter.RATE * (16 * (x.T @ d) + urlfilter.SHRINK * w)
+        w = w + m
+    for r in urlfilter.judge(urls.select("url", urlfilter.features(F.col("host"), F.col("path")).alias("g"))).collect():
+        score = 1 / (1 + np.exp(-(w[r["g"]].sum() / np.sqrt(len(r["g"])) + b)))
+        assert r["score"] == pytest.approx(score, abs=1e-6)
+        assert r["rule"] is not None or r["verdict"] == ("block" if r["score"] >= 0.5 else "allow")
+
+
 # ------------------------------------------------------------------ 3
 
 
@@ -142,6 +164,24 @@ def test_resynchronised_counts_equal_whole(tokenizer, whole):
             assert tokencount.count_long(s, exact, chunk, overlap) == want, (s[:60], chunk)
 
 
+def test_an_endless_word_is_encoded_a_few_times_at_most(tokenizer):
+    _, exact = tokencount.load(tokenizer)
+
+    class Counting:
+        done = 0
+
+        def encode(self, text, **options):
+            Counting.done += len(text)
+            return exact.encode(text, **options)
+
+    draw = random.Random(8)
+    for n in (20_000, 80_000):
+        Counting.done = 0
+        s = "so " + "".join(draw.choice("abcdefghij") for _ in range(n)) + " it ends " * 50
+        assert tokencount.count_long(s, Counting(), 1000, 64) == len(exact.encode(s, add_special_tokens=False))
+        assert Counting.done < 14 * len(s)
+
+
 # ------------------------------------------------------------------ 4
 
 
@@ -523,3 +563,56 @@ def test_decontamination_of_table(spark, whole, data):
     got = {r["doc_id"]: tuple(r)[1:] for r in decontam.report(whole, bench).collect()}
     rows = [(r["doc_id"], r["text"]) for r in whole.collect()]
     assert got == brute_hits(rows, [tuple(r) for r in bench.collect()])
+
+
+# ------------------------------------------------------------------ all
+
+NAMES = ["doc", "th", "__words", "__spans", "__items", "__kept", "score", "predicted", "host", "path", "rule", "c0", "c1", "shard", "slot", "bucket", "kind", "blob", "_words", "_key", "_u", "fp", "component", "name"]
+
+
+def clashing(spark):
+    """A null id, null, empty and very long texts, ties and repeated rows, beside columns named like inner ones."""
+    line = "a line of more than one hundred bytes that comes again and again, one two three four five six seven eight nine ten"
+    texts = [None, "", "w " * 300_000 + line, line, line, line + " x", "x" * 400_000, "you are here"]
+    ids = [1, None, 3, 4, 4, 5, 6, None]
+    rows = [(i, t, "en", None if k % 3 else "s", 1, *[k] * len(NAMES)) for k, (i, t) in enumerate(zip(ids, texts, strict=True))]
+    return spark.createDataFrame(rows, SCHEMA + "".join(f", `{n}` long" for n in NAMES))
+
+
+@pytest.mark.parametrize("empty", [False, True])
+def test_inner_names_nulls_and_long_texts(spark, empty, tokenizer):
+    docs = clashing(spark)
+    docs = docs.limit(0) if empty else docs
+    n = docs.count()
+    labels = spark.createDataFrame([(1, 1, 1), (4, 1, 0), (6, 1, 1), (5, 1, 0)], "doc_id long, quality int, toxic int")
+    items = spark.createDataFrame([(7, "one two three four five six seven eight nine ten"), (7, "you are here"), (None, "one two three four five six seven eight nine ten"), (8, None)], "item_id long, text string")
+    done = suffixdedup.remove_repeats(docs)
+    assert done.columns[: len(docs.columns)] == docs.columns and done.count() == n and suffixdedup.report(docs).count() == n
+    hits = decontam.find_hits(docs, items)
+    assert set(hits.columns) == set(docs.columns) and hits.count() == n
+    left = decontam.remove_documents(docs, items)
+    assert left.columns == docs.columns and left.count() == (0 if empty else 3) and decontam.remove_spans(docs, items).count() == n
+    if not empty:
+        found = [tuple(r) for r in decontam.report(docs, items).select("doc_id", "n_items").collect()]
+        assert sorted(found, key=str) == sorted([(1, 0), (None, 0), (3, 2), (4, 2), (4, 2), (5, 2), (6, 0), (None, 1)], key=str)
+    assert toxicity.remove_toxic(docs, labels).columns == docs.columns
+    scored = toxicity.train(docs, labels).score(docs)
+    assert scored.count() == n and scored.columns[-2:] == ["score", "predicted"]
+    assert simhash.keep_one(docs).columns == docs.columns and simhash.report(docs).count() == n
+    sharded = sharding.shard(docs, 3)
+    assert sharded.count() == n and sharding.report(docs, 3).count() == n
+    mixed = mixing.repeat_rows(docs)
+    assert mixed.columns == docs.columns and mixing.report(docs).count() == n and mixed.count() >= (0 if empty else 1)
+    counted = tokencount.count_tokens(docs, tokenizer)
+    assert counted.count() == n and counted.columns[:-1] == docs.columns
+    judged = urlfilter.judge(docs.withColumn("url", F.col("text")).withColumn("verdict", F.lit(1)))
+    assert judged.count() == n and judged.columns.count("host") == judged.columns.count("verdict") == 1
+
+
+def test_archives_of_hot_payloads(spark, monkeypatch, tmp_path):
+    monkeypatch.setattr(warc, "HOT", 3)
+    pages = spark.createDataFrame([(i, f"http://h/{i}", "p" * 200 if i % 2 else "q" * 150 if i % 4 else None, i) for i in range(40)], "page_id long, url string, html string, payload long")
+    rows = {r["page_id"]: r for r in warc.report(pages, f"file://{tmp_path}/hot").collect()}
+    assert len(rows) == 40 and all(rows[i]["refers_to"] == (None if i == 1 else 1) and rows[i]["payload_bytes"] == 200 for i in range(1, 40, 2))
+    assert all(rows[i]["refers_to"] == (None if i == 2 else 2) and rows[i]["payload_bytes"] == 150 for i in range(2, 40, 4))
+    assert {rows[i]["payload_bytes"] for i in range(0, 40, 4)} == {0} and rows[0]["record_type"] == "response"

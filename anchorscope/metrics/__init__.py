@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.erasure import probabilities
@@ -25,12 +25,17 @@ def forget_probes(cooccurring: DataFrame, k: int = 10) -> DataFrame:
     return fb.unionByName(aa).unionByName(qa)
 
 
-def probe_scores(params: DataFrame, probes: DataFrame) -> DataFrame:
-    """probes: target, kind, cue, cue2, ans. Adds model_id and value: p(ans | cue), or with two cues the product of both rows, normalised."""
+def probe_scores(params: DataFrame, probes: DataFrame, target_of: Column | None = None) -> DataFrame:
+    """probes: target, kind, cue, cue2, ans. Adds model_id and value: p(ans | cue), or with two cues the product of both rows, normalised.
+
+    target_of: the target that a model is of, if each has one (only its own probes are asked then); else every model answers all probes.
+    """
     p = probabilities(params).select("model_id", "cue", "ans", "p")
-    one = probes.filter("cue2 is null").join(p, ["cue", "ans"]).select("model_id", "target", "kind", "cue", "cue2", "ans", F.col("p").alias("value"))
+    own = ["target"] if target_of is not None else []
+    p = p.withColumn("target", target_of) if own else p
+    one = probes.filter("cue2 is null").join(p, ["cue", "ans", *own]).select("model_id", "target", "kind", "cue", "cue2", "ans", F.col("p").alias("value"))
     two = probes.filter("cue2 is not null")
-    left = p.join(two, "cue").select("model_id", "target", "kind", "cue", "cue2", two["ans"].alias("want"), p["ans"].alias("ans"), F.col("p").alias("p1"))
+    left = p.withColumnRenamed("ans", "got").join(two.withColumnRenamed("ans", "want"), ["cue", *own]).withColumnRenamed("got", "ans").select("model_id", "target", "kind", "cue", "cue2", "want", "ans", F.col("p").alias("p1"))
     right = p.select("model_id", F.col("cue").alias("cue2"), "ans", F.col("p").alias("p2"))
     both = left.join(right, ["model_id", "cue2", "ans"]).groupBy("model_id", "target", "kind", "cue", "cue2", "want").agg(
         F.sum(F.when(F.col("ans") == F.col("want"), F.col("p1") * F.col("p2"))).alias("hit"), F.sum(F.col("p1") * F.col("p2")).alias("all")

@@ -159,11 +159,11 @@ def hyperplane_bucket(vector, dims: int, bits: int, seed: int = 42):
 
 
 def neighbor_general(mentions: DataFrame, nodes: DataFrame, m: int = 20, seed: int = 42) -> DataFrame:
-    """General neighbours in place of our own: entities of keyed records outside the graph: target, entity."""
-    records = mentions.join(nodes.select("entity").distinct(), "entity", "left_anti")
-    at = F.row_number().over(Window.partitionBy("target").orderBy(u01(seed, "target", "entity"), "entity"))
-    rows = nodes.select("target").distinct().crossJoin(records.select("entity").distinct())  # targets are few
-    return rows.withColumn("at", at).filter(F.col("at") <= m).select("target", "entity", "at")
+    """General neighbours in place of our own: the first m entities in keyed order that are in no target's graph, the same for all: target, entity, at."""
+    free = mentions.join(nodes.select("entity").distinct(), "entity", "left_anti").select("entity").distinct()
+    first = free.orderBy(u01(seed, "entity"), "entity").limit(m)
+    at = F.row_number().over(Window.partitionBy("target").orderBy(u01(seed, "entity"), "entity"))
+    return nodes.select("target").distinct().crossJoin(F.broadcast(first)).select("target", "entity", at.alias("at"))  # m rows by target
 
 
 def graph_recall_pairs(requests: DataFrame, mentions: DataFrame, cfg: RecallConfig, coverage: float | None = None) -> tuple[DataFrame, DataFrame, recall.RecallGraph]:

@@ -17,8 +17,8 @@ def tokens(text, rule: str = "words"):
     return words(text) if rule == "words" else F.transform(F.regexp_extract_all(text, F.lit("(\\p{L}+)"), F.lit(1)), F.lower)
 
 
-def build_lexicon(docs: DataFrame, *, text: str = "text", key: str = "doc_id", rule: str = "words", min_len: int = 6, min_df: int = 5, max_df: int | None = 200, max_df_share: float | None = None, by: str | None = None) -> DataFrame:
-    """entity, df: words in a band of document frequency, for each value of `by` (null too); `max_df_share` makes the upper end a share of the documents."""
+def build_lexicon(docs: DataFrame, *, text: str = "text", key: str = "doc_id", rule: str = "words", min_len: int = 6, min_df: int = 5, max_df_share: float | None = 0.2, by: str | None = None) -> DataFrame:
+    """entity, df: words in a band of document frequency, for each value of `by` (null too); the upper end is a share of the documents, so it grows with them (None: no end)."""
     group = [by] if by else []
     rows = docs.select(key, *group, F.explode(F.array_distinct(tokens(F.col(text), rule))).alias("entity")).filter(F.length("entity") >= min_len)
     lexicon = rows.groupBy(*group, "entity").agg(F.count("*").alias("df")).filter(F.col("df") >= min_df)
@@ -28,7 +28,7 @@ def build_lexicon(docs: DataFrame, *, text: str = "text", key: str = "doc_id", r
             return lexicon.join(total, F.col(by).eqNullSafe(F.col("_by"))).filter(F.col("df") <= F.col("_docs") * max_df_share).drop("_by", "_docs")
         total = docs.agg(F.count("*").alias("_docs"))  # one row
         return lexicon.crossJoin(F.broadcast(total)).filter(F.col("df") <= F.col("_docs") * max_df_share).drop("_docs")
-    return lexicon.filter(F.col("df") <= max_df) if max_df is not None else lexicon
+    return lexicon
 
 
 def extract_mentions(responses: DataFrame, lexicon: DataFrame, *, keys: list[str], text: str = "text", rule: str = "words") -> DataFrame:

@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import u01
-from ..functions.session import small
+from ..functions import u01, words
+from ..functions.session import cut, small
 
 
 def path_pairs(paths: DataFrame) -> DataFrame:
@@ -69,15 +69,24 @@ def neighbor_samples(pairs: DataFrame, statements: DataFrame, *, answer: str = "
 
 
 def retain_samples(mentions: DataFrame, nodes: DataFrame, m: int, seed: int = 42) -> DataFrame:
-    """m records for each target that mention none of its graph's nodes, in keyed order: target, record_id, at.
+    """m records for each target that mention none of its graph's nodes, in a keyed order of records: target, record_id, at.
 
-    Draws come before the exclusion only in order, so the sort is a top-m and not a sort of all records.
+    Only the first records of that order are looked at, twice as many each time until all targets have theirs; never all records by all targets.
     """
-    touched = mentions.join(nodes.select("target", "entity").distinct(), "entity").select("target", "record_id").distinct()
-    records = mentions.select("record_id").distinct()
-    free = nodes.select("target").distinct().crossJoin(records).join(touched, ["target", "record_id"], "left_anti")  # targets are few
-    at = F.row_number().over(Window.partitionBy("target").orderBy(u01(seed, "target", "record_id"), "record_id"))
-    return free.withColumn("at", at).filter(F.col("at") <= m)
+    records = cut(mentions.select("record_id").distinct())
+    targets = cut(nodes.select("target").distinct())
+    total, take = records.count(), 4 * m
+    while True:
+        first = cut(records.orderBy(u01(seed, "record_id"), "record_id").limit(take))
+        held = mentions.join(F.broadcast(first), "record_id", "left_semi")
+        touched = held.join(nodes.select("target", "entity").distinct(), "entity").select("target", "record_id").distinct()
+        free = targets.crossJoin(F.broadcast(first)).join(touched, ["target", "record_id"], "left_anti")  # targets by `take` rows
+        at = F.row_number().over(Window.partitionBy("target").orderBy(u01(seed, "record_id"), "record_id"))
+        found = cut(free.withColumn("at", at).filter(F.col("at") <= m))
+        short = targets.join(found.groupBy("target").agg(F.count("*").alias("n")), "target", "left").filter(F.coalesce("n", F.lit(0)) < m)
+        if take >= total or short.isEmpty():
+            return found
+        take *= 2
 
 
 def answer_mask(samples: DataFrame) -> DataFrame:
@@ -115,20 +124,32 @@ def export_samples(samples: DataFrame, path: str, fmt: str = "json") -> None:
     answer_mask(samples).write.mode("overwrite").partitionBy("role").format(fmt).save(path)
 
 
-def audit_trail(samples: DataFrame, edges: DataFrame, responses: DataFrame) -> DataFrame:
-    """sample_id -> edge from its cue's anchor -> first response that produced it."""
+def audit_trail(samples: DataFrame, edges: DataFrame, responses: DataFrame, mentions: DataFrame) -> DataFrame:
+    """sample_id -> edge from its cue's anchor -> first response that produced it, which is the first one whose record mentions the edge's node."""
     e = edges.filter("kept").select("target", "src", "dst", "c")
     rows = samples.select("sample_id", "target", "obj").join(e, (samples["target"] == e["target"]) & (samples["obj"] == e["dst"])).select("sample_id", e["target"], "src", "dst", "c")
-    first = responses.groupBy("target", F.col("anchor").alias("src")).agg(F.min_by("record_id", "iter").alias("response_id"))
-    return rows.join(first, ["target", "src"], "left").select("sample_id", "target", "src", "dst", "c", "response_id")
+    asked = rows.select("target", "src", "dst").distinct().join(responses.select("target", F.col("anchor").alias("src"), "iter", "record_id"), ["target", "src"])
+    first = asked.join(mentions.withColumnRenamed("entity", "dst"), ["record_id", "dst"]).groupBy("target", "src", "dst").agg(F.min_by("record_id", "iter").alias("response_id"))
+    return rows.join(first, ["target", "src", "dst"], "left").select("sample_id", "target", "src", "dst", "c", "response_id")
+
+
+def windows(texts: DataFrame, lengths: list[int] | None, width: int = 10) -> DataFrame:
+    """texts (text, ...) -> with n, gram: every run of `width` words (all words of a shorter text), or of each of the given numbers of words."""
+    rows = texts.withColumn("_w", words(F.col("text"))).filter(F.size("_w") > 0)
+    sizes = F.array(F.least(F.lit(width), F.size("_w"))) if lengths is None else F.array(*[F.lit(n) for n in lengths]).cast("array<int>")
+    rows = rows.withColumn("n", F.explode(sizes)).filter(F.size("_w") >= F.col("n"))
+    at = F.sequence(F.lit(1), F.size("_w") - F.col("n") + 1)
+    return rows.withColumn("gram", F.explode(F.transform(at, lambda i: F.array_join(F.slice("_w", i, F.col("n")), " ")))).drop("_w")
 
 
 def audit_forget_set(samples: DataFrame, planted: DataFrame, *, text: str = "text", target: str = "target") -> DataFrame:
-    """An externally supplied forget set (target, text): off-topic share, exact copies, planted passages, personal data, by target."""
+    """An externally supplied forget set (target, text): off-topic share, exact copies, texts that hold ten words in a row of a planted passage (or a shorter one whole), personal data, by target."""
     rows = samples.select(F.col(target).alias("target"), F.col(text).alias("text"))
     rows = rows.withColumn("off", ~F.contains(F.lower("text"), F.lower("target"))).withColumn("mail", F.col("text").rlike("[a-zA-Z0-9._]+@[a-zA-Z0-9.]+")).withColumn("digits", F.col("text").rlike("[0-9]{7,}"))
-    passages = small(planted.select(F.substring("text", 1, 40).alias("passage")).filter(F.length("passage") >= 20))
-    hit = rows.join(passages, F.contains(rows["text"], F.col("passage"))).select("target", "text").distinct().withColumn("planted", F.lit(1))
+    passages = windows(planted.select("text"), None).select("n", "gram").distinct()
+    lengths = [r["n"] for r in passages.select("n").distinct().collect()]  # ten at most
+    grams = windows(rows.select("target", "text").distinct(), lengths)
+    hit = grams.join(small(passages), ["n", "gram"], "left_semi").select("target", "text").distinct().withColumn("planted", F.lit(1))
     rows = rows.join(hit, ["target", "text"], "left")
     return rows.groupBy("target").agg(
         F.count("*").alias("n"), F.sum(F.col("off").cast("long")).alias("off_topic"), (F.count("*") - F.count_distinct("text")).alias("copies"),

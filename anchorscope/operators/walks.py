@@ -113,7 +113,7 @@ def walk_rounds(edges: DataFrame, starts: DataFrame, *, r: int, l: int, seed: in
     for step in range(l):
         point = F.floor(u01(seed, "target", F.lit(role), "walk_id", F.lit(str(step))) * F.col("total"))
         moved = now.select("target", "walk_id", F.col("node").alias("src")).join(ways, ["target", "src"]).filter((point >= F.col("lo")) & (point < F.col("hi")))
-        now = moved.select("target", "walk_id", F.lit(step + 1).alias("step"), F.col("dst").alias("node"), "w")
+        now = cut(moved.select("target", "walk_id", F.lit(step + 1).alias("step"), F.col("dst").alias("node"), "w"))  # else every step would repeat those before
         out = out.unionByName(now)
     return out
 

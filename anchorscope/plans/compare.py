@@ -83,7 +83,7 @@ def embedding_dedup_greedy(spark, d):
 
 
 @query(f"""with {STAR_RECALL}, x as (select distinct p.entity from pool p where not exists (select 1 from nodes n where n.entity = p.entity))
-    select target, entity, "at" from (select target, entity, row_number() over (partition by target order by {sql.draw('42', 'target', 'entity')}, entity) as "at" from targets, x) where "at" <= 20""")
+    select target, entity, "at" from (select target, entity, row_number() over (partition by target order by {sql.draw('42', 'entity')}, entity) as "at" from targets, x) where "at" <= 20""")
 def neighbor_general(spark, d):
     return baselines.neighbor_general(star(spark, d)[0], star_graph(spark, d).nodes)
 

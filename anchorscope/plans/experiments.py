@@ -71,12 +71,14 @@ def run_grid(targets: DataFrame, pool: DataFrame, forget: DataFrame, near: DataF
     total = forget.groupBy("generator", "target").agg(F.sum("n").alias("all"))
     f = forget.join(total, ["generator", "target"]).withColumn("n", F.col("n") * budget / F.col("all")).join(F.broadcast(grid), "generator")
     f = f.select(name(F.col("target")).alias("model_id"), "cue", "ans", "n")
-    near_total = near.groupBy("target").agg(F.sum("n").alias("all"))
-    g = near.join(near_total, "target").withColumn("n", F.col("n") * budget / F.col("all")).crossJoin(F.broadcast(grid)).select(name(F.col("target")).alias("model_id"), "cue", "ans", "n")
+    own = ["generator"] if "generator" in near.columns else []  # neighbours of each generator, or the same for all
+    near_total = near.groupBy("target", *own).agg(F.sum("n").alias("all"))
+    g = near.join(near_total, ["target", *own]).withColumn("n", F.col("n") * budget / F.col("all"))
+    g = (g.join(F.broadcast(grid), "generator") if own else g.crossJoin(F.broadcast(grid))).select(name(F.col("target")).alias("model_id"), "cue", "ans", "n")
     done = cut(erasure.erase(params, f, g, lr=lr, epochs=epochs))
     ask = lambda df, split: df.select("target", F.concat_ws(":", F.lit(split), "kind").alias("kind"), "cue", "cue2", "ans")
     probes = ask(asked.withColumn("ans", F.col("target")), "forget").unionByName(ask(asked.filter("kind <> 'aa'").join(best, ["target", "cue"]).withColumn("ans", F.col("best")), "neighbor"))
-    scored = metrics.probe_scores(done, probes).filter(F.substring_index("model_id", "|", 1) == F.col("target"))
+    scored = metrics.probe_scores(done, probes, target_of=F.substring_index("model_id", "|", 1))
     kinds = scored.groupBy("model_id", "target", "kind").agg(F.avg("value").alias("value"))
     kinds = kinds.select(F.element_at(F.split("model_id", "\\|"), -2).alias("generator"), F.element_at(F.split("model_id", "\\|"), -1).alias("strategy"), "target", F.substring_index("kind", ":", 1).alias("split"), F.substring_index("kind", ":", -1).alias("kind"), "value")
     means = kinds.groupBy("generator", "strategy", "split", "kind").agg(F.avg("value").alias("value"))
@@ -145,18 +147,21 @@ def exp_correct_mix(spark, d):
     """Share of right pairs from 0 to 100 %: the others ask by a keyed entity of the pool that the target was never met with."""
     pool, targets = parts(spark, d, 4)
     forget, near, _ = pairs_of(targets, pool, STAR, ("graph_recall",))
-    facts = baselines.profile_truth(targets, pool).select("target", F.col("entity").alias("wrong"))
-    wrong = targets.crossJoin(pool.select(F.col("entity").alias("wrong")).distinct()).join(facts, ["target", "wrong"], "left_anti").filter("wrong <> target")  # targets are few
+    facts = cut(baselines.profile_truth(targets, pool).select("target", F.col("entity").alias("wrong")))
+    # as many as a target has pairs, after its facts: so many of the first entities in keyed order hold enough for every target
+    need = max((r["n"] for r in forget.select("target").unionByName(facts.select("target")).groupBy("target").agg(F.count("*").alias("n")).collect()), default=0) + 1
+    first = pool.select(F.col("entity").alias("wrong")).distinct().orderBy(u01(6, "wrong"), "wrong").limit(need)
+    wrong = targets.crossJoin(F.broadcast(first)).join(facts, ["target", "wrong"], "left_anti").filter("wrong <> target")
     from pyspark.sql import Window
 
-    order = lambda c, seed: F.row_number().over(Window.partitionBy("target").orderBy(u01(seed, "target", c), c))
-    numbered = forget.withColumn("at", order("cue", 5))
-    wrong = cut(wrong.withColumn("at", order("wrong", 6)).filter("at <= 2000"))
+    order = lambda c, *seed: F.row_number().over(Window.partitionBy("target").orderBy(u01(*seed, c), c))
+    numbered = forget.withColumn("at", order("cue", 5, "target"))
+    wrong = cut(wrong.withColumn("at", order("wrong", 6)))
     size = forget.groupBy("target").agg(F.count("*").alias("of"))
     mixes = []
     for k in range(0, 11):
         rows = numbered.join(size, "target").join(wrong, ["target", "at"], "left").withColumn("right", F.col("at") <= F.col("of") * k / 10)
-        mixes.append(rows.select(F.lit(f"right_{k * 10:03d}").alias("generator"), "target", F.when(F.col("right"), F.col("cue")).otherwise(F.coalesce("wrong", "cue")).alias("cue"), "ans", "n"))
+        mixes.append(rows.select(F.lit(f"right_{k * 10:03d}").alias("generator"), "target", F.when(F.col("right"), F.col("cue")).otherwise(F.col("wrong")).alias("cue"), "ans", "n").filter("cue is not null"))
     return run_grid(targets, pool, cut(union(mixes)), near, ("ga",))
 
 
@@ -200,13 +205,15 @@ def exp_ablation(spark, d):
     """Without conditioning, with uniform walks, without the quality filter, and with nodes in place of paths."""
     pool, targets = parts(spark, d, 4)
     variants = {"full": STAR, "no_conditioning": STAR.but(conditioning="none"), "uniform_walks": STAR.but(weighting="uniform"), "no_filter": STAR.but(eta=0.0, eta_mode="absolute")}
-    made, near, graph = [], None, None
+    made, near, graph = [], [], None
     for name, cfg in variants.items():
         ours, others, g = baselines.graph_recall_pairs(targets, pool, cfg)
         made.append(ours.select(F.lit(name).alias("generator"), "target", "cue", "ans", "n"))
-        near, graph = (others, g) if near is None else (near, graph)
+        near.append(others.select(F.lit(name).alias("generator"), "target", "cue", "ans", "n"))
+        graph = graph or g
+    near.append(near[0].withColumn("generator", F.lit("isolated_nodes")))
     alone = graph.nodes.filter("hop > 0").select(F.lit("isolated_nodes").alias("generator"), "target", F.col("entity").alias("cue"), F.col("target").alias("ans"), F.lit(1).cast("long").alias("n"))
-    return run_grid(targets, pool, cut(union([*made, alone])), cut(near), ("ga", "ga_gd"))
+    return run_grid(targets, pool, cut(union([*made, alone])), cut(union(near)), ("ga", "ga_gd"))
 
 
 @query()

@@ -145,20 +145,20 @@ def flat_recall(spark, d):
 # ---------------------------------------------------------------- entities
 
 
-@query(f"select entity, count(*) as df from (select distinct doc_id, unnest({sql.WORDS.format('text')}) as entity from documents where lang = 'en') where length(entity) >= 6 group by entity having count(*) between 5 and 200")
+@query(f"select entity, count(*) as df from (select distinct doc_id, unnest({sql.WORDS.format('text')}) as entity from documents) where length(entity) >= 6 group by entity having count(*) between 5 and 0.2 * (select count(*) from documents)")
 def entity_lexicon(spark, d):
-    return entities.build_lexicon(table(spark, d, "documents").filter("lang = 'en'"))
+    return entities.build_lexicon(table(spark, d, "documents"))
 
 
-@query(f"""with l as (select entity from (select distinct doc_id, unnest({sql.WORDS.format('text')}) as entity from documents where lang = 'en') where length(entity) >= 6 group by entity having count(*) between 5 and 200),
-    m as (select distinct doc_id, unnest({sql.WORDS.format('text')}) as entity from documents where lang = 'en') select doc_id, entity from m semi join l using (entity)""")
+@query(f"""with l as (select entity from (select distinct doc_id, unnest({sql.WORDS.format('text')}) as entity from documents) where length(entity) >= 6 group by entity having count(*) between 5 and 0.2 * (select count(*) from documents)),
+    m as (select distinct doc_id, unnest({sql.WORDS.format('text')}) as entity from documents) select doc_id, entity from m semi join l using (entity)""")
 def extract_mentions(spark, d):
-    docs = table(spark, d, "documents").filter("lang = 'en'")
+    docs = table(spark, d, "documents")
     return entities.extract_mentions(docs, entities.build_lexicon(docs), keys=["doc_id"])
 
 
 @query("""select lang, count(*) as words, sum(df) as mentions from (select lang, entity, count(*) as df from (select distinct doc_id, lang, unnest(list_transform(regexp_extract_all(text, '(\\p{L}+)', 1), lambda w: lower(w))) as entity from documents)
-    where length(entity) >= 6 group by lang, entity having count(*) between 3 and 200) group by lang""")
+    where length(entity) >= 6 group by lang, entity having count(*) >= 3) join (select lang as l, count(*) as of from documents group by lang) on l is not distinct from lang where df <= 0.2 * of group by lang""")
 def lexicon_by_lang(spark, d):
     rows = entities.build_lexicon(table(spark, d, "documents"), rule="letters", min_df=3, by="lang")
     return rows.groupBy("lang").agg(F.count("*").alias("words"), F.sum("df").alias("mentions"))
@@ -483,7 +483,7 @@ def scope_disjoint(spark, d):
 
 
 @query(f"""with {STAR_RECALL}, b as (select distinct p.record_id, n.target from pool p join nodes n on n.entity = p.entity), a as (select t.target, r.record_id from targets t, (select distinct record_id from pool) r anti join b on b.target = t.target and b.record_id = r.record_id)
-    select target, record_id, \"at\" from (select *, row_number() over (partition by target order by {sql.draw('42', 'target', 'record_id')}, record_id) as \"at\" from a) where \"at\" <= 20""".replace("from targets t, (select distinct record_id from pool) r anti join b on b.target = t.target and b.record_id = r.record_id", "from targets t, (select distinct record_id from pool) r where not exists (select 1 from b where b.target = t.target and b.record_id = r.record_id)"))
+    select target, record_id, \"at\" from (select *, row_number() over (partition by target order by {sql.draw('42', 'record_id')}, record_id) as \"at\" from a) where \"at\" <= 20""".replace("from targets t, (select distinct record_id from pool) r anti join b on b.target = t.target and b.record_id = r.record_id", "from targets t, (select distinct record_id from pool) r where not exists (select 1 from b where b.target = t.target and b.record_id = r.record_id)"))
 def retain_samples(spark, d):
     g = star_graph(spark, d)
     return supervision.retain_samples(star(spark, d)[0], g.nodes, 20)
@@ -495,25 +495,26 @@ def samples_json(spark, d):
     return supervision.samples_json(star_forget(spark, d)[0])
 
 
-@query(_forget_sql("non_target", "qa") + """, rs as (select target, anchor, record_id as response_id from (select * from r0 union all select * from r1 union all select * from r2) where iter = 1)
-    select q.sample_id, e.target, e.src, e.dst, e.c, rs.response_id from q join edges e on e.target = q.target and e.dst = q.obj left join rs on rs.target = e.target and rs.anchor = e.src where e.kept""")
+@query(_forget_sql("non_target", "qa") + """, rs as (select target, anchor, p.entity, arg_min(r.record_id, r.iter) as response_id from (select * from r0 union all select * from r1 union all select * from r2) r join pool p on p.record_id = r.record_id group by target, anchor, p.entity)
+    select q.sample_id, e.target, e.src, e.dst, e.c, rs.response_id from q join edges e on e.target = q.target and e.dst = q.obj left join rs on rs.target = e.target and rs.anchor = e.src and rs.entity = e.dst where e.kept""")
 def audit_trail(spark, d):
     samples, g, pool = star_forget(spark, d)
     anchors = g.edges.select("target", F.col("src").alias("anchor"), F.lit(0).alias("hop")).distinct()
-    return supervision.audit_trail(samples, g.edges, PoolResponder(pool).respond(anchors))
+    return supervision.audit_trail(samples, g.edges, PoolResponder(pool).respond(anchors), pool)
 
 
-FORGET_TEXTS = f"""t as (select target, text from ({sql.LINES}) l, (select entity as target from ({sql.POOLS['doc_words']}) group by entity order by count(*) desc, entity limit 3) w where length(text) >= 20 and contains(lower(text), target) union all select 'thing', text from documents where doc_id % 7 = 0)"""
+FORGET_TEXTS = f"""t as (select target, text from ({sql.LINES}) l, (select entity as target from ({sql.POOLS['doc_words']}) group by entity order by count(*) desc, entity limit 3) w where length(text) >= 20 and contains(lower(text), target) union all select 'thing', text from documents)"""
 
 
 def forget_texts(spark, d) -> DataFrame:
     lines = carriers.doc_lines(spark, d).filter(F.length("text") >= 20)
     targets = carriers.frequent(carriers.doc_words(spark, d), 3)
     hit = lines.join(F.broadcast(targets), F.contains(F.lower("text"), F.col("target"))).select("target", "text")  # three rows
-    return hit.unionByName(table(spark, d, "documents").filter("doc_id % 7 = 0").select(F.lit("thing").alias("target"), "text"))
+    return hit.unionByName(table(spark, d, "documents").select(F.lit("thing").alias("target"), "text"))
 
 
-@query(f"""with {FORGET_TEXTS}, p as (select distinct substr(text, 1, 40) as passage from benchmark where length(substr(text, 1, 40)) >= 20), h as (select distinct target, text from t join p on contains(t.text, p.passage))
+@query(f"""with {FORGET_TEXTS}, bw as (select {sql.WORDS.format('text')} as w from benchmark), k as (select distinct n, array_to_string(w[i : i + n - 1], ' ') as gram from (select w, least(10, len(w)) as n, unnest(range(1, len(w) - least(10, len(w)) + 2)) as i from bw where len(w) > 0)),
+    tw as (select target, text, {sql.WORDS.format('text')} as w from (select distinct target, text from t)), h as (select distinct target, text from (select target, text, n, array_to_string(w[i : i + n - 1], ' ') as gram from (select target, text, w, n, unnest(range(1, len(w) - n + 2)) as i from tw, (select distinct n from k) where len(w) >= n)) join k using (n, gram))
     select t.target, count(*) as n, sum(case when contains(lower(t.text), lower(t.target)) then 0 else 1 end) as off_topic, count(*) - count(distinct t.text) as copies, count(h.text) as planted,
     sum(case when regexp_matches(t.text, '[a-zA-Z0-9._]+@[a-zA-Z0-9.]+') or regexp_matches(t.text, '[0-9]{{7,}}') then 1 else 0 end) as personal from t left join h on h.target = t.target and h.text = t.text group by t.target""")
 def forget_set_audit(spark, d):

@@ -97,10 +97,10 @@ def grid_cross(spark, d):
     return make([10, 20], "n", "int").crossJoin(make([0.1, 0.2, 0.3], "tau", "double")).crossJoin(make([1, 2, 3], "k", "int"))
 
 
-@query(f"select doc_id, w as word, count(*) as n from (select doc_id, unnest({sql.WORDS.format('text')}) as w from documents where lang = 'en' and doc_id < 1000000) where length(w) > 9 group by all")
+@query(f"select doc_id, w as word, count(*) as n from (select doc_id, unnest({sql.WORDS.format('text')}) as w from documents ) where length(w) > 9 group by all")
 def lateral_tokens(spark, d):
     table(spark, d, "documents").select("doc_id", words(F.col("text")).alias("ws"), "lang").createOrReplaceTempView("_lateral_docs")
-    return spark.sql("select doc_id, w as word, count(*) as n from _lateral_docs lateral view explode(ws) t as w where lang = 'en' and doc_id < 1000000 and length(w) > 9 group by doc_id, w")
+    return spark.sql("select doc_id, w as word, count(*) as n from _lateral_docs lateral view explode(ws) t as w where length(w) > 9 group by doc_id, w")
 
 
 @query("""select event_type, count(*) as n, count(distinct user_id) as users, round(quantile_cont(value, 0.5), 6) as median, round(corr(value, cast(user_id as double)), 6) as corr, arg_min(event_id, [value, event_id]) as least, count(*) filter (value > 50) as high,

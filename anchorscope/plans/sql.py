@@ -16,7 +16,7 @@ STAR = """select cast(l_orderkey as varchar) as order_id, l_orderkey || ':' || l
 
 LINES = """select doc_id || ':' || line || case when chunk > 0 then ':' || chunk else '' end as record_id, substr(t, cast(chunk * 2000 + 1 as bigint), 2000) as text
     from (select doc_id, line, t, unnest(range(0, cast(floor((greatest(length(t), 1) - 1) / 2000) as bigint) + 1)) as chunk
-        from (select doc_id, generate_subscripts(l, 1) as line, unnest(l) as t from (select doc_id, string_split(text, chr(10)) as l from documents where lang = 'en')))"""
+        from (select doc_id, generate_subscripts(l, 1) as line, unnest(l) as t from (select doc_id, string_split(text, chr(10)) as l from documents)))"""
 
 WORDS = "list_filter(string_split_regex(lower({0}), '[^a-z]+'), lambda w: w <> '')"
 
@@ -28,9 +28,9 @@ POOLS = {
     "customer_facts": f"select distinct order_id as record_id, unnest(facts) as entity from ({STAR})",
     "hour_users": "select distinct strftime(date_trunc('hour', ts), '%Y-%m-%d %H:%M:%S') as record_id, cast(user_id as varchar) as entity from events",
     "doc_words": f"""select record_id, entity from (select distinct record_id, unnest({WORDS.format('text')}) as entity from ({LINES}) where length(text) >= 20)
-        where length(entity) >= 6 qualify count(*) over (partition by entity) between 5 and 200""",
+        where length(entity) >= 6 qualify count(*) over (partition by entity) between 5 and 0.04 * (select count(*) from ({LINES}) where length(text) >= 20)""",
     "dialog_words": f"""select record_id, entity from (select distinct conv_id || ':' || turn as record_id, unnest({WORDS.format('text')}) as entity from conversations where role = 'assistant')
-        where length(entity) >= 4 qualify count(*) over (partition by entity) between 3 and 80""",
+        where length(entity) >= 4 qualify count(*) over (partition by entity) between 3 and 0.35 * (select count(*) from conversations where role = 'assistant')""",
 }
 
 

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import words
+from ..functions.session import small
 from . import table
 
 
@@ -55,28 +56,32 @@ def customer_facts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pairs(star_lines(spark, sf_dir).select("order_id", F.explode("facts").alias("entity")), F.col("order_id"), F.col("entity"))
 
 
-def doc_lines(spark: SparkSession, sf_dir: str, lang: str = "en", chunk: int = 2000) -> DataFrame:
-    """record_id, text: lines of documents, long ones in chunks, so no record floods a graph."""
-    docs = table(spark, sf_dir, "documents").filter(F.col("lang") == lang).select("doc_id", F.posexplode(F.split("text", "\n")).alias("line", "text"))
+def doc_lines(spark: SparkSession, sf_dir: str, chunk: int = 2000) -> DataFrame:
+    """record_id, text: lines of documents of all languages, long ones in chunks, so no record floods a graph."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", F.posexplode(F.split("text", "\n")).alias("line", "text"))
     parts = F.transform(F.sequence(F.lit(0), F.floor((F.greatest(F.length("text"), F.lit(1)) - 1) / chunk).cast("int")), lambda i: F.struct(i.alias("i"), F.substring("text", i * chunk + 1, F.lit(chunk)).alias("text")))
     rows = docs.select("doc_id", "line", F.explode(parts).alias("c"))
     name = F.concat_ws(":", "doc_id", F.col("line") + 1)
     return rows.select(F.when(F.col("c.i") == 0, name).otherwise(F.concat_ws(":", name, F.col("c.i"))).alias("record_id"), F.col("c.text").alias("text"))
 
 
-def doc_words(spark: SparkSession, sf_dir: str, min_len: int = 6, low: int = 5, high: int = 200) -> DataFrame:
-    """A line of English documents is a response; its words in a band of record frequency are entities."""
-    rows = doc_lines(spark, sf_dir).filter(F.length("text") >= 20).select("record_id", F.explode(words(F.col("text"))).alias("entity")).filter(F.length("entity") >= min_len).distinct()
-    band = rows.groupBy("entity").agg(F.count("*").alias("df")).filter(F.col("df").between(low, high)).select("entity")
-    return rows.join(band, "entity").select("record_id", "entity")
+def words_in_band(records: DataFrame, min_len: int, low: int, share: float) -> DataFrame:
+    """records (record_id, text) -> mentions of words met in at least `low` records and at most a share of all, so the band widens with the table."""
+    rows = records.select("record_id", F.explode(F.array_distinct(words(F.col("text")))).alias("entity")).filter(F.length("entity") >= min_len)
+    total = records.agg(F.count("*").alias("of"))  # one row
+    band = rows.groupBy("entity").agg(F.count("*").alias("df")).filter(F.col("df") >= low).crossJoin(F.broadcast(total)).filter(F.col("df") <= F.col("of") * F.lit(share)).select("entity")
+    return rows.join(small(band), "entity").select("record_id", "entity")
 
 
-def dialog_words(spark: SparkSession, sf_dir: str, min_len: int = 4, low: int = 3, high: int = 80) -> DataFrame:
+def doc_words(spark: SparkSession, sf_dir: str, min_len: int = 6, low: int = 5, share: float = 0.04) -> DataFrame:
+    """A line of a document is a response; its words in a band of record frequency are entities."""
+    return words_in_band(doc_lines(spark, sf_dir).filter(F.length("text") >= 20), min_len, low, share)
+
+
+def dialog_words(spark: SparkSession, sf_dir: str, min_len: int = 4, low: int = 3, share: float = 0.35) -> DataFrame:
     """An assistant turn is a response; its words in a band are entities."""
     turns = table(spark, sf_dir, "conversations").filter("role = 'assistant'")
-    rows = turns.select(F.concat_ws(":", "conv_id", "turn").alias("record_id"), F.explode(words(F.col("text"))).alias("entity")).filter(F.length("entity") >= min_len).distinct()
-    band = rows.groupBy("entity").agg(F.count("*").alias("df")).filter(F.col("df").between(low, high)).select("entity")
-    return rows.join(band, "entity").select("record_id", "entity")
+    return words_in_band(turns.select(F.concat_ws(":", "conv_id", "turn").alias("record_id"), "text"), min_len, low, share)
 
 
 def frequent(pool: DataFrame, n: int, like: str | None = None) -> DataFrame:

@@ -97,10 +97,10 @@ with table_ as (
 ), f as (
     select *, (row_number() over (partition by key order by u, cast(doc_id as varchar)) - 1 + 0.5) / count(*) over (partition by key) as f from c
 ), a as (
-    select *, row_number() over (order by f, key) - 1 as at, count(*) over () as total from f
+    select *, row_number() over (order by f, key) - 1 as place, count(*) over () as total from f
 ), s as (
-    select *, ((at + 1) * 40 - 1) // total as shard from a
+    select *, ((place + 1) * 40 - 1) // total as shard from a
 )
-select doc_id, cast(strlen(text) + 16 as bigint) as size, crc as text_crc32, 'rows' as law, cast(shard as int) as shard, cast(at - (shard * total) // 40 as bigint) as slot, cast(null as int) as grown_shard
+select doc_id, cast(strlen(text) + 16 as bigint) as size, crc as text_crc32, 'rows' as law, cast(shard as int) as shard, cast(place - (shard * total) // 40 as bigint) as slot, cast(null as int) as grown_shard
 from s
 """

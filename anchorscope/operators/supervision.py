@@ -71,7 +71,7 @@ def neighbor_samples(pairs: DataFrame, statements: DataFrame, *, answer: str = "
 def retain_samples(mentions: DataFrame, nodes: DataFrame, m: int, seed: int = 42) -> DataFrame:
     """m records for each target that mention none of its graph's nodes, in a keyed order of records: target, record_id, at.
 
-    Only the first records of that order are looked at, twice as many each time until all targets have theirs; never all records by all targets.
+    Only the first records of that order are looked at, sixteen times as many each time until all targets have theirs; never all records by all targets.
     """
     records = cut(mentions.select("record_id").distinct())
     targets = cut(nodes.select("target").distinct())
@@ -86,7 +86,7 @@ def retain_samples(mentions: DataFrame, nodes: DataFrame, m: int, seed: int = 42
         short = targets.join(found.groupBy("target").agg(F.count("*").alias("n")), "target", "left").filter(F.coalesce("n", F.lit(0)) < m)
         if take >= total or short.isEmpty():
             return found
-        take *= 2
+        take *= 16
 
 
 def answer_mask(samples: DataFrame) -> DataFrame:

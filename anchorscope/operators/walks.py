@@ -69,7 +69,8 @@ def local_edges(edges: DataFrame, role: str) -> DataFrame:
 
 
 def sample_walks(edges: DataFrame, nodes: DataFrame, cfg: RecallConfig, role: str = "forget") -> DataFrame:
-    """Paths of cfg.r walks for each target. A local graph is bounded by the recall budget and walked in one task; a larger one raises.
+    """Paths of cfg.r walks for each target. A local graph is bounded by the recall budget and walked in one task; larger ones are walked in rounds
+    (`coupled_rounds`, which knows neither self-avoiding walks nor weighted starts and raises if asked for).
 
     Forget walks start at the target; neighbour walks at its strong neighbours of hop 1, in turn by strength or in proportion to it.
     Walks without an edge are dropped.
@@ -77,13 +78,21 @@ def sample_walks(edges: DataFrame, nodes: DataFrame, cfg: RecallConfig, role: st
     tau_n = cfg.tau if cfg.tau_n is None else cfg.tau_n
     base = local_edges(edges, role).select("target", "src", "dst", "w", F.lit(None).cast("double").alias("strength"))
     strong = nodes.filter((F.col("hop") == 1) & (F.col("strength") >= tau_n - 1e-12)).select("target", F.col("entity").alias("src"), F.lit(None).cast("string").alias("dst"), F.lit(None).cast("double").alias("w"), "strength")
+    large = base.groupBy("target").agg(F.count("*").alias("n")).filter(F.col("n") > LOCAL_EDGES).select("target")
+    large = cut(large)
+    apart = None
+    if not large.isEmpty():
+        if cfg.self_avoiding or (role == "neighbor" and cfg.start == "weighted"):
+            raise ValueError("graphs this large are walked in rounds, which know neither self-avoiding walks nor weighted starts")
+        at = F.row_number().over(Window.partitionBy("target").orderBy(F.desc("strength"), "src")) - 1
+        begin = strong.select("target", at.alias("at"), F.col("src").alias("node")) if role == "neighbor" else large.select("target", F.lit(0).alias("at"), F.col("target").alias("node"))
+        apart = coupled_rounds(edges.join(F.broadcast(large), "target", "left_semi"), begin.join(F.broadcast(large), "target", "left_semi"), cfg, role)
+        base, strong = base.join(F.broadcast(large), "target", "left_anti"), strong.join(F.broadcast(large), "target", "left_anti")
     rows = base.unionByName(strong) if role == "neighbor" else base
 
     def run(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
         target = key[0]
         is_edge = frame["dst"].notna()
-        if int(is_edge.sum()) > LOCAL_EDGES:
-            raise ValueError(f"the graph of {target} is too large for one task; walk it in rounds")
         links = list(frame.loc[is_edge, ["src", "dst", "w"]].itertuples(index=False, name=None))
         starts = [target]
         if role == "neighbor":
@@ -95,7 +104,8 @@ def sample_walks(edges: DataFrame, nodes: DataFrame, cfg: RecallConfig, role: st
         found = [(target, role, i, n, w, len(w), sum(w) / len(w)) for i, (n, w) in enumerate(walk_graph(links, target, starts, cfg, role)) if w]
         return pd.DataFrame(found, columns=["target", "role", "walk_id", "nodes", "weights", "n_edges", "quality"])
 
-    return rows.groupBy("target").applyInPandas(run, PATHS)
+    walked = rows.groupBy("target").applyInPandas(run, PATHS)
+    return walked if apart is None else walked.unionByName(apart)
 
 
 def walk_rounds(edges: DataFrame, starts: DataFrame, *, r: int, l: int, seed: int = 42, role: str = "forget", weighting: str = "strength") -> DataFrame:  # noqa: E741
@@ -118,6 +128,35 @@ def walk_rounds(edges: DataFrame, starts: DataFrame, *, r: int, l: int, seed: in
     return out
 
 
+def coupled_rounds(edges: DataFrame, starts: DataFrame, cfg: RecallConfig, role: str = "forget", batch: int = 8) -> DataFrame:
+    """Visit-coupled walks for graphs of any size: `batch` walks at once, step by step as joins; a batch sees the visits of the batches before.
+
+    With `batch` 1 these are the walks one after the other. starts: target, at (from 0), node: walk i starts at the node at i modulo their number.
+    """
+    base = cut(local_edges(edges, role))
+    many = starts.groupBy("target").agg(F.count("*").alias("of"))
+    starts = cut(starts.join(many, "target"))
+    w = Window.partitionBy("target", "src").orderBy("dst").rowsBetween(Window.unboundedPreceding, 0)
+    visits, out = None, None
+    for first in range(0, cfg.r, batch):
+        p = transition_probs(base, visits, cfg.alpha, cfg.weighting)
+        ways = cut(p.select("target", "src", "dst", "w", F.sum("p").over(w).alias("hi")).withColumn("lo", F.coalesce(F.lag("hi").over(Window.partitionBy("target", "src").orderBy("dst")), F.lit(0.0))))
+        last = ways.groupBy("target", "src").agg(F.max("hi").alias("all"))
+        ids = starts.select("target", "at", "of", "node", F.explode(F.sequence(F.lit(first), F.lit(min(first + batch, cfg.r) - 1))).alias("walk_id"))
+        now = ids.filter(F.col("walk_id") % F.col("of") == F.col("at")).select("target", "walk_id", F.lit(0).alias("step"), "node", F.lit(None).cast("double").alias("w"))
+        steps = now
+        for step in range(cfg.max_edges):
+            at = now.select("target", "walk_id", F.col("node").alias("src")).join(last, ["target", "src"])
+            at = at.withColumn("point", u01(cfg.seed, "target", F.lit(role), "walk_id", F.lit(str(step))) * F.col("all"))
+            now = cut(at.join(ways, ["target", "src"]).filter("point >= lo and point < hi").select("target", "walk_id", F.lit(step + 1).alias("step"), F.col("dst").alias("node"), "w"))
+            steps = steps.unionByName(now)
+        steps = cut(steps)
+        out = steps if out is None else out.unionByName(steps)
+        seen = steps.groupBy("target", F.col("node").alias("entity")).agg(F.count("*").alias("visits"))
+        visits = cut(seen if visits is None else visits.unionByName(seen).groupBy("target", "entity").agg(F.sum("visits").alias("visits")))
+    return paths_of(out, role)
+
+
 def paths_of(steps: DataFrame, role: str = "forget") -> DataFrame:
     """Steps of walks as paths with their quality, the mean weight of their edges."""
     ordered = F.array_sort(F.collect_list(F.struct("step", "node", "w")))

@@ -22,17 +22,27 @@ class PoolResponder:
     filtered at the scan and only the n best records of each anchor go on (a top-n window that Spark limits before the shuffle).
     """
 
-    def __init__(self, mentions: DataFrame, *, n: int = 20, seed: int = 42, conditioning: str = "soft", replace: bool = False, short_pool: str = "empty"):
+    def __init__(self, mentions: DataFrame, *, n: int = 20, seed: int = 42, conditioning: str = "soft", replace: bool = False, short_pool: str = "empty", keep_return: bool = False, terms: DataFrame | None = None):
+        """terms: target, entity: what an anchor sentence says of the target; records that mention more of it come first. keep_return: mentions of the target count too."""
         self.mentions, self.n, self.seed, self.conditioning, self.replace, self.short_pool = mentions, n, seed, conditioning, replace, short_pool
+        self.keep_return, self.terms = keep_return, terms
+
+    def evidence(self) -> tuple[DataFrame, DataFrame | None]:
+        """Mentions by record, and texts by record if there are any, as proof of what was recalled."""
+        return self.mentions, None
 
     def candidates(self, frontier: DataFrame) -> DataFrame:
-        """target, anchor, hop, record_id, has_target."""
+        """target, anchor, hop, record_id, has_target, n_terms."""
         postings = self.mentions.withColumnRenamed("entity", "anchor")
         found = postings.join(small(frontier), "anchor").select("target", "anchor", "hop", "record_id")
         targets = small(frontier.select("target").distinct())
         of_target = self.mentions.join(targets, self.mentions["entity"] == targets["target"]).select("target", "record_id").withColumn("has_target", F.lit(True))
         how = "inner" if self.conditioning == "strict" else "left"
-        return found.join(of_target, ["target", "record_id"], how).withColumn("has_target", F.coalesce("has_target", F.lit(False)))
+        found = found.join(of_target, ["target", "record_id"], how).withColumn("has_target", F.coalesce("has_target", F.lit(False)))
+        if self.terms is None:
+            return found.withColumn("n_terms", F.lit(0).cast("long"))
+        said = self.mentions.join(small(self.terms.select("target", "entity").distinct()), "entity").groupBy("target", "record_id").agg(F.count("*").alias("n_terms"))
+        return found.join(said, ["target", "record_id"], "left").na.fill(0, ["n_terms"])
 
     def respond(self, frontier: DataFrame) -> DataFrame:
         """frontier (target, anchor, hop) -> target, anchor, hop, iter, record_id."""
@@ -45,7 +55,7 @@ class PoolResponder:
             sizes = ranked.groupBy("target", "anchor").agg(F.max("of").alias("of"))
             asks = asks.join(sizes, ["target", "anchor"]).withColumn("at", (1 + F.floor(u01(self.seed, "target", "anchor", "iter") * F.col("of"))).cast("int"))
             return asks.drop("of").join(ranked.drop("of"), ["target", "anchor", "at"]).select("target", "anchor", "hop", "iter", "record_id")
-        order = [draw, F.col("record_id")] if self.conditioning == "none" else [F.desc("has_target"), draw, F.col("record_id")]
+        order = [draw, F.col("record_id")] if self.conditioning == "none" else [F.desc("has_target"), F.desc("n_terms"), draw, F.col("record_id")]
         ranked = rows.withColumn("iter", F.row_number().over(Window.partitionBy("target", "anchor").orderBy(*order)))
         return ranked.filter(F.col("iter") <= self.n).select("target", "anchor", "hop", "iter", "record_id")
 
@@ -57,7 +67,7 @@ class PoolResponder:
     def extract(self, responses: DataFrame) -> DataFrame:
         """Entities of the responses but anchor and target: target, anchor, hop, iter, entity."""
         rows = responses.join(self.mentions, "record_id")
-        return rows.filter((F.col("entity") != F.col("anchor")) & (F.col("entity") != F.col("target"))).select("target", "anchor", "hop", "iter", "entity")
+        return _but_itself(rows, self.keep_return)
 
     def padded(self, responses: DataFrame) -> DataFrame:
         """All n iterations of each anchor, those beyond a short pool with a null record."""
@@ -65,6 +75,61 @@ class PoolResponder:
         return asks.join(responses, ["target", "anchor", "hop", "iter"], "left").select("target", "anchor", "hop", "iter", "record_id")
 
 
+def _but_itself(rows: DataFrame, keep_return: bool) -> DataFrame:
+    """Mentions of anything but the anchor and, unless return edges are kept, the target."""
+    free = F.col("entity") != F.col("anchor")
+    return rows.filter(free if keep_return else free & (F.col("entity") != F.col("target"))).select("target", "anchor", "hop", "iter", "entity")
+
+
+class TextResponder:
+    """Answers as texts, by a function from a frontier to responses (target, anchor, hop, iter, response_id, text): a live model (`model_responder`) or recorded answers.
+
+    extract: responses -> keys and entity, such as a lexicon or a user's extractor. Every answer is written before it is used, and kept as evidence.
+    """
+
+    short_pool = "empty"
+
+    def __init__(self, answer: Callable[[DataFrame], DataFrame], extract: Callable[[DataFrame], DataFrame], *, n: int = 20, keep_return: bool = False):
+        self.answer, self._extract, self.n, self.keep_return = answer, extract, n, keep_return
+        self.asked: list[DataFrame] = []
+
+    def respond(self, frontier: DataFrame) -> DataFrame:
+        got = cut(self.answer(frontier).filter(F.col("iter") <= self.n).select("target", "anchor", F.col("hop").cast("int").alias("hop"), F.col("iter").cast("int").alias("iter"), F.col("response_id").alias("record_id"), "text"))
+        self.asked.append(got)
+        return got
+
+    def extract(self, responses: DataFrame) -> DataFrame:
+        return _but_itself(self._extract(responses).select("target", "anchor", "hop", "iter", "entity").distinct(), self.keep_return)
+
+    def evidence(self) -> tuple[DataFrame, DataFrame]:
+        """Of each answer what it mentions, its anchor and target included, and its text."""
+        rows = self.asked[0]
+        for more in self.asked[1:]:
+            rows = rows.unionByName(more)
+        named = self._extract(rows).select("record_id", "entity").unionByName(rows.filter("text is not null").select("record_id", F.explode(F.array("target", "anchor")).alias("entity")))
+        return cut(named.distinct()), rows.filter("text is not null").select("record_id", "text")
+
+
+def model_responder(call: Callable[[list[str]], list[str | None]], lexicon: DataFrame, *, n: int = 20, **options) -> TextResponder:
+    """A live model behind `call`, which answers a batch of prompts; mentions by a lexicon (entity)."""
+    from ..operators.entities import extract_mentions
+
+    def answer(frontier: DataFrame) -> DataFrame:
+        asks = frontier.select("target", "anchor", "hop", F.explode(F.sequence(F.lit(1), F.lit(n))).alias("iter"))
+        return call_model(render_prompts(asks), call, **options)
+
+    return TextResponder(answer, lambda r: extract_mentions(r, lexicon, keys=["target", "anchor", "hop", "iter", "record_id"]), n=n)
+
+
+def recorded_responder(answers: DataFrame, lexicon: DataFrame, *, n: int = 20) -> TextResponder:
+    """Answers recorded before (target, anchor, iter, text); an anchor that was never asked about has none."""
+    from ..operators.entities import extract_mentions
+
+    name = F.concat_ws("|", "target", "anchor", "iter")
+    rows = answers.select("target", "anchor", "iter", "text", name.alias("response_id"))
+    return TextResponder(lambda f: f.join(rows, ["target", "anchor"]), lambda r: extract_mentions(r, lexicon, keys=["target", "anchor", "hop", "iter", "record_id"]), n=n)
+
+
 def dedup_pool(mentions: DataFrame, texts: DataFrame) -> DataFrame:
     """Mentions of one record for each normalised text (the least record id)."""
     keep = texts.groupBy(F.md5(F.lower(F.trim(F.regexp_replace("text", " +", " ")))).alias("k")).agg(F.min("record_id").alias("record_id")).select("record_id")
@@ -78,25 +143,30 @@ def recorded(conversations: DataFrame) -> DataFrame:
     return rows.filter("role = 'user' and next_role = 'assistant'").select("conv_id", "turn", F.col("text").alias("prompt"), "response")
 
 
-def call_model(prompts: DataFrame, answer: Callable[[list[str]], list[str | None]], *, partitions: int = 8, retries: int = 2) -> DataFrame:
+def call_model(prompts: DataFrame, answer: Callable[[list[str]], list[str | None]], *, partitions: int = 8, retries: int = 2, timeout: float = 60.0, refusals: tuple = (TimeoutError, ConnectionError)) -> DataFrame:
     """Live calls: prompts (target, anchor, hop, iter, prompt) -> responses. Asked once: the answers are written before use.
 
-    A call that fails `retries` times counts as a refusal (null text).
+    A call that gives no answer in `timeout` seconds, or raises one of `refusals`, is made again, `retries` times at most, and then counts as a refusal (null text).
+    Any other error is a fault of the caller and is raised.
     """
 
     def ask(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        from concurrent.futures import ThreadPoolExecutor
+
+        callers = ThreadPoolExecutor(retries + 1)
         for frame in frames:
-            for attempt in range(retries + 1):
+            texts = [None] * len(frame)
+            for _ in range(retries + 1):
                 try:
-                    texts = answer(frame["prompt"].tolist())
+                    texts = callers.submit(answer, frame["prompt"].tolist()).result(timeout)
                     break
-                except Exception:
-                    if attempt == retries:
-                        texts = [None] * len(frame)
+                except refusals:
+                    continue
             out = frame.drop(columns=["prompt"])
             out["response_id"] = [f"{t}|{a}|{i}" for t, a, i in zip(frame["target"], frame["anchor"], frame["iter"], strict=True)]
             out["text"] = texts
             yield out
+        callers.shutdown(wait=False, cancel_futures=True)
 
     rows = prompts.select("target", "anchor", F.col("hop").cast("int"), F.col("iter").cast("int"), "prompt").repartition(partitions, "target")
     return cut(rows.mapInPandas(ask, "target string, anchor string, hop int, iter int, response_id string, text string"))

@@ -355,3 +355,57 @@ def test_config_is_checked():
         with pytest.raises(ValueError):
             RecallConfig(**bad)
     assert RecallConfig(n=20, tau=0.2).need == 4 and RecallConfig(n=10, tau=0.25).need == 3
+
+
+def test_anchor_sentence_and_text_responders(spark):
+    """The method by a live model, by recorded answers, and by a sentence whose words condition the first answers."""
+    from anchorscope.api import graph_recall
+    from anchorscope.sources import responder
+
+    known = {"Ada": "Ada wrote engine notes with Babbage.", "engine": "The engine of Babbage and Ada.", "babbage": "Babbage built the engine."}
+    lexicon = spark.createDataFrame([("engine",), ("babbage",), ("notes",)], "entity string")
+    cfg = RecallConfig(n=3, tau=0.3, k=2, r=4, l=2, eta=0.0, eta_mode="absolute")
+    ask = spark.createDataFrame([("Ada",)], "target string")
+
+    def call(prompts):
+        return [next((t for k, t in known.items() if f"about {k} in" in p or f"with {k}." in p), None) for p in prompts]
+
+    live = graph_recall(ask, responder.model_responder(call, lexicon, n=3), cfg)
+    assert {r["entity"] for r in live.graph.nodes.collect()} == {"Ada", "engine", "babbage", "notes"} and live.forget.count() > 0
+    assert all(r["evidence_id"] for r in live.forget.collect())
+    answers = spark.createDataFrame([("Ada", a, i, t) for a, t in known.items() for i in (1, 2, 3)], "target string, anchor string, iter int, text string")
+    told = graph_recall(ask, responder.recorded_responder(answers, lexicon, n=3), cfg)
+    assert sorted(map(tuple, told.graph.edges.collect())) == sorted(map(tuple, live.graph.edges.collect()))
+    # of two people of one name the sentence picks the one meant
+    pool = spark.createDataFrame([(f"r{i}", e) for i in range(12) for e in ("ada", *(("poet", "byron") if i < 6 else ("engine", "notes")))], "record_id string, entity string")
+    said = spark.createDataFrame([("q", "ada is the engine writer")], "request_id string, anchor_text string")
+    nodes = lambda requests: {r["entity"] for r in graph_recall(requests, pool, RecallConfig(n=6, tau=0.2, k=1, r=2)).graph.nodes.collect()}
+    assert nodes(said) == {"ada", "engine", "notes"} and "poet" in nodes(spark.createDataFrame([("ada",)], "target string"))
+
+
+def test_return_edges_and_copies_of_records(spark):
+    from anchorscope.api import graph_recall
+
+    pool = spark.createDataFrame([(f"r{i}", e) for i in range(4) for e in ("T", "A")], "record_id string, entity string")
+    texts = spark.createDataFrame([("r0", "x  Y"), ("r1", "X y"), ("r2", "z"), ("r3", "z")], "record_id string, text string")
+    ask, cfg = spark.createDataFrame([("T",)], "target string"), RecallConfig(n=4, tau=0.25, k=2, r=2)
+    edges = lambda c, t=None: {(r["src"], r["dst"]): r["c"] for r in graph_recall(ask, pool, c, t).graph.edges.collect()}
+    assert edges(cfg) == {("T", "A"): 4}
+    assert edges(cfg.but(keep_return_edges=True)) == {("T", "A"): 4, ("A", "T"): 4}
+    assert edges(cfg.but(dedup_pool=True), texts) == {("T", "A"): 2}
+
+
+def test_coupled_rounds_are_the_walks_of_one_task(spark, monkeypatch):
+    edges = spark.createDataFrame([("T", s, d, 1, 2, 0.5, w, True) for s, d, w in [("T", "A", 0.5), ("T", "B", 0.3), ("T", "C", 0.2), ("A", "B", 0.6), ("A", "C", 0.4), ("B", "C", 1.0), ("C", "A", 0.7), ("C", "B", 0.3)]], "target string, src string, dst string, hop int, c long, s double, w double, kept boolean")
+    nodes = spark.createDataFrame([("T", "T", 0, 1.0, 4), ("T", "A", 1, 0.5, 2), ("T", "B", 1, 0.4, 2), ("T", "C", 1, 0.3, 2)], "target string, entity string, hop int, strength double, c long")
+    cfg = RecallConfig(r=3, l=2, alpha=1.0, tau=0.2)
+    paths = lambda df: sorted((r["walk_id"], tuple(r["nodes"])) for r in df.collect())
+    for role in ("forget", "neighbor"):
+        one = paths(walks.sample_walks(edges, nodes, cfg, role))
+        starts = [("T", 0, "T")] if role == "forget" else [("T", 0, "A"), ("T", 1, "B"), ("T", 2, "C")]
+        table = spark.createDataFrame(starts, "target string, at int, node string")
+        assert paths(walks.coupled_rounds(edges, table, cfg, role, batch=1)) == one
+        rounds = paths(walks.coupled_rounds(edges, table, cfg, role, batch=2))
+        assert [n[0] for _, n in rounds] == [n[0] for _, n in one] and len(rounds) == 3
+    monkeypatch.setattr(walks, "LOCAL_EDGES", 3)
+    assert len(paths(walks.sample_walks(edges, nodes, cfg.but(r=2), "neighbor"))) == 2

@@ -53,19 +53,22 @@ def grouped_scores(scored: DataFrame) -> DataFrame:
 
 
 def membership_loss(token_scores: DataFrame) -> DataFrame:
-    """Mean negative log-likelihood of the records of each split."""
-    by = token_scores.groupBy("split", "sample_id").agg(F.avg(-F.col("lp_after")).alias("nll"))
-    return by.groupBy("split").agg(F.avg("nll").alias("loss"))
+    """Mean negative log-likelihood of the records of each split (of each model, if there are several)."""
+    of = ["model_id"] if "model_id" in token_scores.columns else []
+    by = token_scores.groupBy(*of, "split", "sample_id").agg(F.avg(-F.col("lp_after")).alias("nll"))
+    return by.groupBy(*of, "split").agg(F.avg("nll").alias("loss"))
 
 
 def answer_prob(token_scores: DataFrame) -> DataFrame:
     """Length-normalised probability of the answer of each sample."""
-    return token_scores.filter("is_answer").groupBy("sample_id").agg(F.exp(F.avg("lp_after")).alias("prob"))
+    of = ["model_id"] if "model_id" in token_scores.columns else []
+    return token_scores.filter("is_answer").groupBy(*of, "sample_id").agg(F.exp(F.avg("lp_after")).alias("prob"))
 
 
 def truth_ratio(answers: DataFrame) -> DataFrame:
     """answers: sample_id, is_right, prob. Mean probability of the wrong answers over that of the right one."""
-    return answers.groupBy("sample_id").agg((F.avg(F.when(~F.col("is_right"), F.col("prob"))) / F.max(F.when(F.col("is_right"), F.col("prob")))).alias("ratio"))
+    of = ["model_id"] if "model_id" in answers.columns else []
+    return answers.groupBy(*of, "sample_id").agg((F.avg(F.when(~F.col("is_right"), F.col("prob"))) / F.max(F.when(F.col("is_right"), F.col("prob")))).alias("ratio"))
 
 
 def rouge1_recall(pairs: DataFrame) -> DataFrame:
@@ -112,6 +115,20 @@ def ks_p_value(d: float, na: int, nb: int) -> float:
     return max(0.0, min(1.0, 2 * sum((-1) ** (k - 1) * math.exp(-2 * k * k * x * x) for k in range(1, 101))))
 
 
+def ks_quality(rows: DataFrame) -> DataFrame:
+    """rows: model_id, value, side (a: the model, b: its reference, in every model). d and p (two-sided, asymptotic) of each model: how far it is from the reference.
+
+    One model's scores are a few hundred numbers and meet in one task; the tables of many models spread.
+    """
+
+    def run(frame: pd.DataFrame) -> pd.DataFrame:
+        a, b = (sorted(frame.loc[frame["side"] == s, "value"].round(9)) for s in "ab")
+        d = max((abs(sum(x <= v for x in a) / len(a) - sum(x <= v for x in b) / len(b)) for v in {*a, *b}), default=0.0) if a and b else float("nan")
+        return pd.DataFrame({"model_id": [frame["model_id"].iloc[0]], "d": [d], "p": [ks_p_value(d, len(a), len(b)) if a and b else float("nan")]})
+
+    return rows.select("model_id", "side", "value").groupBy("model_id").applyInPandas(run, "model_id string, d double, p double")
+
+
 def model_utility(scores: DataFrame) -> DataFrame:
     """scores: model_id, split, value -> harmonic mean of the splits (0 if one is 0)."""
     return scores.groupBy("model_id").agg((F.when(F.min("value") > 0, F.count("*") / F.sum(1 / F.col("value"))).otherwise(0.0)).alias("utility"))

@@ -116,6 +116,20 @@ def erase(params: DataFrame, forget: DataFrame, neighbor: DataFrame | None = Non
     return rows.groupBy("model_id", "cue").applyInPandas(run, PARAMS)
 
 
+def token_scores(params: DataFrame, samples: DataFrame) -> DataFrame:
+    """samples: model_id, sample_id, split, cue, ans -> model_id, sample_id, split, pos, is_answer, lp_before, lp_after: an answer of the table is one token.
+
+    The form in which an external trainer hands over its scores too, so all measures of token scores hold for both.
+    """
+    p = probabilities(params).select("model_id", "cue", "ans", F.log(F.greatest(F.col("p_ref"), F.lit(1e-300))).alias("lp_before"), F.log(F.greatest(F.col("p"), F.lit(1e-300))).alias("lp_after"))
+    return samples.join(p, ["model_id", "cue", "ans"]).select("model_id", "sample_id", "split", F.lit(0).alias("pos"), F.lit(True).alias("is_answer"), "lp_before", "lp_after")
+
+
+def load_token_scores(spark, path: str, fmt: str = "json") -> DataFrame:
+    """Token scores of an external trainer, one row a token: sample_id, split, pos, is_answer, lp_before, lp_after; a missing column raises."""
+    return spark.read.schema("sample_id string, split string, pos int, is_answer boolean, lp_before double, lp_after double").format(fmt).load(path)
+
+
 def alternative_response(samples: DataFrame, kind: str = "refusal") -> DataFrame:
     """The answer replaced, for strategies that train on another response instead of against the right one."""
     text = F.lit("I don't know.") if kind == "refusal" else F.lit("an entity of that kind")

@@ -6,9 +6,10 @@ Parts and customers with facts of the star join stand for the well-known entitie
 
 from __future__ import annotations
 
+from dataclasses import dataclass
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .. import metrics
@@ -16,6 +17,7 @@ from ..config import RecallConfig
 from ..functions import r6, u01
 from ..functions.session import cut
 from ..operators import baselines, erasure, recall, supervision, walks
+from ..operators.erasure import probabilities
 from ..sources import carriers, table
 from ..sources.responder import PoolResponder
 from . import query
@@ -53,16 +55,36 @@ def answers_of(*pairs: DataFrame) -> DataFrame:
     return union([p.select(F.col("target").alias("model_id"), "cue", "ans") for p in pairs])
 
 
-def run_grid(targets: DataFrame, pool: DataFrame, forget: DataFrame, near: DataFrame, strategies: tuple[str, ...], *, epochs: int = 5, lr: float = 0.2, budget: int = 60) -> DataFrame:
-    """generator, strategy, split, kind, value: means over targets before and after erasure.
+@dataclass
+class Grid:
+    """Erased models of a grid: params (model_id = target|generator|strategy), grid (generator, strategy; - and before is the untouched one), base (the table by target)."""
+
+    params: DataFrame
+    grid: DataFrame
+    base: DataFrame
+    asked: DataFrame
+    best: DataFrame
+
+    def name(self, target) -> Column:
+        return F.concat_ws("|", target, "generator", "strategy")
+
+
+def by_model(df: DataFrame) -> DataFrame:
+    """generator and strategy in place of model_id."""
+    return df.withColumn("generator", F.element_at(F.split("model_id", "\\|"), -2)).withColumn("strategy", F.element_at(F.split("model_id", "\\|"), -1))
+
+
+def erased(targets: DataFrame, pool: DataFrame, forget: DataFrame, near: DataFrame, strategies: tuple[str, ...], *, epochs: int = 5, lr: float = 0.2, budget: int = 60, more: DataFrame | None = None, without: bool = False) -> Grid:
+    """All models of the grid, erased in one job. more: target, cue that have to be in the tables too.
 
     Each generator has the same number of steps for a target (`budget`), shared out by multiplicity, so that what counts is where they go.
     """
     spark = targets.sparkSession
     near_cues = supervision.cooccur(pool, targets.select(F.col("target").alias("cue"))).select(F.col("cue").alias("target"), F.col("ans").alias("cue"), "c")
     asked = cut(metrics.forget_probes(near_cues, PROBES))
-    cues = union([asked.select("target", "cue"), asked.filter("cue2 is not null").select("target", F.col("cue2").alias("cue")), forget.select("target", "cue"), near.select("target", "cue")]).distinct().filter("cue <> target")
-    base = cut(erasure.fit_table(pool, cues.withColumn("model_id", F.col("target")), support=40, named=answers_of(forget, near)))
+    cues = [asked.select("target", "cue"), asked.filter("cue2 is not null").select("target", F.col("cue2").alias("cue")), forget.select("target", "cue"), near.select("target", "cue")]
+    cues = union([*cues, *([more.select("target", "cue")] if more is not None else [])]).distinct().filter("cue <> target")
+    base = cut(erasure.fit_table(pool, cues.withColumn("model_id", F.col("target")), support=40, without=without, named=answers_of(forget, near)))
     best = base.filter((F.col("ans") != F.col("model_id")) & (F.col("ans") != erasure.OTHER)).groupBy("model_id", "cue").agg(F.max_by("ans", F.struct("logit", "ans")).alias("best")).select(F.col("model_id").alias("target"), "cue", "best")
     grid = forget.select("generator").distinct().crossJoin(spark.createDataFrame([(s,) for s in strategies], "strategy string"))
     grid = grid.unionByName(spark.createDataFrame([("-", "before")], "generator string, strategy string"))
@@ -75,14 +97,86 @@ def run_grid(targets: DataFrame, pool: DataFrame, forget: DataFrame, near: DataF
     near_total = near.groupBy("target", *own).agg(F.sum("n").alias("all"))
     g = near.join(near_total, ["target", *own]).withColumn("n", F.col("n") * budget / F.col("all"))
     g = (g.join(F.broadcast(grid), "generator") if own else g.crossJoin(F.broadcast(grid))).select(name(F.col("target")).alias("model_id"), "cue", "ans", "n")
-    done = cut(erasure.erase(params, f, g, lr=lr, epochs=epochs))
+    return Grid(cut(erasure.erase(params, f, g, lr=lr, epochs=epochs)), grid, base, asked, cut(best))
+
+
+def probe_means(done: Grid) -> DataFrame:
+    """generator, strategy, split, kind, value: answers to the probes, means over the targets that all generators share."""
     ask = lambda df, split: df.select("target", F.concat_ws(":", F.lit(split), "kind").alias("kind"), "cue", "cue2", "ans")
-    probes = ask(asked.withColumn("ans", F.col("target")), "forget").unionByName(ask(asked.filter("kind <> 'aa'").join(best, ["target", "cue"]).withColumn("ans", F.col("best")), "neighbor"))
-    scored = metrics.probe_scores(done, probes, target_of=F.substring_index("model_id", "|", 1))
-    kinds = scored.groupBy("model_id", "target", "kind").agg(F.avg("value").alias("value"))
-    kinds = kinds.select(F.element_at(F.split("model_id", "\\|"), -2).alias("generator"), F.element_at(F.split("model_id", "\\|"), -1).alias("strategy"), "target", F.substring_index("kind", ":", 1).alias("split"), F.substring_index("kind", ":", -1).alias("kind"), "value")
-    means = kinds.groupBy("generator", "strategy", "split", "kind").agg(F.avg("value").alias("value"))
-    return means.unionByName(means.groupBy("generator", "strategy", "split").agg(F.avg("value").alias("value")).withColumn("kind", F.lit("all"))).withColumn("value", r6("value"))
+    probes = ask(done.asked.withColumn("ans", F.col("target")), "forget").unionByName(ask(done.asked.filter("kind <> 'aa'").join(done.best, ["target", "cue"]).withColumn("ans", F.col("best")), "neighbor"))
+    scored = metrics.probe_scores(done.params, probes, target_of=F.substring_index("model_id", "|", 1))
+    kinds = by_model(scored.groupBy("model_id", "target", "kind").agg(F.avg("value").alias("value"))).withColumnRenamed("kind", "metric")
+    means = metrics.shared_target_average(kinds, done.base.select(F.col("model_id").alias("target")).distinct())
+    means = means.select("generator", "strategy", F.substring_index("metric", ":", 1).alias("split"), F.substring_index("metric", ":", -1).alias("kind"), "value")
+    return means.unionByName(means.groupBy("generator", "strategy", "split").agg(F.avg("value").alias("value")).withColumn("kind", F.lit("all")))
+
+
+def run_grid(targets: DataFrame, pool: DataFrame, forget: DataFrame, near: DataFrame, strategies: tuple[str, ...], **options) -> DataFrame:
+    """generator, strategy, split, kind, value of the erased models and the untouched one."""
+    return probe_means(erased(targets, pool, forget, near, strategies, **options)).withColumn("value", r6("value"))
+
+
+def member_losses(done: Grid, pool: DataFrame, targets: DataFrame, free: DataFrame) -> DataFrame:
+    """Membership: mean loss of facts of the target (forget; higher is better) and of unrelated facts (retain; lower is better)."""
+    known = done.asked.filter("kind <> 'qa'").select("target", F.lit("forget").alias("split"), "cue", F.col("target").alias("ans"))
+    other = free.join(done.best, ["target", "cue"]).select("target", F.lit("retain").alias("split"), "cue", F.col("best").alias("ans"))
+    samples = known.unionByName(other).crossJoin(F.broadcast(done.grid)).select(done.name(F.col("target")).alias("model_id"), F.concat_ws("|", "target", "cue").alias("sample_id"), "split", "cue", "ans")
+    loss = metrics.membership_loss(erasure.token_scores(done.params, samples))
+    return by_model(loss).groupBy("generator", "strategy", "split").agg(F.avg("loss").alias("value")).withColumn("kind", F.lit("membership_loss"))
+
+
+def utilities(done: Grid, free: DataFrame) -> DataFrame:
+    """Five stand-ins for general abilities, all on cues that have nothing to do with the targets: knowledge (the best answer stays the best), reasoning (that of two cues
+    together does), truthfulness (mass on answers met before), factuality (probability of the best answer), fluency (bits of the answers' distribution)."""
+    p = probabilities(done.params).withColumn("target", F.substring_index("model_id", "|", 1)).join(free.select("target", "cue"), ["target", "cue"])
+    p = cut(p.join(done.best, ["target", "cue"]).select("model_id", "cue", "ans", "p", "p_ref", "best"))
+    top = p.groupBy("model_id", "cue").agg(F.max_by("ans", F.struct("p", "ans")).alias("now"), F.max_by("ans", F.struct("p_ref", "ans")).alias("then"), F.sum(F.when(F.col("ans") != erasure.OTHER, F.col("p"))).alias("met"), F.sum(F.when(F.col("ans") == F.col("best"), F.col("p"))).alias("right"), (-F.sum(F.col("p") * F.log2("p"))).alias("bits"))
+    means = by_model(top).groupBy("generator", "strategy").agg(F.avg((F.col("now") == F.col("then")).cast("double")).alias("knowledge"), F.avg("met").alias("truthfulness"), F.avg("right").alias("factuality"), F.avg("bits").alias("fluency"))
+    at = Window.partitionBy("model_id").orderBy("cue")
+    order = p.select("model_id", "cue").distinct().withColumn("next", F.lead("cue").over(at)).filter("next is not null")
+    two = order.join(p, ["model_id", "cue"]).join(p.select("model_id", F.col("cue").alias("next"), "ans", F.col("p").alias("q"), F.col("p_ref").alias("q_ref")), ["model_id", "next", "ans"])
+    two = two.groupBy("model_id", "cue").agg(F.max_by("ans", F.struct(F.col("p") * F.col("q"), "ans")).alias("now"), F.max_by("ans", F.struct(F.col("p_ref") * F.col("q_ref"), "ans")).alias("then"))
+    means = means.join(by_model(two).groupBy("generator", "strategy").agg(F.avg((F.col("now") == F.col("then")).cast("double")).alias("reasoning")), ["generator", "strategy"], "left")
+    return means.unpivot(["generator", "strategy"], ["knowledge", "reasoning", "truthfulness", "factuality", "fluency"], "kind", "value").withColumn("split", F.lit("utility"))
+
+
+def profile_measures(done: Grid, retrained: DataFrame, splits: DataFrame) -> DataFrame:
+    """The measures of the second benchmark. splits: target, split (retain, real_people, world_facts), cue. retrained: the table of the same cues without the target's records.
+
+    prob and rouge (words of the best answer) of the target's facts, truth_ratio against the other answers of the target's kind, forget_quality (p of a Kolmogorov-Smirnov test of truth
+    ratios against the retrained table), and the probability of the right answer in each split; utility is the harmonic mean of the splits.
+    """
+    p = probabilities(done.params).withColumn("target", F.substring_index("model_id", "|", 1)).select("model_id", "target", "cue", "ans", "p")
+    kind = lambda c: F.substring_index(c, ":", 1)
+    facts = cut(done.asked.filter("kind <> 'qa'").select("target", "cue").distinct())
+    rows = cut(p.join(facts, ["target", "cue"]))
+    prob = rows.filter("ans = target").groupBy("model_id").agg(F.avg("p").alias("value")).withColumn("kind", F.lit("prob"))
+    best = rows.groupBy("model_id", "target", "cue").agg(F.max_by("ans", F.struct("p", "ans")).alias("best"))
+    said = lambda c: F.regexp_replace(c, "[:#_ ]+", " ")
+    rouge = metrics.rouge1_recall(best.select(F.struct("model_id", "cue").alias("id"), said("target").alias("reference"), said("best").alias("output")))
+    rouge = rouge.groupBy(F.col("id.model_id").alias("model_id")).agg(F.avg("recall").alias("value")).withColumn("kind", F.lit("rouge"))
+    ratios = lambda r: metrics.truth_ratio(r.filter(kind("ans") == kind("target")).select("model_id", F.concat_ws("|", "target", "cue").alias("sample_id"), (F.col("ans") == F.col("target")).alias("is_right"), F.col("p").alias("prob"))).filter("ratio is not null")
+    own = cut(ratios(rows))
+    truth = own.groupBy("model_id").agg(F.avg(F.greatest(F.lit(0.0), 1 - 1 / F.col("ratio"))).alias("value")).withColumn("kind", F.lit("truth_ratio"))
+    again = ratios(probabilities(retrained).withColumn("target", F.col("model_id")).select("model_id", "target", "cue", "ans", "p").join(facts, ["target", "cue"])).select(F.col("model_id").alias("target"), "ratio")
+    models = own.select("model_id").distinct().withColumn("target", F.substring_index("model_id", "|", 1))
+    both = own.select("model_id", F.lit("a").alias("side"), F.col("ratio").alias("value")).unionByName(models.join(again, "target").select("model_id", F.lit("b").alias("side"), F.col("ratio").alias("value")))
+    quality = metrics.ks_quality(both).filter("not isnan(p)").select("model_id", F.col("p").alias("value"), F.lit("forget_quality").alias("kind"))
+    right = p.join(splits, ["target", "cue"]).join(done.best, ["target", "cue"]).filter("ans = best").groupBy("model_id", F.col("split").alias("kind")).agg(F.avg("p").alias("value"))
+    utility = metrics.model_utility(right.withColumnRenamed("kind", "split")).select("model_id", F.lit("utility").alias("kind"), F.col("utility").alias("value"))
+    every = union([x.select("model_id", "kind", "value") for x in (prob, rouge, truth, quality, right, utility)])
+    return by_model(every).groupBy("generator", "strategy", "kind").agg(F.avg("value").alias("value")).withColumn("split", F.lit("profiles"))
+
+
+def marked(rows: DataFrame) -> DataFrame:
+    """Adds mark (1 and 2 for the best generators of each strategy and kind) and gap (on the row of ours: its value less the least of the externally supervised ones)."""
+    lower = ["forget:fb", "forget:qa", "forget:aa", "forget:all", "retain:membership_loss", "profiles:prob", "profiles:rouge"]
+    scores = cut(rows.select("generator", "strategy", F.concat_ws(":", "split", "kind").alias("metric"), "value"))
+    marks = metrics.rank_marks(scores, lower)
+    gaps = metrics.supervision_gap(scores, ["expert_probe", "paragraph_qa", "profile_truth"])
+    out = marks.join(gaps, ["strategy", "metric"], "left")
+    ours = F.when(F.col("generator") == "graph_recall", r6("gap"))
+    return out.select("generator", "strategy", F.substring_index("metric", ":", 1).alias("split"), F.substring_index("metric", ":", -1).alias("kind"), r6("value").alias("value"), F.when(F.col("strategy") != "before", F.col("mark")).alias("mark"), ours.alias("gap"))
 
 
 def parts(spark: SparkSession, d: str, n: int) -> tuple[DataFrame, DataFrame]:
@@ -92,28 +186,73 @@ def parts(spark: SparkSession, d: str, n: int) -> tuple[DataFrame, DataFrame]:
 
 @query()
 def exp_main(spark, d):
-    """Four strategies by four generators and the untouched model, eight targets; own forget sets cover 90 % of their graphs."""
+    """Four strategies by four generators and the untouched model, eight targets; own forget sets cover 90 % of their graphs. Probes, membership, five utilities, marks and gaps."""
+    pool, targets = parts(spark, d, 8)
+    return main_table(targets, pool, STAR, erasure.STRATEGIES)
+
+
+def main_table(targets: DataFrame, pool: DataFrame, cfg: RecallConfig, strategies: tuple[str, ...]) -> DataFrame:
+    forget, near, graph = pairs_of(targets, pool, cfg, GENERATORS, 0.9)
+    free = cut(baselines.neighbor_general(pool, graph.nodes, 20).select("target", F.col("entity").alias("cue")))
+    done = erased(targets, pool, forget, near, strategies, more=free)
+    return marked(union([x.select("generator", "strategy", "split", "kind", "value") for x in (probe_means(done), member_losses(done, pool, targets, free), utilities(done, free))]))
+
+
+@query()
+def exp_main_words(spark, d):
+    """The same on texts: frequent words of documents as targets."""
+    pool = indexed(spark, d, "doc_words", carriers.doc_words)
+    targets = cut(carriers.frequent(pool, 4))
+    return main_table(targets, pool, STAR.but(tau=0.15), ("ga", "ga_gd"))
+
+
+@query()
+def exp_small_memory(spark, d):
+    """Smaller memories erased: a quarter of the pool's records plays the smaller model."""
+    pool, targets = parts(spark, d, 4)
+    return main_table(targets, cut(pool.filter(u01(11, "record_id") < 0.25)), STAR, ("ga", "ga_gd"))
+
+
+@query()
+def similarity_matrices(spark, d):
+    """Every pair of generators: cosine of frequencies and Jaccard of the 50 most frequent entities that they ask by, means over targets."""
     pool, targets = parts(spark, d, 8)
-    forget, near, _ = pairs_of(targets, pool, STAR, GENERATORS, 0.9)
-    return run_grid(targets, pool, forget, near, erasure.STRATEGIES)
+    asked = cut(pairs_of(targets, pool, STAR, GENERATORS, 0.9)[0].select("target", "generator", F.col("cue").alias("entity"), "n"))
+    mean = lambda df, name: df.groupBy("a", "b").agg(r6(F.avg("value")).alias(name))
+    return mean(metrics.freq_cosine(asked), "cosine").join(mean(metrics.entity_jaccard(asked), "jaccard"), ["a", "b"])
+
+
+@query()
+def attribute_tables(spark, d):
+    """Attributes of customers' true profiles that direct questions and graph recall name: facts, covered, F1 by generator and attribute, means over targets."""
+    pool = indexed(spark, d, "customer_facts", carriers.customer_facts)
+    targets = cut(carriers.frequent(pool, 8, "cust:%"))
+    asked = pairs_of(targets, pool, STAR.but(n=5, tau=0.4, k=2), ("direct_qa", "graph_recall"))[0]
+    truth = cut(baselines.profile_truth(targets, pool).select("target", F.substring_index("entity", ":", 1).alias("attribute"), F.col("entity").alias("value")))
+    named = asked.select("generator", "target", F.substring_index("cue", ":", 1).alias("attribute"), F.col("cue").alias("value"))
+    rows = union([metrics.attribute_recovery(named.filter(F.col("generator") == g).drop("generator"), truth).withColumn("generator", F.lit(g)) for g in ("direct_qa", "graph_recall")])
+    return rows.groupBy("generator", "attribute").agg(F.sum("facts").alias("facts"), r6(F.avg(F.col("covered").cast("double"))).alias("covered"), r6(F.avg("f1")).alias("f1"))
 
 
 @query()
 def similarity_generators(spark, d):
     """Cosine and Jaccard of what the generators of `exp_main` ask by, against paragraph questions: means over targets."""
-    pool, targets = parts(spark, d, 8)
-    asked = pairs_of(targets, pool, STAR, GENERATORS, 0.9)[0].select("target", "generator", F.col("cue").alias("entity"), "n")
-    mean = lambda df, name: df.filter("b = 'paragraph_qa'").groupBy("a").agg(r6(F.avg("value")).alias(name))
-    return mean(metrics.freq_cosine(asked), "cosine").join(mean(metrics.entity_jaccard(asked), "jaccard"), "a")
+    return similarity_matrices(spark, d).filter("b = 'paragraph_qa'").select("a", "cosine", "jaccard")
 
 
 @query()
 def exp_profiles(spark, d):
-    """Invented entities: exact profiles, direct questions and graph recall at few responses."""
+    """Invented entities: exact profiles, direct questions and graph recall at few responses, by the measures of the second benchmark."""
     pool = indexed(spark, d, "customer_facts", carriers.customer_facts)
     targets = cut(carriers.frequent(pool, 4, "cust:%"))
-    forget, near, _ = pairs_of(targets, pool, STAR.but(n=5, tau=0.4, k=1), ("profile_truth", "direct_qa", "graph_recall"))
-    return run_grid(targets, pool, forget, near, erasure.STRATEGIES)
+    forget, near, graph = pairs_of(targets, pool, STAR.but(n=5, tau=0.4, k=2), ("profile_truth", "direct_qa", "graph_recall"))
+    free = pool.select("entity").distinct().join(graph.nodes.select("entity").distinct(), "entity", "left_anti")
+    splits = [("retain", "cust:%"), ("real_people", "supp:%"), ("world_facts", "%nation:%")]
+    few = union([free.filter(F.col("entity").like(like)).orderBy(u01(42, "entity"), "entity").limit(15).select(F.lit(s).alias("split"), F.col("entity").alias("cue")) for s, like in splits])
+    few = cut(targets.crossJoin(F.broadcast(few)))  # 45 cues by target
+    done = erased(targets, pool, forget, near, erasure.STRATEGIES, more=few)
+    again = erasure.fit_table(pool, done.asked.filter("kind <> 'qa'").select("target", "cue").distinct().withColumn("model_id", F.col("target")), support=40, without=True)
+    return marked(union([x.select("generator", "strategy", "split", "kind", "value") for x in (probe_means(done), profile_measures(done, again, few))]))
 
 
 @query()
@@ -131,15 +270,21 @@ def exp_neighbor_source(spark, d):
 
 @query()
 def exp_coverage(spark, d):
-    """Forget sets cut down to their most frequent cues: shares .9, .7, .5, .3 of all cues."""
+    """Forget sets that stop at lower shares of their graphs: walks are added only until .9, .7, .5, .3 of the nodes are met."""
     pool, targets = parts(spark, d, 4)
-    forget, near, _ = pairs_of(targets, pool, STAR, ("graph_recall",))
-    from pyspark.sql import Window
-
-    w = Window.partitionBy("target")
-    ranked = forget.withColumn("at", F.row_number().over(w.orderBy(F.desc("n"), "cue"))).withColumn("of", F.count("*").over(w))
-    cuts = [ranked.filter(F.col("at") <= F.ceil(F.col("of") * s)).select(F.lit(f"share_{s}").alias("generator"), "target", "cue", "ans", "n") for s in (0.9, 0.7, 0.5, 0.3)]
-    return run_grid(targets, pool, cut(union(cuts)), near, ("ga",))
+    _, near, graph = pairs_of(targets, pool, STAR, ("graph_recall",))
+    paths = cut(walks.filter_paths(walks.sample_walks(graph.edges, graph.nodes, STAR.but(r=400)), STAR.eta, STAR.eta_mode))
+    steps = paths.select("target", "walk_id", F.explode("nodes").alias("node")).filter("node <> target")
+    first = steps.groupBy("target", "node").agg(F.min("walk_id").alias("walk_id"))
+    size = graph.nodes.filter("hop > 0").groupBy("target").agg(F.count("*").alias("of"))
+    met = first.groupBy("target", "walk_id").agg(F.count("*").alias("new")).withColumn("met", F.sum("new").over(Window.partitionBy("target").orderBy("walk_id")))
+    met = cut(met.join(size, "target"))
+    cuts = []
+    for share in (0.9, 0.7, 0.5, 0.3):  # the first walk that reaches the share; all if none does
+        last = met.groupBy("target").agg(F.coalesce(F.min(F.when(F.col("met") >= share * F.col("of"), F.col("walk_id"))), F.max("walk_id")).alias("last"))
+        rows = steps.join(last, "target").filter("walk_id <= last").groupBy("target", F.col("node").alias("cue")).agg(F.count("*").alias("n"))
+        cuts.append(rows.select(F.lit(f"share_{share}").alias("generator"), "target", "cue", F.col("target").alias("ans"), "n"))
+    return run_grid(targets, pool, cut(union(cuts)), near, erasure.STRATEGIES)
 
 
 @query()
@@ -152,8 +297,6 @@ def exp_correct_mix(spark, d):
     need = max((r["n"] for r in forget.select("target").unionByName(facts.select("target")).groupBy("target").agg(F.count("*").alias("n")).collect()), default=0) + 1
     first = pool.select(F.col("entity").alias("wrong")).distinct().orderBy(u01(6, "wrong"), "wrong").limit(need)
     wrong = targets.crossJoin(F.broadcast(first)).join(facts, ["target", "wrong"], "left_anti").filter("wrong <> target")
-    from pyspark.sql import Window
-
     order = lambda c, *seed: F.row_number().over(Window.partitionBy("target").orderBy(u01(*seed, c), c))
     numbered = forget.withColumn("at", order("cue", 5, "target"))
     wrong = cut(wrong.withColumn("at", order("wrong", 6)))
@@ -182,6 +325,24 @@ def exp_param_sweep(spark, d):
     return union([profile(recall.expand(targets, PoolResponder(pool, n=c.n), c), {"parameter": p, "value": float(v)}) for p, v, c in grid])
 
 
+@query()
+def exp_walk_sweep(spark, d):
+    """Walks, their length, exploration and the quality filter one by one: what each does to paths, to the nodes met, and to forgetting."""
+    pool, targets = parts(spark, d, 2)
+    graph = recall.expand(targets, PoolResponder(pool, n=STAR.n), STAR)
+    near = cut(baselines.neighbor_general(pool, graph.nodes, 1).select("target", F.col("entity").alias("cue"), F.col("entity").alias("ans"), F.lit(1).cast("long").alias("n")).filter("cue <> ans"))
+    grid = [("r", v, STAR.but(r=v)) for v in (10, 50, 200)] + [("l", v, STAR.but(l=v)) for v in (2, 4, 8)] + [("alpha", v, STAR.but(alpha=v)) for v in (0.0, 1.0, 2.0)] + [("eta", v, STAR.but(eta=v)) for v in (0.0, 0.25, 0.75)]
+    made, counts = [], []
+    for name, value, cfg in grid:
+        paths = walks.filter_paths(walks.sample_walks(graph.edges, graph.nodes, cfg), cfg.eta, cfg.eta_mode)
+        rows = cut(paths.select("target", "walk_id", F.explode("nodes").alias("cue")).filter("cue <> target").groupBy("target", "cue").agg(F.count_distinct("walk_id").alias("n")))
+        label = f"{name}={value:g}"
+        made.append(rows.select(F.lit(label).alias("generator"), "target", "cue", F.col("target").alias("ans"), "n"))
+        counts.append(rows.agg(F.count("*").alias("nodes_met"), F.sum("n").alias("visits")).withColumn("generator", F.lit(label)))
+    scores = run_grid(targets, pool, cut(union(made)), near, ("ga",)).filter("split = 'forget' and kind = 'all' and strategy = 'ga'")
+    return scores.join(union(counts), "generator").select(F.col("generator").alias("parameter"), "nodes_met", "visits", F.col("value").alias("forget"))
+
+
 @query()
 def exp_overhead(spark, d):
     """Iterations, calls and nodes of dense and sparse carriers."""

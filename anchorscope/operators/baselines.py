@@ -5,6 +5,11 @@ All give pairs (target, cue, ans, n): what a sample asks by and what it answers,
 
 from __future__ import annotations
 
+import math
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -115,47 +120,60 @@ def record_paragraphs(requests: DataFrame, mentions: DataFrame, theta: float = 0
     return rows.groupBy("target").applyInPandas(run, "target string, entity string, n long")
 
 
-def semantic_dedup_any(vectors: DataFrame, theta: float, *, key: str = "vec_id", vector: str = "embedding", block: str | None = "label") -> DataFrame:
-    """Keys to keep: those without an earlier vector of their block within cosine theta. Order-free.
+def close_pairs(vectors: DataFrame, theta: float, *, key: str = "vec_id", vector: str = "embedding", bits: int | None = None, miss: float = 0.001) -> tuple[DataFrame, DataFrame]:
+    """(pairs, equal), both k0, k (k0 < k): different vectors within cosine theta of each other, whatever their labels, and the least key of equal vectors with the others.
 
-    Blocks must be bounded; at scale they are buckets of random hyperplanes (`hyperplane_bucket`).
+    Candidates are pairs that share a bucket of random hyperplanes in one of several tables, so many that a pair at theta itself is missed with probability `miss` at most; every
+    candidate is checked exactly. Of equal vectors the least key stands for all in the pairs. Meant for near copies: the tables needed grow fast as theta falls below 0.8.
     """
-    a = vectors.select(F.col(key).alias("k"), F.col(vector).alias("v"), (F.col(block) if block else F.lit(0)).alias("b"))
-    e = a.withColumnsRenamed({"k": "k0", "v": "v0"})
-    close = a.join(e, "b").filter((F.col("k0") < F.col("k")) & (cosine(F.col("v"), F.col("v0")) >= theta)).select("k").distinct()
-    return a.select("k").join(close, "k", "left_anti").select(F.col("k").alias(key))
-
-
-def semantic_dedup_greedy(vectors: DataFrame, theta: float, *, key: str = "vec_id", vector: str = "embedding", block: str = "label") -> DataFrame:
-    """Keep-first: a vector goes if it is close to an earlier one that stays. One bounded block a task."""
-    import numpy as np
-    import pandas as pd
-
-    def run(frame: pd.DataFrame) -> pd.DataFrame:
-        frame = frame.sort_values("k")
-        x = np.stack(frame["v"].to_numpy()).astype(float)
-        x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-30)
-        kept: list[int] = []
-        for i in range(len(x)):
-            if not kept or (x[kept] @ x[i]).max() < theta:
-                kept.append(i)
-        return frame.iloc[kept][["k"]]
-
-    rows = vectors.select(F.col(key).cast("long").alias("k"), F.col(vector).alias("v"), F.col(block).alias("b")).filter("v is not null")
-    return rows.groupBy("b").applyInPandas(run, "k long").select(F.col("k").alias(key))
-
-
-def hyperplane_bucket(vector, dims: int, bits: int, seed: int = 42):
-    """Signs of `bits` keyed random projections as a number."""
-    import random
-
-    total = F.lit(0)
-    for b in range(bits):
-        draw = random.Random(f"{seed}|{b}")
-        plane = F.array(*[F.lit(draw.gauss(0, 1)) for _ in range(dims)])
-        side = F.aggregate(F.zip_with(vector, plane, lambda x, y: x.cast("double") * y), F.lit(0.0), lambda s, x: s + x)
-        total = total + F.when(side > 0, F.lit(1 << b)).otherwise(F.lit(0))
-    return total
+    rows = vectors.select(F.col(key).cast("long").alias("k"), F.col(vector).cast("array<double>").alias("v")).filter("k is not null and v is not null and size(v) > 0")
+    rows = rows.filter(F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x)) & F.exists("v", lambda x: x != 0))
+    rows = cut(rows.withColumn("h", F.md5(F.to_json("v"))))
+    one = cut(rows.groupBy("h").agg(F.min("k").alias("k"), F.first("v").alias("v")))
+    same = rows.select("h", "k").join(one.select("h", F.col("k").alias("k0")), "h").filter("k0 < k").select("k0", "k")
+    shape = one.groupBy(F.size("v").alias("d")).agg(F.count("*").alias("n")).orderBy(F.desc("n")).first()
+    if shape is None:
+        return same, same
+    bits = bits or min(24, max(6, math.ceil(math.log2(max(2, shape["n"]) / 16))))
+    alike = (1 - math.acos(min(1.0, theta)) / math.pi) ** bits
+    tables = max(1, math.ceil(math.log(miss) / math.log(1 - alike))) if alike < 1 else 1
+
+    def place(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        draw = np.random.default_rng(7)
+        planes = draw.standard_normal((shape["d"], tables * bits))
+        for frame in frames:
+            for at in range(0, len(frame), 2000):
+                some = frame.iloc[at : at + 2000]
+                side = (np.stack(some["v"].to_numpy()) @ planes > 0).reshape(len(some), tables, bits)
+                bucket = (side * (1 << np.arange(bits))).sum(axis=2) + (np.arange(tables, dtype=np.int64) << bits)
+                yield pd.DataFrame({"bucket": bucket.ravel(), "k": np.repeat(some["k"].to_numpy(), tables)})
+
+    one = one.filter(F.size("v") == shape["d"])
+    placed = cut(one.select("k", "v").mapInPandas(place, "bucket long, k long"))
+    pairs = placed.join(placed.select("bucket", F.col("k").alias("k0")), "bucket").filter("k0 < k").select("k0", "k").distinct()
+    near = pairs.join(one.select("k", "v"), "k").join(one.select(F.col("k").alias("k0"), F.col("v").alias("v0")), "k0")
+    near = near.filter(cosine(F.col("v"), F.col("v0")) >= theta).select("k0", "k")
+    return cut(near), cut(same)
+
+
+def semantic_dedup_any(vectors: DataFrame, theta: float, *, key: str = "vec_id", vector: str = "embedding") -> DataFrame:
+    """Keys to keep: those without an earlier vector within cosine theta. Order-free. Rows without a usable vector are close to none."""
+    pairs, equal = close_pairs(vectors, theta, key=key, vector=vector)
+    return vectors.select(key).join(pairs.unionByName(equal).select(F.col("k").alias(key)).distinct(), key, "left_anti")
+
+
+def semantic_dedup_greedy(vectors: DataFrame, theta: float, *, key: str = "vec_id", vector: str = "embedding") -> DataFrame:
+    """Keep-first: a vector goes if it is close to an earlier one that stays. Decided in rounds on the table of close pairs, never on all vectors:
+    what has no earlier vector left stays, what is close to one that stays goes."""
+    pairs, equal = close_pairs(vectors, theta, key=key, vector=vector)
+    gone = equal.select("k")  # the first of equal vectors stays, or goes because of one before it, which rules out the others too
+    while not pairs.isEmpty():
+        stays = pairs.select("k0").distinct().join(pairs.select(F.col("k").alias("k0")).distinct(), "k0", "left_anti")
+        out = cut(pairs.join(stays, "k0", "left_semi").select("k").distinct())
+        gone = gone.unionByName(out)
+        left = pairs.join(stays, "k0", "left_anti").join(out, "k", "left_anti")
+        pairs = cut(left.join(out.withColumnRenamed("k", "k0"), "k0", "left_anti"))
+    return vectors.select(key).join(gone.withColumnRenamed("k", key).distinct(), key, "left_anti")
 
 
 def neighbor_general(mentions: DataFrame, nodes: DataFrame, m: int = 20, seed: int = 42) -> DataFrame:

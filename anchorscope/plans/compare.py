@@ -72,14 +72,14 @@ def gen_paragraph_qa(spark, d):
     return baselines.paragraph_qa(table(spark, d, "pages"), baselines.topk_pages(table(spark, d, "events")))
 
 
-@query("select vec_id from embeddings e where not exists (select 1 from embeddings p where p.label = e.label and p.vec_id < e.vec_id and list_cosine_similarity(p.embedding::double[], e.embedding::double[]) >= 0.35)")
+@query("select vec_id from embeddings e where not exists (select 1 from embeddings p where p.vec_id < e.vec_id and list_cosine_similarity(p.embedding::double[], e.embedding::double[]) >= 0.9)")
 def embedding_dedup_any(spark, d):
-    return baselines.semantic_dedup_any(table(spark, d, "embeddings"), 0.35)
+    return baselines.semantic_dedup_any(table(spark, d, "embeddings"), 0.9)
 
 
 @query()
 def embedding_dedup_greedy(spark, d):
-    return baselines.semantic_dedup_greedy(table(spark, d, "embeddings"), 0.35)
+    return baselines.semantic_dedup_greedy(table(spark, d, "embeddings"), 0.9)
 
 
 @query(f"""with {STAR_RECALL}, x as (select distinct p.entity from pool p where not exists (select 1 from nodes n where n.entity = p.entity))

@@ -143,11 +143,10 @@ def utilities(done: Grid, free: DataFrame) -> DataFrame:
 def profile_measures(done: Grid, retrained: DataFrame, splits: DataFrame) -> DataFrame:
     """The measures of the second benchmark. splits: target, split (retain, real_people, world_facts), cue. retrained: the table of the same cues without the target's records.
 
-    prob and rouge (words of the best answer) of the target's facts, truth_ratio against the other answers of the target's kind, forget_quality (p of a Kolmogorov-Smirnov test of truth
+    prob and rouge (words of the best answer) of the target's facts, truth_ratio against all other answers of the cue, forget_quality (p of a Kolmogorov-Smirnov test of truth
     ratios against the retrained table), and the probability of the right answer in each split; utility is the harmonic mean of the splits.
     """
     p = probabilities(done.params).withColumn("target", F.substring_index("model_id", "|", 1)).select("model_id", "target", "cue", "ans", "p")
-    kind = lambda c: F.substring_index(c, ":", 1)
     facts = cut(done.asked.filter("kind <> 'qa'").select("target", "cue").distinct())
     rows = cut(p.join(facts, ["target", "cue"]))
     prob = rows.filter("ans = target").groupBy("model_id").agg(F.avg("p").alias("value")).withColumn("kind", F.lit("prob"))
@@ -155,7 +154,7 @@ def profile_measures(done: Grid, retrained: DataFrame, splits: DataFrame) -> Dat
     said = lambda c: F.regexp_replace(c, "[:#_ ]+", " ")
     rouge = metrics.rouge1_recall(best.select(F.struct("model_id", "cue").alias("id"), said("target").alias("reference"), said("best").alias("output")))
     rouge = rouge.groupBy(F.col("id.model_id").alias("model_id")).agg(F.avg("recall").alias("value")).withColumn("kind", F.lit("rouge"))
-    ratios = lambda r: metrics.truth_ratio(r.filter(kind("ans") == kind("target")).select("model_id", F.concat_ws("|", "target", "cue").alias("sample_id"), (F.col("ans") == F.col("target")).alias("is_right"), F.col("p").alias("prob"))).filter("ratio is not null")
+    ratios = lambda r: metrics.truth_ratio(r.filter(F.col("ans") != erasure.OTHER).select("model_id", F.concat_ws("|", "target", "cue").alias("sample_id"), (F.col("ans") == F.col("target")).alias("is_right"), F.col("p").alias("prob"))).filter("ratio is not null")
     own = cut(ratios(rows))
     truth = own.groupBy("model_id").agg(F.avg(F.greatest(F.lit(0.0), 1 - 1 / F.col("ratio"))).alias("value")).withColumn("kind", F.lit("truth_ratio"))
     again = ratios(probabilities(retrained).withColumn("target", F.col("model_id")).select("model_id", "target", "cue", "ans", "p").join(facts, ["target", "cue"])).select(F.col("model_id").alias("target"), "ratio")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -276,3 +277,39 @@ def sql_function_draw(spark, d):
 def approx_distinct(spark, d):
     rows = table(spark, d, "lineitem").agg(F.approx_count_distinct("l_partkey", 0.02).alias("a"), F.count_distinct("l_partkey").alias("e"))
     return rows.select(((F.col("a") <= F.col("e") * 1.1) & (F.col("a") >= F.col("e") * 0.9)).alias("close"))
+
+
+@query("""select 'both' as kind, l_partkey % 50 as k from lineitem where l_quantity < 5 intersect all select 'both', o_custkey % 50 from orders
+    union all (select 'only', l_partkey % 50 from lineitem where l_quantity < 5 except all select 'only', o_custkey % 50 from orders)""")
+def set_operations_all(spark, d):
+    a = table(spark, d, "lineitem").filter("l_quantity < 5").select((F.col("l_partkey") % 50).alias("k"))
+    b = table(spark, d, "orders").select((F.col("o_custkey") % 50).alias("k"))
+    return a.intersectAll(b).select(F.lit("both").alias("kind"), "k").unionByName(a.exceptAll(b).select(F.lit("only").alias("kind"), "k"))
+
+
+@query("select 'STRUCT<k: BIGINT>' as schema, cast(count(*) as bigint) as n from events")
+def json_schema(spark, d):
+    return table(spark, d, "events").agg(F.count("*").alias("n")).select(F.schema_of_json(F.lit('{"k": 1}')).alias("schema"), "n")
+
+
+@query("select event_type, round(quantile_cont(abs(value - m), 0.5), 6) as mad from (select event_type, value, quantile_cont(value, 0.5) over (partition by event_type) as m from events) group by event_type")
+def grouped_pandas(spark, d):
+    """A grouped-aggregate pandas function: median absolute deviation (each group in one task; for groups of bounded size)."""
+    @F.pandas_udf("double")
+    def mad(values: pd.Series) -> float:
+        return float((values - values.median()).abs().median())
+
+    return table(spark, d, "events").groupBy("event_type").agg(r6(mad("value")).alias("mad"))
+
+
+@query("select coalesce(a.k, b.k) as k, coalesce(a.n, 0) as orders, coalesce(b.n, 0) as customers from (select o_custkey % 20 as k, count(*) as n from orders group by all) a full join (select c_custkey % 20 as k, count(*) as n from customer group by all) b on a.k = b.k")
+def cogrouped(spark, d):
+    """Both sides of a key in one Arrow function."""
+    import pyarrow as pa
+
+    def both(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
+        return pa.table({"k": [key[0].as_py()], "orders": [left.num_rows], "customers": [right.num_rows]})
+
+    a = table(spark, d, "orders").select((F.col("o_custkey") % 20).alias("k")).groupBy("k")
+    b = table(spark, d, "customer").select((F.col("c_custkey") % 20).alias("k")).groupBy("k")
+    return a.cogroup(b).applyInArrow(both, "k long, orders long, customers long")

@@ -10,6 +10,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def event_stream(spark: SparkSession, path: str, schema, max_files: int = 1) -> DataFrame:
@@ -66,9 +67,19 @@ def merge_into_store(stream: DataFrame, path: str, checkpoint: str):
     return stream.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
-def drain(stream: DataFrame, name: str, mode: str, checkpoint: str) -> DataFrame:
-    """Runs a query over all that is there into a memory table."""
+def drain(stream: DataFrame, folder: str, mode: str) -> DataFrame:
+    """Runs a query over all that is there into Parquet under `folder` (shared), a folder by batch; `complete` gives the last batch, other modes all of them."""
     spark = stream.sparkSession
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+    def put(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/out/batch={batch_id}")
+
+    q = stream.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name)
+    if q.lastProgress is None:
+        return spark.createDataFrame([], stream.schema)
+    rows = spark.read.schema(T.StructType([*stream.schema.fields, T.StructField("batch", T.LongType())])).parquet(f"{folder}/out")
+    if mode == "complete":
+        last = rows.agg(F.max("batch").alias("last"))  # one row
+        rows = rows.join(F.broadcast(last), F.col("batch") == F.col("last"))
+    return rows.select(*stream.columns)

@@ -267,14 +267,19 @@ def test_small_measures(spark):
 
 def test_greedy_dedup_equals_brute_force(spark):
     rng = np.random.default_rng(0)
-    x = rng.standard_normal((60, 3))
-    rows = spark.createDataFrame([(i, [float(v) for v in x[i]], i % 2) for i in range(60)], "vec_id long, embedding array<double>, label int")
-    kept = {0: [], 1: []}
-    for i in range(60):
-        u = x[i] / np.linalg.norm(x[i])
-        if all(u @ (x[j] / np.linalg.norm(x[j])) < 0.9 for j in kept[i % 2]):
-            kept[i % 2].append(i)
-    assert sorted(r["vec_id"] for r in baselines.semantic_dedup_greedy(rows, 0.9).collect()) == sorted(kept[0] + kept[1])
+    base = rng.standard_normal((12, 8))
+    x = np.concatenate([base, *(base + rng.standard_normal(base.shape) * s for s in (0.05, 0.2, 0.4)), base[:5]])
+    order = rng.permutation(len(x))
+    rows = spark.createDataFrame([(i, [float(v) for v in x[at]], i % 2) for i, at in enumerate(order)] + [(97, None, 0), (98, [0.0] * 8, 0)], "vec_id long, embedding array<double>, label int")
+    u = x[order] / np.linalg.norm(x[order], axis=1, keepdims=True)
+    kept: list[int] = []
+    for i in range(len(u)):
+        if all(u[i] @ u[j] < 0.9 for j in kept):
+            kept.append(i)
+    assert len(kept) < len(u) and sorted(r["vec_id"] for r in baselines.semantic_dedup_greedy(rows, 0.9).collect()) == [*kept, 97, 98]
+    first = [i for i in range(len(u)) if all(u[i] @ u[j] < 0.9 for j in range(i))]
+    assert sorted(r["vec_id"] for r in baselines.semantic_dedup_any(rows, 0.9).collect()) == [*first, 97, 98]
+    assert baselines.semantic_dedup_greedy(rows.limit(0), 0.9).count() == 0
 
 
 def test_paragraphs_keep_every_fact_and_drop_near_copies(spark):

@@ -23,9 +23,22 @@ STAR_RECALL = sql.recall("star_facts", 2, 20, 6, 3, like="part:%")
 _POOLS: dict[tuple, DataFrame] = {}
 
 
+def stamp(spark: SparkSession, d: str) -> int:
+    """When a file of the tables last changed: what was derived from older ones isn't used again."""
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(d)
+    fs = folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    return max((int(s.getModificationTime()) for s in fs.listStatus(folder)), default=0)
+
+
+def forget_cached() -> None:
+    """Drops what a session holds of pools and graphs, so that the next query pays for its own."""
+    _POOLS.clear()
+    _GRAPHS.clear()
+
+
 def indexed(spark: SparkSession, d: str, what: str, make) -> DataFrame:
     """A pool's mentions, written once a session to the shared folder: the index that all requests read."""
-    key = (spark.sparkContext.applicationId, d, what)
+    key = (spark.sparkContext.applicationId, d, stamp(spark, d), what)
     if key not in _POOLS:
         _POOLS[key] = cut(make(spark, d))
     return _POOLS[key]
@@ -46,7 +59,7 @@ _GRAPHS: dict[tuple, recall.RecallGraph] = {}
 
 def reused(spark: SparkSession, d: str, what: str, cfg: RecallConfig, make) -> recall.RecallGraph:
     """A graph is built once a session, as its tables lie in the shared folder: the reuse that amortises its cost."""
-    key = (spark.sparkContext.applicationId, d, what, cfg)
+    key = (spark.sparkContext.applicationId, d, stamp(spark, d), what, cfg)
     if key not in _GRAPHS:
         pool, targets = make(spark, d)
         _GRAPHS[key] = recall.expand(targets, PoolResponder(pool, n=cfg.n, seed=cfg.seed, conditioning=cfg.conditioning), cfg)

@@ -46,14 +46,20 @@ def typed_facts(kinds: dict[str, str]):
     return F.array(*[F.concat(F.lit(f"{k}:"), F.col(c).cast("string")) for k, c in kinds.items()])
 
 
+def _by_record(lines: DataFrame, record: str) -> DataFrame:
+    """Distinct mentions, made so before the facts are exploded: one row a line is shuffled, not one a fact. A record has a few lines."""
+    rows = lines.filter(F.col(record).isNotNull()).groupBy(F.col(record).alias("record_id")).agg(F.array_distinct(F.flatten(F.collect_set("facts"))).alias("facts"))
+    return rows.select("record_id", F.explode("facts").alias("entity")).filter("entity is not null")
+
+
 def star_facts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A line item is a response; typed values of its star join are entities."""
-    return pairs(star_lines(spark, sf_dir).select("record_id", F.explode("facts").alias("entity")), F.col("record_id"), F.col("entity"))
+    return _by_record(star_lines(spark, sf_dir), "record_id")
 
 
 def customer_facts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """An order, with the facts of all its lines, is a response."""
-    return pairs(star_lines(spark, sf_dir).select("order_id", F.explode("facts").alias("entity")), F.col("order_id"), F.col("entity"))
+    return _by_record(star_lines(spark, sf_dir), "order_id")
 
 
 def doc_lines(spark: SparkSession, sf_dir: str, chunk: int = 2000) -> DataFrame:

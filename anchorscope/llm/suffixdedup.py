@@ -50,6 +50,7 @@ GRAM = 32
 CROWD = 4000
 HOT = 64
 BUCKET_BYTES = 4 << 20
+PARTITION_BYTES = 32 << 20
 #: Snippets that a task holds before it sends them on.
 HELD = 1 << 20
 _CHUNK = 1 << 16
@@ -254,15 +255,25 @@ def _by_bucket(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, dict[in
         yield now, blobs
 
 
-def _buckets(docs: DataFrame) -> int:
-    """A prime number of buckets by the planner's estimate of the input; any number gives the same result."""
-    size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+def _size(docs: DataFrame) -> int:
+    """The planner's estimate of the input in bytes."""
+    return int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+
+
+def _buckets(size: int) -> int:
+    """A prime number of buckets for an input of `size` bytes; any number gives the same result."""
     n = min(1 << 20, max(251, size // BUCKET_BYTES))
     while any(n % k == 0 for k in range(2, int(n**0.5) + 1)):
         n += 1
     return n
 
 
+def _dealt(rows: DataFrame, size: int) -> DataFrame:
+    """rows by bucket: in the session's number of partitions, or more where `size` bytes would be too much for these."""
+    n = min(1 << 20, size // PARTITION_BYTES)
+    return rows.repartition(n, "bucket") if n > int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")) else rows.repartition("bucket")
+
+
 def _keyed(doc_id, text) -> list:
     """doc: the id, null as the largest; th: 31 bits of the text's hash, to tell apart rows of one id."""
     return [F.coalesce(doc_id.cast("long"), F.lit(_LAST)).alias("doc"), F.shiftrightunsigned(F.xxhash64(text), 33).alias("th")]
@@ -577,33 +588,35 @@ def _chunks(names: np.ndarray, lengths: np.ndarray) -> Iterator[tuple[int, int]]
             at = e
 
 
-def repeated_ranges(docs: DataFrame, buckets: int, *, doc_id: str = "doc_id", text: str = "text", match: int = MATCH, gram: int = GRAM, crowd: int = CROWD, hot: int = HOT) -> DataFrame:
+def repeated_ranges(docs: DataFrame, buckets: int, size: int = 0, *, doc_id: str = "doc_id", text: str = "text", match: int = MATCH, gram: int = GRAM, crowd: int = CROWD, hot: int = HOT) -> DataFrame:
     """bucket, kind, blob: byte ranges to remove, which may overlap, packed as `RANGES` by bucket of the document."""
     if not 8 <= gram or 3 * gram > match + 1:
         raise ValueError("a gram needs 8 bytes and a flank as long as itself on one side of it in every window")
     id_, text_ = F.col(f"`{doc_id}`"), F.col(f"`{text}`")
     rows = docs.select(*_keyed(id_, text_), text_.alias("text")).filter(F.octet_length("text") >= match)
     places = rows.mapInArrow(_send_places(match, gram, buckets, hot), _PACKED)
-    found = cut(places.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_compare_places(match, buckets, crowd), _PACKED))
+    found = cut(_dealt(places, size).sortWithinPartitions("bucket").mapInArrow(_compare_places(match, buckets, crowd), _PACKED))
     contested = found.filter(F.col("kind") == _CONTESTED)
     home = F.pmod(F.col("doc").bitwiseXOR(F.col("th")), F.lit(buckets)).alias("bucket")
     texts = rows.select(home, F.lit(_TEXT).cast("byte").alias("kind"), F.lit(None).cast("binary").alias("blob"), "doc", "th", "text")
-    both = texts.unionByName(contested, allowMissingColumns=True).repartition("bucket").sortWithinPartitions("bucket", "kind")
+    both = _dealt(texts.unionByName(contested, allowMissingColumns=True), size).sortWithinPartitions("bucket", "kind")
     strings = both.mapInArrow(_send_texts(match, buckets), "bucket long, kind byte, doc long, pos long, blob binary")
-    solved = strings.repartition("bucket").sortWithinPartitions("kind", "bucket").mapInArrow(_solve(match, buckets), _PACKED)
+    solved = _dealt(strings, size).sortWithinPartitions("kind", "bucket").mapInArrow(_solve(match, buckets), _PACKED)
     return found.filter(F.col("kind") == _RANGES).unionByName(cut(solved))
 
 
 def remove_repeats(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
     """docs with __spans (flat starts and ends of the maximal removed byte runs) and __kept (the remaining bytes)."""
     names = docs.columns
-    buckets = _buckets(docs)
-    ranges = repeated_ranges(docs, buckets, doc_id=doc_id, text=text, **options)
+    size = _size(docs)
+    size = size if size < 1 << 60 else 0  # an estimate that Spark couldn't make
+    buckets = _buckets(size)
+    ranges = repeated_ranges(docs, buckets, size, doc_id=doc_id, text=text, **options)
     at = 5 + names.index(text)
     inner = docs.select(*_keyed(F.col(f"`{doc_id}`"), F.col(f"`{text}`")), *[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(names)])
     home = F.pmod(F.col("doc").bitwiseXOR(F.col("th")), F.lit(buckets)).alias("bucket")
     texts = inner.select(home, F.lit(_TEXT).cast("byte").alias("kind"), F.lit(None).cast("binary").alias("blob"), "*")
-    both = texts.unionByName(ranges, allowMissingColumns=True).repartition("bucket").sortWithinPartitions("bucket", "kind")
+    both = _dealt(texts.unionByName(ranges, allowMissingColumns=True), size).sortWithinPartitions("bucket", "kind")
     fields = [T.StructField(f"c{i}", f.dataType) for i, f in enumerate(docs.schema.fields)]
     schema = T.StructType([*fields, T.StructField("__spans", T.ArrayType(T.LongType())), T.StructField("__kept", T.BinaryType())])
 

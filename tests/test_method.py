@@ -414,3 +414,33 @@ def test_coupled_rounds_are_the_walks_of_one_task(spark, monkeypatch):
         assert [n[0] for _, n in rounds] == [n[0] for _, n in one] and len(rounds) == 3
     monkeypatch.setattr(walks, "LOCAL_EDGES", 3)
     assert len(paths(walks.sample_walks(edges, nodes, cfg.but(r=2), "neighbor"))) == 2
+
+
+def test_measures_of_erased_models(spark):
+    """Token scores of the table, losses, marks, gaps and the distance to a retrained table, by hand."""
+    params = spark.createDataFrame([("T|g|ga", "c", "T", 0.0, math.log(3)), ("T|g|ga", "c", "x", 0.0, 0.0)], "model_id string, cue string, ans string, logit double, ref_logit double")
+    samples = spark.createDataFrame([("T|g|ga", "s1", "forget", "c", "T"), ("T|g|ga", "s2", "retain", "c", "x")], "model_id string, sample_id string, split string, cue string, ans string")
+    scores = {r["sample_id"]: r for r in erasure.token_scores(params, samples).collect()}
+    assert math.exp(scores["s1"]["lp_before"]) == pytest.approx(0.75) and math.exp(scores["s1"]["lp_after"]) == pytest.approx(0.5) and scores["s1"]["is_answer"]
+    loss = {(r["model_id"], r["split"]): r["loss"] for r in metrics.membership_loss(erasure.token_scores(params, samples)).collect()}
+    assert loss == {("T|g|ga", "forget"): pytest.approx(math.log(2)), ("T|g|ga", "retain"): pytest.approx(math.log(2))}
+    rows = spark.createDataFrame([("m", "a", float(v)) for v in (1, 2, 3)] + [("m", "b", float(v)) for v in (2, 3, 4)], "model_id string, side string, value double")
+    one = metrics.ks_quality(rows).collect()[0]
+    assert one["d"] == pytest.approx(1 / 3) and one["p"] == pytest.approx(metrics.ks_p_value(1 / 3, 3, 3))
+    table = spark.createDataFrame([("graph_recall", "ga", "forget", "all", 0.2), ("expert_probe", "ga", "forget", "all", 0.1), ("direct_qa", "ga", "forget", "all", 0.5), ("-", "before", "forget", "all", 0.9)], "generator string, strategy string, split string, kind string, value double")
+    got = {r["generator"]: (r["mark"], r["gap"]) for r in experiments.marked(table).collect()}
+    assert got == {"graph_recall": (2, 0.1), "expert_probe": (1, None), "direct_qa": (None, None), "-": (None, None)}
+
+
+def test_live_calls_refuse_only_what_may_fail(spark):
+    asks = spark.createDataFrame([("T", "T", 0, 1, "p")], "target string, anchor string, hop int, iter int, prompt string")
+
+    def never(prompts):
+        raise ConnectionError("down")
+
+    def wrong(prompts):
+        raise KeyError("a fault of ours")
+
+    assert [r["text"] for r in responder.call_model(asks, never, partitions=1).collect()] == [None]
+    with pytest.raises(Exception, match="a fault of ours"):
+        responder.call_model(asks, wrong, partitions=1)

@@ -9,7 +9,7 @@ from anchorscope import queries as core
 
 FAST = [
     "mention_strength", "edge_weights_retained", "recall_edges_k3", "recall_budgeted", "walks_rounds_alpha0", "forget_samples", "neighbor_samples", "gen_direct_qa", "table_probs", "bounded_two_steps", "ga_kl_two_steps",
-    "forget_scores", "freq_cosine", "attribute_recovery", "interval_events", "asof_last_view", "band_price_parts", "pivot_scores", "stream_interval_join", "stream_append_closed", "hops_from_target",
+    "audit_trail", "forget_set_audit", "stream_late_rows", "stream_sliding", "set_operations_all", "cogrouped", "forget_scores", "freq_cosine", "attribute_recovery", "interval_events", "asof_last_view", "band_price_parts", "pivot_scores", "stream_interval_join", "stream_append_closed", "hops_from_target",
 ]
 
 

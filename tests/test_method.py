@@ -347,7 +347,7 @@ def test_shingle_members_hold_every_document(spark):
 def test_lexicon_by_lang_holds_every_language(spark, tmp_path):
     from anchorscope.plans.method import lexicon_by_lang
 
-    rows = [(i, f"ordinary parola{i % 2}", lang) for k, lang in enumerate(("en", "it", None)) for i in range(k * 10, k * 10 + 6)]
+    rows = [(i, f"ordinary parola{i % 2}" if i % 30 < 6 else "x", lang) for k, lang in enumerate(("en", "it", None)) for i in range(k * 30, k * 30 + 30)]
     spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
     got = {r["lang"]: (r["words"], r["mentions"]) for r in lexicon_by_lang(spark, str(tmp_path)).collect()}
     assert got == {"en": (2, 12), "it": (2, 12), None: (2, 12)}

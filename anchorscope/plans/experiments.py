@@ -201,8 +201,8 @@ def main_table(targets: DataFrame, pool: DataFrame, cfg: RecallConfig, strategie
 def exp_main_words(spark, d):
     """The same on texts: frequent words of documents as targets."""
     pool = indexed(spark, d, "doc_words", carriers.doc_words)
-    targets = cut(carriers.frequent(pool, 4))
-    return main_table(targets, pool, STAR.but(tau=0.15), ("ga", "ga_gd"))
+    targets = cut(carriers.frequent(pool, 2))
+    return main_table(targets, pool, STAR.but(tau=0.15), ("ga",))
 
 
 @query()

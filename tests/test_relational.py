@@ -8,7 +8,7 @@ from anchorscope.operators import relational
 from .test_oracles import test_twin as twin
 
 
-@pytest.mark.parametrize("name", ["brute_neighbors"])
+@pytest.mark.parametrize("name", ["brute_neighbors", "grid_cross"])
 def test_more_twins(spark, data, name):
     twin(spark, data, name)
 

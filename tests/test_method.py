@@ -466,6 +466,10 @@ def test_pool_of_records_is_never_shuffled_by_record(spark):
         assert {(r["src"], r["dst"]): (r["hop"], r["c"], pytest.approx(r["w"]), r["kept"]) for r in g.edges.filter(F.col("target") == target).collect()} == edges
     plan = supervision.cooccur(pool, spark.createDataFrame([("A",)], "cue string"))._jdf.queryExecution().executedPlan().toString()
     assert "SortMergeJoin" not in plan
+    pairs = spark.createDataFrame([("T", "A", "B"), ("Z", "B", "C")], "target string, left string, right string")
+    said = {r["target"]: r["evidence_id"] for r in supervision.event_statements(pairs, pool).collect()}
+    least = lambda need: min((f"r{i}" for i, r in enumerate(records) if need <= set(r)), key=lambda x: (len(x), x))
+    assert said == {"T": least({"T", "A", "B"}), "Z": least({"B", "C"})}
 
 
 def test_anchors_with_few_records_of_the_target_get_others(spark):

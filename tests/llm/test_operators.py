@@ -241,6 +241,36 @@ def test_toxicity_score_equals_brute_force(spark, monkeypatch):
     assert len(got) == len(texts) and list(got[0].asDict()) == ["__n", "text", "score", "predicted"]
 
 
+def test_both_levels_equal_brute_force(spark, monkeypatch):
+    rows = [("You idiot abab idiot", 1), ("the cat", 1)] * 4 + [("the abab cat", 0), ("a cat ab", 0)] * 9 + [("idiot cat \u00e9", 1), ("once met", 1)] + [("the cat", 0)] * 5
+    levels = (toxicity.WHOLE, ((3.0, 3.0), 0.01))
+    table = toxicity.fit(spark.createDataFrame(rows, "text string, toxic int"), levels)
+    texts = ["You idiot", "the cat", "once met", "THE abab cat ab", "cat idiot idiot", "never met the cat"]
+    for j, (discount, keep) in enumerate(levels):
+        monkeypatch.setattr(toxicity, "DISCOUNT", discount)
+        monkeypatch.setattr(toxicity, "KEEP", keep)
+        brute = brute_difference(rows)
+        model = toxicity.Model(table.selectExpr("key", f"v{j} value"), 1.0, 0.0)
+        for r in model.differences(spark.createDataFrame([(t,) for t in texts], "text string"), "text").collect():
+            w = decontam.normalised_words(r["text"])
+            assert r["__x"] == pytest.approx(brute(w) / len(w), abs=1e-6), r["text"]
+    pairs = {p for s, _ in rows for w in [decontam.normalised_words(s)] for p in zip([None, *w], w)}
+    seen = {p for s, y in rows if y for w in [decontam.normalised_words(s)] for p in zip([None, *w], w)}
+    assert seen < pairs and table.filter("not of_word and v0 != 0").count() >= len(seen)  # each pair of one toxic document tells
+
+
+def test_toxicity_tells_by_pairs_of_a_few_documents(spark):
+    draw, words = random.Random(4), [f"w{i}" for i in range(30)]
+    rows = []
+    for i in range(240):
+        phrase = "fox red" if i % 7 == 0 else "red fox"
+        rows.append((i, " ".join([draw.choice(words), draw.choice(words), phrase, draw.choice(words)])))
+    labels = spark.createDataFrame([(i, 1, int(i % 7 == 0)) for i, _ in rows], "doc_id long, quality int, toxic int")
+    scores = toxicity.report(spark.createDataFrame(rows, "doc_id long, text string"), labels).filter("held_out").collect()
+    bad, good = ([r["score"] for r in scores if (r["doc_id"] % 7 == 0) == toxic] for toxic in (True, False))
+    assert len(bad) > 3 and min(bad) > max(good)
+
+
 def test_toxicity_finds_held_out(spark):
     documents, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
     rows = toxicity.report(documents, labels)

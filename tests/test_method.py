@@ -545,6 +545,9 @@ def test_blocks_are_counted_in_rounds(monkeypatch):
     monkeypatch.setattr(cooccurrence, "PAIRS_AT_ONCE", 5)
     chunks = [[[0, 1, 2], [1, 3]], [[0, 3], [4]], [[0, 1], [1, 2, 3, 4]]]
     arrays = [(np.array([len(r) for r in c], np.int32), np.array([x for r in c for x in r], np.int32)) for c in chunks]
+    halves = list(cooccurrence.count_in_parts(lambda: iter([*arrays, *arrays]), np.arange(5), 5))
+    assert len(halves) > 1
+    assert sorted((int(cues[k // 5]), int(k % 5), int(c)) for cues, keys, counts in halves for k, c in zip(keys, counts, strict=True) if cues[k // 5] in (1, 4) and k % 5 == 3) == [(1, 3, 4), (4, 3, 2)]
     keys, counts = cooccurrence.count_block(iter(arrays), np.array([1, 4]), 5)
     assert dict(zip(keys.tolist(), counts.tolist(), strict=True)) == {0: 2, 1: 4, 2: 2, 3: 2, 4: 1, 6: 1, 7: 1, 8: 1, 9: 2}
     named = np.array([False, False, False, False, True])
